@@ -9,6 +9,7 @@ from collections.abc import Iterator
 from pathlib import Path
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 #: Bytes of text that a Python worker holds as Python objects at a time.
@@ -54,7 +55,7 @@ def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_
     """Cut batches into runs of rows of at most ``limit`` bytes of column ``text`` (one row at least)."""
     for batch in batches:
         col = batch.column(text)
-        size = pa.compute.fill_null(pa.compute.binary_length(col), 0).to_pylist()
+        size = pc.fill_null(pc.binary_length(col), 0).to_pylist()
         start = total = 0
         for i, n in enumerate(size):
             if total + n > limit and i > start:
