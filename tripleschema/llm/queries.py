@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tripleschema.llm import bpe, simhash
+from tripleschema.llm import bpe, secrets, simhash
 from tripleschema.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -29,9 +29,25 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def _named(spans) -> Column:
+    """kind:start:end of each span, comma-joined."""
+    kinds = F.array(*map(F.lit, secrets.KINDS))
+    return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.element_at(kinds, s["kind"] + 1), s["start"], s["stop"])), ",")
+
+
+def op8_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").withColumn("repo", F.concat_ws("/", "source", "lang"))
+    found = secrets.scan(docs, repo_col="repo")
+    number = [F.size(F.filter("spans", lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{name}") for k, name in enumerate(secrets.BASE)]
+    base = F.filter("spans", lambda s: s["kind"] < len(secrets.BASE))
+    live = F.size(F.filter("spans", lambda s: s["verdict"] == "live")).cast("long").alias("n_live")
+    return found.select("doc_id", *number, F.sha2(_named(base).cast("binary"), 256).alias("base_sha256"), _named(F.col("spans")).alias("spans"), live)
+
+
 _QUERIES: dict[str, Query] = {
     "op2_bpe_trie": op2_bpe_trie,
     "op7_simhash": op7_simhash,
+    "op8_secrets": op8_secrets,
 }
 _ORACLES: dict[str, str] = {}
 
