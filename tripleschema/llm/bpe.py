@@ -12,6 +12,8 @@ Which pairs of tokens are stable is found by running the merges on the two token
 from __future__ import annotations
 
 import json
+import os
+import re
 import struct
 from collections.abc import Callable, Iterable, Iterator
 from functools import lru_cache
@@ -29,8 +31,12 @@ WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s
 #: Characters on which all Unicode versions since 13 agree whether they are letters or numbers.  Texts with others go
 #: through the library's own word splitter, which has its Unicode tables built in.
 SETTLED = "[\\u0000-\\u0557\\u0590-\\u0887\\u0900-\\u0bff\\u0d00-\\u1fff\\u20a0-\\ua7cd\\ua800-\\uab6b\\uab70-\\uffff\\U0001f000-\\U0001ffff\\U00020000-\\U0002b739]*+"
+#: The same words for texts in Latin letters and common punctuation, where the classes can be listed.
+LATIN = "[\\x00-\u02af\u2010-\u201f\u2022\u2026\u20ac]*+"
+_L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af", "0-9\xb2\xb3\xb9\xbc\xbd\xbe", "\\t-\\r \x85\xa0"
+LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]++|[{_S}]+(?![^{_S}])|[{_S}]+"
 
-WORDS_KEPT = 400_000  # encodings a worker remembers between slices
+WORDS_KEPT = 700_000  # encodings of words that a worker remembers
 PAIRS_KEPT = 1_500_000  # stability results it remembers
 
 
@@ -41,7 +47,82 @@ def byte_alphabet() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-class TrieEncoder:
+class WordEncoder:
+    """Splits texts into words and remembers the encodings of words; a subclass encodes the words it has not seen."""
+
+    def __init__(self, special: dict[str, int], width: int = 4):
+        self.special, self.width = special, width
+        self.words = regex.compile(WORD_PATTERN).findall
+        self.settled = regex.compile(SETTLED).fullmatch
+        self.latin = re.compile(LATIN).fullmatch
+        self.latin_words = re.compile(LATIN_PATTERN).findall
+        self.at_special = regex.compile("(" + "|".join(map(regex.escape, special)) + ")") if special else None
+        self.known: dict[str, bytes] = {}  # by word
+        self._library = None
+
+    def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:
+        raise NotImplementedError
+
+    def pack(self, ids: Iterable[int]) -> bytes:
+        return np.fromiter(ids, f"<u{self.width}").tobytes()
+
+    def _library_words(self, text: str) -> list[str]:
+        """Words as the library cuts them, for texts with characters outside SETTLED."""
+        if self._library is None:
+            from tokenizers import pre_tokenizers
+
+            self._library = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=True)
+        return [text[a:b] for _, (a, b) in self._library.pre_tokenize_str(text)] if text else []
+
+    def split(self, text: str, specials: bool = True) -> list[str]:
+        """The words of a text; with ``specials`` the strings of special tokens are words of their own."""
+        if specials and self.at_special and any(s in text for s in self.special):
+            return [w for part in self.at_special.split(text) for w in ([part] if part in self.special else self.split(part, False))]
+        if self.latin(text):
+            return self.latin_words(text)
+        return self.words(text) if self.settled(text) else self._library_words(text)
+
+    def _learn(self, words: set[str], specials: bool) -> None:
+        words -= self.known.keys()
+        if specials:
+            for s in words & self.special.keys():
+                self.known[s] = self.pack([self.special[s]])
+                words.discard(s)
+        self.known.update(self.encode_fresh(words))
+
+    def encode_texts(self, texts: list[str], specials: bool = True) -> list[bytes]:
+        """Ids of each text, packed little-endian."""
+        split = [self.split(t, specials) for t in texts]
+        if len(self.known) > WORDS_KEPT:
+            self.known.clear()
+        self._learn(set().union(*split), specials)
+        get = self.known.__getitem__
+        return [b"".join(map(get, words)) for words in split]
+
+
+class LibraryEncoder(WordEncoder):
+    """Words are encoded by the tokenizers library itself."""
+
+    def __init__(self, path: str, width: int = 4):
+        from tokenizers import Tokenizer
+
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer.no_truncation()
+        self.tokenizer.no_padding()
+        self.n_ids = self.tokenizer.get_vocab_size(with_added_tokens=True)
+        super().__init__({t.content: i for i, t in self.tokenizer.get_added_tokens_decoder().items()}, width)
+        self.tokenizer.encode_special_tokens = True  # special strings are split off before
+
+    def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:
+        batch = list(words)
+        for i in range(0, len(batch), 4096):
+            part = batch[i : i + 4096]
+            for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
+                yield w, self.pack(e.ids)
+
+
+class TrieEncoder(WordEncoder):
     """Encoder and decoder for a byte-level BPE vocabulary file of the tokenizers library."""
 
     def __init__(self, path: str):
@@ -55,36 +136,15 @@ class TrieEncoder:
         self.vocab = {b: i for i, b in self.bytes_of.items()}
         self.size = {i: len(b) for i, b in self.bytes_of.items()}
         self.longest = max(self.size.values())
-        self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
+        super().__init__({t["content"]: t["id"] for t in spec["added_tokens"]})
         self.bytes_of |= {i: s.encode() for s, i in self.special.items()}
         self.merges: dict[tuple[int, int], tuple[int, int]] = {}
         for rank, pair in enumerate(spec["model"]["merges"]):
             a, b = pair.split(" ") if isinstance(pair, str) else pair
             self.merges[vocab[a], vocab[b]] = (rank, vocab[a + b])
         self.packed = {i: struct.pack("<I", i) for i in self.bytes_of}
-        self.words = regex.compile(WORD_PATTERN).findall
-        self.settled = regex.compile(SETTLED).fullmatch
-        self.at_special = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
-        self.cache: dict[str, bytes] = {}
         self.stable: dict[tuple[int, int], bool] = {}
         self.whole: dict[int, bool] = {}
-        self._library = None
-
-    # -- words
-
-    def _library_words(self, text: str) -> list[str]:
-        """Words as the library cuts them, for texts with characters outside SETTLED."""
-        if self._library is None:
-            from tokenizers import pre_tokenizers
-
-            self._library = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=True)
-        return [text[a:b] for _, (a, b) in self._library.pre_tokenize_str(text)] if text else []
-
-    def split(self, text: str, specials: bool = True) -> list[str]:
-        """The words of a text; with ``specials`` the strings of special tokens are words of their own."""
-        if specials and self.at_special and any(s in text for s in self.special):
-            return [w for part in self.at_special.split(text) for w in ([part] if part in self.special else self.split(part, False))]
-        return self.words(text) if self.settled(text) else self._library_words(text)
 
     # -- merges
 
@@ -152,19 +212,8 @@ class TrieEncoder:
             yield word, done[-1]
             before = word
 
-    def encode_texts(self, texts: list[str], specials: bool = True) -> list[bytes]:
-        """Ids of each text as little-endian 32-bit integers."""
-        split = [self.split(t, specials) for t in texts]
-        if len(self.cache) > WORDS_KEPT:
-            self.cache.clear()
-        fresh = set().union(*split) - self.cache.keys() if split else set()
-        if specials:
-            for s in fresh & self.special.keys():
-                self.cache[s] = self.packed[self.special[s]]
-                fresh.discard(s)
-        self.cache.update((w.decode(), ids) for w, ids in self.encode_words(w.encode() for w in fresh))
-        get = self.cache.__getitem__
-        return [b"".join(map(get, words)) for words in split]
+    def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:
+        return ((w.decode(), ids) for w, ids in self.encode_words(w.encode() for w in words))
 
     def decode(self, ids: bytes) -> str:
         """The text of packed ids; bytes that are no UTF-8 become replacement characters."""
@@ -177,6 +226,11 @@ def encoder(path: str) -> TrieEncoder:
     return TrieEncoder(path)
 
 
+@lru_cache(maxsize=2)
+def library_encoder(path: str, width: int) -> LibraryEncoder:
+    return LibraryEncoder(path, width)
+
+
 def _encode_batches(path: str, specials: bool, decode: bool) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path)
