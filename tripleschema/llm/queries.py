@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tripleschema.llm import bpe, secrets, simhash
-from tripleschema.llm.common import table
+from tripleschema.llm import bpe, secrets, simhash, tokenfile
+from tripleschema.llm.common import shared_dir, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -44,10 +45,24 @@ def op8_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *number, F.sha2(_named(base).cast("binary"), 256).alias("base_sha256"), _named(F.col("spans")).alias("spans"), live)
 
 
+def op9_huffman(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = f"{shared_dir(spark)}/huffman-{uuid.uuid4().hex}"
+    tokenfile.write_tokens(table(spark, sf_dir, "documents"), tokenizer_file(), path, end_id=2)
+    return tokenfile.read_tokens(spark, path)
+
+
+def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = f"{shared_dir(spark)}/flat-{uuid.uuid4().hex}"
+    found = tokenfile.token_counts(table(spark, sf_dir, "documents"), tokenizer_file(), path, end_id=50256)
+    return found.select("doc_id", "n_tokens")
+
+
 _QUERIES: dict[str, Query] = {
     "op2_bpe_trie": op2_bpe_trie,
     "op7_simhash": op7_simhash,
     "op8_secrets": op8_secrets,
+    "op9_huffman": op9_huffman,
+    "op10_token_counts": op10_token_counts,
 }
 _ORACLES: dict[str, str] = {}
 
