@@ -36,7 +36,7 @@ LATIN = "[\\x00-\u02af\u2010-\u201f\u2022\u2026\u20ac]*+"
 _L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af", "0-9\xb2\xb3\xb9\xbc\xbd\xbe", "\\t-\\r \x85\xa0"
 LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]++|[{_S}]+(?![^{_S}])|[{_S}]+"
 
-WORDS_KEPT = 700_000  # encodings of words that a worker remembers
+WORDS_KEPT = 500_000  # encodings of words in each of the two generations that a worker remembers
 PAIRS_KEPT = 1_500_000  # stability results it remembers
 
 
@@ -58,6 +58,7 @@ class WordEncoder:
         self.latin_words = re.compile(LATIN_PATTERN).findall
         self.at_special = regex.compile("(" + "|".join(map(regex.escape, special)) + ")") if special else None
         self.known: dict[str, bytes] = {}  # by word
+        self.older: dict[str, bytes] = {}  # the generation before, from which words in use are taken over
         self._library = None
 
     def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:
@@ -84,6 +85,9 @@ class WordEncoder:
 
     def _learn(self, words: set[str], specials: bool) -> None:
         words -= self.known.keys()
+        again = words & self.older.keys()
+        self.known.update((w, self.older[w]) for w in again)
+        words -= again
         if specials:
             for s in words & self.special.keys():
                 self.known[s] = self.pack([self.special[s]])
@@ -94,7 +98,7 @@ class WordEncoder:
         """Ids of each text, packed little-endian."""
         split = [self.split(t, specials) for t in texts]
         if len(self.known) > WORDS_KEPT:
-            self.known.clear()
+            self.known, self.older = {}, self.known
         self._learn(set().union(*split), specials)
         get = self.known.__getitem__
         return [b"".join(map(get, words)) for words in split]
@@ -115,9 +119,22 @@ class LibraryEncoder(WordEncoder):
         self.tokenizer.encode_special_tokens = True  # special strings are split off before
 
     def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:
-        batch = list(words)
-        for i in range(0, len(batch), 4096):
-            part = batch[i : i + 4096]
+        joined = [w for w in words if w[0] == " " and not w[:2].isspace()]  # a text of such words is cut into them again
+        for i in range(0, len(joined), 2048):
+            part = joined[i : i + 2048]
+            e = self.tokenizer.encode("".join(part), add_special_tokens=False)
+            count = np.bincount(np.array(e.word_ids, np.int64))
+            if len(count) != len(part):
+                yield from self._one_by_one(part)
+                continue
+            stop = np.cumsum(count) * self.width
+            ids = self.pack(e.ids)
+            yield from zip(part, map(ids.__getitem__, map(slice, (stop - count * self.width).tolist(), stop.tolist())), strict=True)
+        yield from self._one_by_one([w for w in words if w[0] != " " or w[:2].isspace()])
+
+    def _one_by_one(self, words: list[str]) -> Iterable[tuple[str, bytes]]:
+        for i in range(0, len(words), 4096):
+            part = words[i : i + 4096]
             for w, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
                 yield w, self.pack(e.ids)
 

@@ -31,6 +31,7 @@ from tripleschema.llm.common import prepare, shared_dir, slices, written
 LONGEST = 16  # bits of a code
 EVERY = 128  # ids between checkpoints
 BLOCK = 1 << 18  # ids in a block, unless one document has more
+PART = 1 << 23  # ids in a part, about
 
 
 # -- codes
@@ -184,7 +185,7 @@ def global_counts(tokens: DataFrame, width: int) -> dict[int, int]:
 # -- the compressed file
 
 
-def _code_docs(code: tuple, width: int):
+def _code_docs(code: tuple, width: int, bounds: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = _code(code)
         for part in slices(batches):
@@ -196,7 +197,8 @@ def _code_docs(code: tuple, width: int):
                 n.append(len(d))
                 coded.append(payload[bit_at[k] // 8 : stop[k]])
                 marks.append((mark[lanes[k] - -(-len(d) // EVERY) : lanes[k]] - bit_at[k]).astype("<u4").tobytes())
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(coded, pa.binary()), pa.array(marks, pa.binary())], ["doc_id", "n", "coded", "marks"])
+            number = np.searchsorted(bounds, part.column(0).fill_null(-(1 << 63)).to_numpy(zero_copy_only=False), "left").astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(number), part.column(0), pa.array(n, pa.int64()), pa.array(coded, pa.binary()), pa.array(marks, pa.binary())], ["part", "doc_id", "n", "coded", "marks"])
 
     return run
 
@@ -205,10 +207,10 @@ _BLOCK = "part int, block int, first long, n_ids long, doc_ids array<long>, leng
 
 
 def _assemble(block: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
+    """Blocks from coded documents that are sorted by part and id; every part has all its documents in one task."""
 
-        part, number, first = TaskContext.get().partitionId(), 0, 0
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, number, first = None, 0, 0
         doc_ids, lengths, coded, marks, bits = [], [], [], [], [0]
 
         def flush() -> pa.RecordBatch:
@@ -222,13 +224,18 @@ def _assemble(block: int):
             kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary(), pa.binary()]
             return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, kinds, strict=True)], [c.split()[0] for c in _BLOCK.split(", ")])
 
+        size = 0
         for batch in batches:
-            for i, n, c, m in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
-                if lengths and sum(lengths) + n > block:
+            for p, i, n, c, m in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
+                if lengths and (p != part or size + n > block):
                     yield flush()
+                    size = 0
+                if p != part:
+                    part, number, first = p, 0, 0
+                size += n
                 doc_ids.append(i)
                 lengths.append(n)
-                marks.append((np.frombuffer(m, "<u4").astype("<u8") + bits[-1]).astype("<u8").tobytes())
+                marks.append((np.frombuffer(m, "<u4").astype("<u8") + np.uint64(bits[-1])).tobytes())
                 coded.append(c)
                 bits.append(bits[-1] + 8 * len(c))
         if lengths:
@@ -241,7 +248,8 @@ def write_tokens(docs: DataFrame, tokenizer_path: str, path: str, end_id: int |
     """Write the compressed token file of ``docs`` under ``path``: ``blocks`` and ``code``.
 
     The ids are made once and kept in the shared folder, counted, coded document by document, and only the coded
-    documents are dealt out by ranges of doc_id.  Null texts are empty; null ids come first; repeated ids stay in any
+    documents are dealt out by ranges of doc_id (the
+    ranges come from the ids alone, so nothing is coded twice).  Null texts are empty; null ids come first; repeated ids stay in any
     order among themselves; an empty table gives a file without blocks."""
     spark = docs.sparkSession
     width = id_width(tokenizer_path, end_id)
@@ -249,9 +257,13 @@ def write_tokens(docs: DataFrame, tokenizer_path: str, path: str, end_id: int |
     at = f"{shared_dir(spark)}/{path.rstrip('/').rsplit('/', 1)[-1]}-ids"
     with_codec.write.option("compression", "zstd").parquet(at)
     tokens = spark.read.schema(with_codec.schema).parquet(at)
-    code = tuple(sorted(code_lengths(global_counts(tokens, width)).items()))
-    coded = tokens.mapInArrow(_code_docs(code, width), "doc_id long, n long, coded binary, marks binary")
-    placed = coded.repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first())
+    counts = global_counts(tokens, width)
+    code = tuple(sorted(code_lengths(counts).items()))
+    parts = -(-sum(counts.values()) // PART)
+    bounds = tokens.select("doc_id").repartitionByRange(max(1, parts), "doc_id").groupBy(F.spark_partition_id()).agg(F.max("doc_id").alias("top"))
+    bounds = np.array(sorted(r.top for r in bounds.collect() if r.top is not None)[:-1], np.int64)  # one for each part
+    coded = tokens.mapInArrow(_code_docs(code, width, bounds), "part int, doc_id long, n long, coded binary, marks binary")
+    placed = coded.repartition("part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first())
     placed.mapInArrow(_assemble(block), _BLOCK).write.option("compression", "uncompressed").parquet(f"{path}/blocks")
     spark.createDataFrame(list(code), "id long, bits int").coalesce(1).write.parquet(f"{path}/code")
     place = spark._jvm.org.apache.hadoop.fs.Path(at)
