@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tripleschema.llm import bpe, secrets, simhash, tokenfile
+from tripleschema.llm import bpe, decontam, passages, secrets, simhash, tokenfile
 from tripleschema.llm.common import shared_dir, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -57,8 +57,18 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_tokens")
 
 
+def op3_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return passages.shared_passages(table(spark, sf_dir, "documents"))
+
+
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 _QUERIES: dict[str, Query] = {
     "op2_bpe_trie": op2_bpe_trie,
+    "op3_passages": op3_passages,
+    "op4_decontamination": op4_decontamination,
     "op7_simhash": op7_simhash,
     "op8_secrets": op8_secrets,
     "op9_huffman": op9_huffman,
