@@ -36,7 +36,7 @@ LATIN = "[\\x00-\u02af\u2010-\u201f\u2022\u2026\u20ac]*+"
 _L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af", "0-9\xb2\xb3\xb9\xbc\xbd\xbe", "\\t-\\r \x85\xa0"
 LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]++|[{_S}]+(?![^{_S}])|[{_S}]+"
 
-WORDS_KEPT = 500_000  # encodings of words in each of the two generations that a worker remembers
+WORDS_KEPT = 300_000  # encodings of words in each of the two generations that a worker remembers
 PAIRS_KEPT = 1_500_000  # stability results it remembers
 
 
@@ -83,8 +83,11 @@ class WordEncoder:
             return self.latin_words(text)
         return self.words(text) if self.settled(text) else self._library_words(text)
 
-    def _learn(self, words: set[str], specials: bool) -> None:
-        words -= self.known.keys()
+    def learn(self, words: Iterable[str], specials: bool) -> None:
+        """Make sure that the encodings of all these words are known."""
+        if len(self.known) > WORDS_KEPT:
+            self.known, self.older = {}, self.known
+        words = set(words) - self.known.keys()
         again = words & self.older.keys()
         self.known.update((w, self.older[w]) for w in again)
         words -= again
@@ -97,9 +100,7 @@ class WordEncoder:
     def encode_texts(self, texts: list[str], specials: bool = True) -> list[bytes]:
         """Ids of each text, packed little-endian."""
         split = [self.split(t, specials) for t in texts]
-        if len(self.known) > WORDS_KEPT:
-            self.known, self.older = {}, self.known
-        self._learn(set().union(*split), specials)
+        self.learn(set().union(*split), specials)
         get = self.known.__getitem__
         return [b"".join(map(get, words)) for words in split]
 

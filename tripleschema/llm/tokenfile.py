@@ -22,11 +22,12 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema.llm import bpe
-from tripleschema.llm.common import prepare, shared_dir, slices, written
+from tripleschema.llm.common import SLICE_BYTES, prepare, shared_dir, slices
 
 LONGEST = 16  # bits of a code
 EVERY = 128  # ids between checkpoints
@@ -137,13 +138,76 @@ def _code(lengths: tuple[tuple[int, int], ...]) -> Code:
 # -- tokenising with the library
 
 
+class ColumnTokeniser:
+    """Ids of a column of texts, with the library run on new words only.
+
+    In plain texts (Latin letters, no white space next to white space, no apostrophes) words start where the kind of
+    character changes, except behind a space; so the words of a whole slice are found by comparing each byte's kind with
+    the one before.  Arrow numbers the distinct words, the library encodes those not seen before, and the ids of all
+    texts are one gather.  Other texts are encoded one by one."""
+
+    #: Texts that are not plain.
+    ODD = r"[^\x00-\x7f\x{c0}-\x{2af}]|[\x{d7}\x{f7}']|[\t-\r ][\t-\r ]"
+    LETTER, NUMBER, OTHER, WHITE, SPACE = range(5)
+
+    def __init__(self, path: str, width: int):
+        self.words = bpe.library_encoder(path, width)
+        self.width = width
+        self.kind = np.full(256, self.OTHER, np.int8)
+        self.kind[[c for c in range(128) if chr(c).isalpha()]] = self.LETTER
+        self.kind[128:] = self.LETTER  # in plain texts, all bytes beyond ASCII belong to letters
+        self.kind[48:58] = self.NUMBER
+        self.kind[9:14] = self.WHITE
+        self.kind[32] = self.SPACE
+
+    def encode(self, texts: pa.Array, specials: bool, end: bytes = b"") -> pa.Array:
+        """A binary column of packed ids, each with ``end`` behind it."""
+        texts, n = pc.fill_null(texts, ""), len(texts)
+        odd = pc.match_substring_regex(texts, self.ODD)
+        for s in self.words.special if specials else ():
+            odd = pc.or_(odd, pc.match_substring(texts, s))
+        slow = np.flatnonzero(odd.to_numpy(zero_copy_only=False))
+        plain = pc.if_else(odd, "", texts).cast(pa.large_string())
+        edge = np.frombuffer(plain.buffers()[1], np.int64)[plain.offset : plain.offset + n + 1]
+        low, high = (int(edge[0]), int(edge[-1])) if n else (0, 0)
+        raw = plain.buffers()[2]
+        kind = self.kind[np.frombuffer(raw, np.uint8)[low:high]] if high > low else np.zeros(0, np.int8)
+        starts = kind >= self.WHITE
+        starts[1:] |= (kind[1:] != kind[:-1]) & (kind[:-1] != self.SPACE)
+        edge = edge - low
+        starts[edge[:-1][edge[:-1] < high - low]] = True
+        at = np.flatnonzero(starts)
+        offsets = pa.py_buffer(np.r_[at, high - low].astype(np.int32))
+        flat = pa.Array.from_buffers(pa.string(), len(at), [None, offsets, raw.slice(low, high - low) if raw else None]).dictionary_encode()
+        found = flat.dictionary.to_pylist()
+        self.words.learn(found, False)
+        pool = [*map(self.words.known.__getitem__, found), end]
+        pool += [ids + end for ids in self.words.encode_texts([texts[i].as_py() for i in slow.tolist()], specials)]
+        size = np.fromiter(map(len, pool), np.int64, len(pool)) // self.width
+        start = np.cumsum(size) - size
+        last = np.full(n, len(found))
+        last[slow] = len(found) + 1 + np.arange(len(slow))
+        where = np.searchsorted(at, edge[1:])
+        index = np.insert(flat.indices.to_numpy(zero_copy_only=False).astype(np.int64), where, last)
+        count = size[index]
+        stop = np.cumsum(count)
+        gather = np.repeat(start[index] - (stop - count), count) + np.arange(int(stop[-1]) if n else 0)
+        ids = np.frombuffer(b"".join(pool), f"<u{self.width}")[gather]
+        ends = stop[where + np.arange(n)] * self.width
+        return pa.Array.from_buffers(pa.large_binary(), n, [None, pa.py_buffer(np.r_[0, ends].astype(np.int64)), pa.py_buffer(ids)])
+
+
+@lru_cache(maxsize=2)
+def column_tokeniser(path: str, width: int) -> ColumnTokeniser:
+    return ColumnTokeniser(path, width)
+
+
 def _tokenise(path: str, end_id: int | None, width: int, specials: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = bpe.library_encoder(path, width)
-        end = enc.pack([end_id]) if end_id is not None else b""
-        for part in slices(batches):
-            ids = [x + end for x in enc.encode_texts([t or "" for t in part.column(1).to_pylist()], specials)]
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(ids, pa.binary())], ["doc_id", "ids"])
+        enc = column_tokeniser(path, width)
+        end = enc.words.pack([end_id]) if end_id is not None else b""
+        for part in slices(batches, limit=2 * SLICE_BYTES):
+            yield pa.RecordBatch.from_arrays([part.column(0), enc.encode(part.column(1), specials, end).cast(pa.binary())], ["doc_id", "ids"])
 
     return run
 
@@ -315,18 +379,18 @@ def _flatten(path: str, end_id: int, width: int, block: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        enc = bpe.library_encoder(path, width)
-        end, file = enc.pack([end_id]), TaskContext.get().partitionId()
+        enc = column_tokeniser(path, width)
+        end, file = enc.words.pack([end_id]), TaskContext.get().partitionId()
         held, size, number, doc = [], 0, 0, 0
         names = ["file", "block", "payload", "first", "doc_ids"]
 
         def row(payload: bytes | None, n: int, ids: list | None) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array([file], pa.int32()), pa.array([n], pa.int32()), pa.array([payload], pa.binary()), pa.array([doc], pa.int64()), pa.array([ids], pa.list_(pa.int64()))], names)
 
-        for part in slices(batches):
-            for x in enc.encode_texts([t or "" for t in part.column(1).to_pylist()], False):
-                held += [x, end]
-                size += len(x) + width
+        for part in slices(batches, limit=2 * SLICE_BYTES):
+            coded = enc.encode(part.column(1), False, end)
+            held.append(coded.buffers()[2].to_pybytes())
+            size += len(held[-1])
             ids = part.column(0).to_pylist()
             yield row(None, -1, ids)
             doc += len(ids)
