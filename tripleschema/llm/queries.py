@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tripleschema.llm import bpe, decontam, passages, secrets, simhash, tokenfile
+from tripleschema.llm import bpe, decontam, passages, quality, secrets, simhash, tokenfile
 from tripleschema.llm.common import shared_dir, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -65,10 +65,15 @@ def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.scored(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), ["doc_id"])
+
+
 _QUERIES: dict[str, Query] = {
     "op2_bpe_trie": op2_bpe_trie,
     "op3_passages": op3_passages,
     "op4_decontamination": op4_decontamination,
+    "op5_quality": op5_quality,
     "op7_simhash": op7_simhash,
     "op8_secrets": op8_secrets,
     "op9_huffman": op9_huffman,
