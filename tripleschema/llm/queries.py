@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tripleschema.llm import bpe, decontam, passages, quality, secrets, simhash, tokenfile
+from tripleschema.llm import bpe, decontam, passages, quality, rules, secrets, simhash, tokenfile
 from tripleschema.llm.common import shared_dir, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -69,11 +69,17 @@ def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.scored(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), ["doc_id"])
 
 
+def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = rules.judged(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), ["doc_id"])
+    return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "rule")
+
+
 _QUERIES: dict[str, Query] = {
     "op2_bpe_trie": op2_bpe_trie,
     "op3_passages": op3_passages,
     "op4_decontamination": op4_decontamination,
     "op5_quality": op5_quality,
+    "op6_quality_rules": op6_quality_rules,
     "op7_simhash": op7_simhash,
     "op8_secrets": op8_secrets,
     "op9_huffman": op9_huffman,
