@@ -97,29 +97,32 @@ def _cuts(rows: list[dict], name: str) -> list[float]:
     return sorted({values[len(values) * i // CUTS] for i in range(1, CUTS)}) if values else []
 
 
-def grow(rows: list[dict]) -> Rule:
-    """Add the condition with the most information gain until no good row is covered."""
-    rule: Rule = ()
-    held = rows
-    while len(rule) < CONDITIONS:
-        p0 = sum(r["bad"] for r in held)
-        if not p0 or p0 == len(held):
-            break
-        now = math.log2(p0 / len(held))
-        best = (0.0, None)
-        for name in TESTED:
-            for cut in _cuts(held, name):
-                p = n = 0  # above the cut
-                for r in held:
-                    if r[name] > cut:
-                        p, n = p + r["bad"], n + 1
-                for above, a, b in ((True, p, n), (False, p0 - p, len(held) - n)):
-                    if a and (gain := a * (math.log2(a / b) - now)) > best[0]:
-                        best = (gain, Condition(name, above, float(cut)))
-        if best[1] is None:
-            break
-        rule = (*rule, best[1])
-        held = [r for r in held if best[1].holds(r)]
+def _best(rows: list[dict], names: tuple[str, ...] = TESTED) -> Condition | None:
+    """The condition with the most information gain on the rows."""
+    p0 = sum(r["bad"] for r in rows)
+    if not p0 or p0 == len(rows):
+        return None
+    now = math.log2(p0 / len(rows))
+    best: tuple[float, Condition | None] = (0.0, None)
+    for name in names:
+        for cut in _cuts(rows, name):
+            p = n = 0  # above the cut
+            for r in rows:
+                if r[name] > cut:
+                    p, n = p + r["bad"], n + 1
+            for above, a, b in ((True, p, n), (False, p0 - p, len(rows) - n)):
+                if a and (gain := a * (math.log2(a / b) - now)) > best[0]:
+                    best = (gain, Condition(name, above, float(cut)))
+    return best[1]
+
+
+def grow(rows: list[dict], first: Condition) -> Rule:
+    """Add the condition with the most gain until no good row is covered."""
+    rule: Rule = (first,)
+    rows = [r for r in rows if first.holds(r)]
+    while len(rule) < CONDITIONS and (more := _best(rows)):
+        rule = (*rule, more)
+        rows = [r for r in rows if more.holds(r)]
     return rule
 
 
@@ -139,13 +142,16 @@ def learn(rows: list[dict]) -> list[Rule]:
     total = len(rows)
     while len(rules) < RULES:
         growing, pruning = [r for i, r in enumerate(rows) if i % 3], [r for i, r in enumerate(rows) if i % 3 == 0]
-        rule = prune(grow(growing), pruning)
+        taken: tuple[int, Rule] = (0, ())
+        for name in TESTED:  # one rule grown from each statistic; the precise one that covers most is taken
+            if first := _best(growing, (name,)):
+                rule = prune(grow(growing, first), pruning)
+                (p, n), (a, b) = _counts(rule, pruning), _counts(rule, rows)
+                if rule and p and p >= PRECISE * (p + n) and a >= PRECISE * (a + b) and a + b >= COVERS * total and a > taken[0]:
+                    taken = (a, rule)
+        rule = taken[1]
         if not rule:
             break
-        p, n = _counts(rule, pruning)
-        a, b = _counts(rule, rows)
-        if not p or p < PRECISE * (p + n) or a < PRECISE * (a + b) or a + b < COVERS * total:
-            break
         rules.append(rule)
         rows = [r for r in rows if not covers(rule, r)]
     return rules
