@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tripleschema.llm import bpe, decontam, passages, quality, rules, secrets, simhash, tokenfile
+from tripleschema.llm import bpe, decontam, html_layout, passages, quality, rules, secrets, simhash, tokenfile
 from tripleschema.llm.common import shared_dir, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -20,6 +20,10 @@ def tokenizer_file(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def op1_html_layout(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_layout.extracted(table(spark, sf_dir, "pages"))
+
+
 def op2_bpe_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
     ids = bpe.encode(table(spark, sf_dir, "documents"), tokenizer_file(), decoded=True)
     return ids.select("doc_id", "n_tokens", F.sha2("ids", 256).alias("ids_sha256"), F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"))
@@ -74,7 +78,14 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "rule")
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 _QUERIES: dict[str, Query] = {
+    "op1_html_layout": op1_html_layout,
     "op2_bpe_trie": op2_bpe_trie,
     "op3_passages": op3_passages,
     "op4_decontamination": op4_decontamination,
@@ -84,6 +95,7 @@ _QUERIES: dict[str, Query] = {
     "op8_secrets": op8_secrets,
     "op9_huffman": op9_huffman,
     "op10_token_counts": op10_token_counts,
+    "pipeline": pipeline,
 }
 _ORACLES: dict[str, str] = {}
 

@@ -55,6 +55,15 @@ def _fingerprints(shingle: int, seed: int):
     return run
 
 
+def _with_fingerprints(text_at: int, shingle: int = 3, seed: int = 42):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in slices(batches, text=text_at):
+            fp = np.array([fingerprint(t, shingle, seed) for t in part.column(text_at).to_pylist()], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([*part.columns, pa.array(fp)], [*part.schema.names, "fp"])
+
+    return run
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, seed: int = 42) -> DataFrame:
     """``doc_id, fp`` (the 64 bits as a signed long) of whole texts, one row for each row; null texts have no words."""
     prepare(docs.sparkSession)
@@ -224,3 +233,25 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     of = classes.join(labels, F.col("fp") == F.col("node"), "left").select("fp", "least_id", F.coalesce("label", "fp").alias("label"))
     least = of.groupBy("label").agg(F.min("least_id").alias("component_id"))
     return marks.join(of.join(least, "label").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
+
+
+def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
+    """One row of each component of ``docs``, with its columns: the one with the least id.
+
+    Only fingerprints and ids are grouped.  Each fingerprint's component names one row by a number given when the
+    documents and fingerprints are written once side by side, so null and repeated ids do no harm; the text itself is
+    filtered where it is, by a join on the numbers of the rows that stay."""
+    prepare(docs.sparkSession)
+    columns = docs.columns
+    rows = docs.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(columns)))
+    at = columns.index(text_col)
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.schema) + ", fp long"
+    marked = written(rows.mapInArrow(_with_fingerprints(at), schema).withColumn("rid", F.monotonically_increasing_id()), "marked")
+    of_id = F.col(f"c{columns.index(id_col)}")
+    slim = marked.select("fp", "rid", of_id.cast("long").alias("id"))
+    first = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "rid"))
+    classes = written(slim.groupBy("fp").agg(first.alias("first")), "classes")
+    labels = connected_components(linked(classes, radius))
+    stay = classes.join(labels, F.col("fp") == F.col("node"), "left").groupBy(F.coalesce("label", "fp").alias("label")).agg(F.min("first").alias("first")).select(F.col("first.rid").alias("rid"))
+    kept = marked.join(stay, "rid", "left_semi")
+    return kept.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(columns)))
