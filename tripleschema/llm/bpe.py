@@ -36,8 +36,8 @@ LATIN = "[\\x00-\u02af\u2010-\u201f\u2022\u2026\u20ac]*+"
 _L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af", "0-9\xb2\xb3\xb9\xbc\xbd\xbe", "\\t-\\r \x85\xa0"
 LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]++|[{_S}]+(?![^{_S}])|[{_S}]+"
 
-WORDS_KEPT = 300_000  # encodings of words in each of the two generations that a worker remembers
-PAIRS_KEPT = 1_500_000  # stability results it remembers
+WORDS_KEPT = 200_000  # encodings of words in each of the two generations that a worker remembers
+PAIRS_KEPT = 250_000  # stability results it remembers
 
 
 def byte_alphabet() -> dict[str, int]:
@@ -161,7 +161,7 @@ class TrieEncoder(WordEncoder):
             a, b = pair.split(" ") if isinstance(pair, str) else pair
             self.merges[vocab[a], vocab[b]] = (rank, vocab[a + b])
         self.packed = {i: struct.pack("<I", i) for i in self.bytes_of}
-        self.stable: dict[tuple[int, int], bool] = {}
+        self.stable: dict[int, bool] = {}  # by first token << 32 | second
         self.whole: dict[int, bool] = {}
 
     # -- merges
@@ -189,10 +189,10 @@ class TrieEncoder(WordEncoder):
         return known
 
     def is_stable(self, a: int, b: int) -> bool:
-        if (known := self.stable.get((a, b))) is None:
+        if (known := self.stable.get(a << 32 | b)) is None:
             if len(self.stable) >= PAIRS_KEPT:
                 self.stable.clear()
-            known = self.stable[a, b] = self.merged(self._atoms(self.bytes_of[a] + self.bytes_of[b])) == [a, b]
+            known = self.stable[a << 32 | b] = self.merged(self._atoms(self.bytes_of[a] + self.bytes_of[b])) == [a, b]
         return known
 
     # -- the trie
@@ -217,7 +217,7 @@ class TrieEncoder(WordEncoder):
                         continue
                     if start:
                         p = last[start]
-                        ok = stable.get((p, t))
+                        ok = stable.get(p << 32 | t)
                         if ok is None:
                             ok = self.is_stable(p, t)
                         ok = ok and self.is_whole(t)
