@@ -14,7 +14,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def iri(prefix: str, *keys: str | Column) -> Column:
-    return F.concat(F.lit(f"{prefix}:"), F.concat_ws("_", *(F.col(k).cast("string") if isinstance(k, str) else k for k in keys)))
+    """An IRI of key columns, null if any of them is."""
+    parts: list[Column] = []
+    for k in keys:
+        parts += [F.lit("_"), F.col(k).cast("string") if isinstance(k, str) else k]
+    return F.concat(F.lit(f"{prefix}:"), *parts[1:])
 
 
 def money(c: str) -> Column:
