@@ -84,6 +84,8 @@ def evaluate(c: Cases, graph: DataFrame, by_case: bool = False) -> DataFrame:
         agree = F.forall(F.zip_with("b", "b2", lambda x, y: x.isNull() | y.isNull() | (x == y)), lambda x: x)
         merged = joined.where(agree).select("case_id", "n", F.zip_with("b", "b2", lambda x, y: F.coalesce(x, y)).alias("b"))
         state = state.where(F.col("n") <= k).unionByName(merged).distinct()
+        if k < c.longest - 1:
+            state = written(state, "mappings")  # else the plan would triple with each atom
     return state.select("case_id", "b").distinct()
 
 

@@ -22,6 +22,8 @@ from tripleschema.plans.tables import local, written
 
 #: Pattern tables up to this size travel with the witnesses.
 MOST_PATTERNS = 100_000
+#: Unfoldings of recursive rules, unless asked for otherwise.
+RECURSIVE_DEPTH = 3
 
 
 def triggers(e: Existential, r: Rule) -> list[int]:
@@ -55,12 +57,12 @@ class Rewritings:
     complete: bool
 
 
-def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None = None, limit: int = 20_000) -> Rewritings:
+def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None = None, limit: int = 2_000) -> Rewritings:
     """All bodies from which the rules can derive ``body``, itself included.
 
     Each step unfolds one atom by a rule with a fitting head.  Without recursion this ends by itself and is complete;
-    recursive rules are unfolded to ``max_depth`` steps (twice the number of rules unless given)."""
-    depth = max_depth if max_depth is not None else (2 * len(rules) + 2 if recursive_predicates(rules) else 1 << 30)
+    recursive rules are unfolded ``max_depth`` times (RECURSIVE_DEPTH unless given), and the result says so."""
+    depth = max_depth if max_depth is not None else (RECURSIVE_DEPTH if recursive_predicates(rules) else 1 << 30)
     first = _normal(body)
     found, frontier, complete, step = {first}, [first], True, 0
     while frontier and step < depth:

@@ -1 +1,294 @@
-"""x"""
+"""Queries on schemas: canonical graphs, rewriting, consequences and existential rules."""
+
+from __future__ import annotations
+
+from collections.abc import Sequence
+from functools import reduce
+from itertools import product
+
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from tripleschema import fixtures
+from tripleschema.model import LAMBDA, Atom, is_var, pattern
+from tripleschema.operators import check, schema
+from tripleschema.operators.bgp import column
+from tripleschema.operators.schema import Schema
+from tripleschema.plans import analysis, batch, canon, consequence, existential, gen, rewrite
+from tripleschema.plans.tables import local, written
+from tripleschema.queries import sql
+from tripleschema.queries.graphs import SENSES, closed_events, event_patterns
+from tripleschema.registry import register
+from tripleschema.sources import tables
+
+K = fixtures.EVENT_RULES
+PROFILE = sql.profile(sql.EVENTS, "'a', ':senses'")
+
+#: Patterns with constants at some places, so that mappings bind something.
+PLACED = "('place:1', 'place:2', 'place:3')"
+_FEW = f"SELECT * FROM ({sql.EVENTS}) ge WHERE p <> ':at' OR o IN {PLACED}"
+FEW = sql.profile(_FEW, "'a', ':senses', ':at'")
+
+
+def few_patterns(spark: SparkSession, d: str) -> DataFrame:
+    rows = tables.events(spark, d).where(f"p <> ':at' OR o IN {PLACED}")
+    return written(schema.profile(rows, (*SENSES, ":at")), "few")
+
+
+def rendered_sql(patterns: str) -> str:
+    place = lambda x: f"CASE {x}_k WHEN 'I' THEN '*' WHEN 'A' THEN '**' ELSE {x}_v END"
+    return f"SELECT {place('s')} || ' ' || {place('p')} || ' ' || {place('o')} AS pattern FROM ({patterns}) gp"
+
+
+def sandbox_sql(patterns: str) -> str:
+    place = lambda x: f"CASE WHEN {x}_k IN ('I', 'A') THEN '{LAMBDA}' ELSE {x}_v END AS {x}"
+    return f"SELECT DISTINCT {place('s')}, {place('p')}, {place('o')} FROM ({patterns}) gs"
+
+
+register("sandbox_events", lambda s, d: canon.sandbox(event_patterns(s, d)), sandbox_sql(PROFILE))
+
+
+# -- the critical instance
+
+
+def _pool(patterns: str, constants: Sequence[str]) -> str:
+    own = " UNION ".join(f"SELECT '{c}'" for c in [*constants, LAMBDA])
+    return f"SELECT s_v AS c FROM ({patterns}) a WHERE s_v IS NOT NULL UNION SELECT p_v FROM ({patterns}) b WHERE p_v IS NOT NULL UNION SELECT o_v FROM ({patterns}) c WHERE o_v IS NOT NULL UNION {own}"
+
+
+def critical_sql(patterns: str, body: Sequence[Atom]) -> str:
+    fits = lambda x, y: f"((t.{x}_k IN ('C', 'L') AND {y}.c = t.{x}_v) OR (t.{x}_k = 'I' AND {y}.c NOT LIKE '\"%') OR t.{x}_k = 'A')"
+    return f"""WITH t AS ({patterns}), pool AS ({_pool(patterns, canon.body_constants(body))})
+SELECT DISTINCT x.c AS s, y.c AS p, z.c AS o FROM t CROSS JOIN pool x CROSS JOIN pool y CROSS JOIN pool z WHERE {fits('s', 'x')} AND {fits('p', 'y')} AND {fits('o', 'z')}"""
+
+
+register("critical_instance_events", lambda s, d: canon.critical_instance(event_patterns(s, d), K[1].body), critical_sql(PROFILE, K[1].body))
+
+
+def critical_size_events(spark: SparkSession, d: str) -> DataFrame:
+    p, bodies = event_patterns(spark, d), {r.id: r.body for r in K}
+    bounds = local(spark, list(canon.critical_sizes(p, bodies).items()), "rule_id string, bound long")
+    sizes = canon.critical_instances(p, bodies).groupBy("case_id").agg(F.count("*").alias("size"))
+    return bounds.join(sizes, F.col("rule_id") == F.col("case_id")).select("rule_id", "bound", "size")
+
+
+def _size_sql(r) -> str:
+    n = f"(SELECT count(*) FROM ({_pool(PROFILE, canon.body_constants(r.body))}) q WHERE c NOT LIKE '\"%')"
+    m = f"(SELECT count(*) FROM ({_pool(PROFILE, canon.body_constants(r.body))}) q)"
+    of = lambda k: f"CASE {k} WHEN 'I' THEN {n} WHEN 'A' THEN {m} ELSE 1 END"
+    return f"SELECT '{r.id}' AS rule_id, CAST((SELECT sum({of('s_k')} * {of('p_k')} * {of('o_k')}) FROM ({PROFILE}) g) AS BIGINT) AS bound, (SELECT count(*) FROM ({critical_sql(PROFILE, r.body)}) h) AS size"
+
+
+register("critical_size_events", critical_size_events, " UNION ALL ".join(_size_sql(r) for r in K))
+
+
+# -- mappings
+
+
+def _joined(values: Sequence[Column]) -> Column:
+    return F.concat_ws(",", *(F.coalesce(v, F.lit(LAMBDA)) for v in values))
+
+
+def eightfold_mappings(spark: SparkSession, d: str) -> DataFrame:
+    box = written(canon.sandbox(few_patterns(spark, d)), "sandbox")
+    return reduce(DataFrame.unionByName, (rewrite.eightfold(r.body, box).select(F.lit(r.id).alias("rule_id"), _joined([F.col(column(v)) for v in r.variables()]).alias("mapping")) for r in K))
+
+
+def named_mappings(mappings: DataFrame) -> DataFrame:
+    return mappings.select(F.col("case_id").alias("rule_id"), F.array_join("b", ",", LAMBDA).alias("mapping"), *(c for c in mappings.columns if c not in ("case_id", "b")))
+
+
+def fused_mappings(spark: SparkSession, d: str) -> DataFrame:
+    return named_mappings(batch.evaluate(batch.cases(spark, K), canon.sandbox(few_patterns(spark, d), None)))
+
+
+def filtered_mappings(spark: SparkSession, d: str) -> DataFrame:
+    p = few_patterns(spark, d)
+    c = batch.cases(spark, K)
+    kept = batch.filtered(c, batch.evaluate(c, canon.sandbox(p, None)), p)
+    names = local(spark, [(r.id, r.variables()) for r in K], "id string, names array<string>")
+    kept = named_mappings(kept).join(names, F.col("rule_id") == F.col("id"))
+    return kept.select("rule_id", "mapping", F.array_join(F.array_sort(F.transform("firm", lambda i: F.get("names", i))), ",").alias("firm"))
+
+
+def _eightfold_sql(r) -> str:
+    """Per atom a union over which places are the fresh IRI, unbound variables null; joined on equal or null."""
+    parts, bound, joins = [], {}, []
+    for k, a in enumerate(r.body):
+        own = a.variables()
+        branches = []
+        for mask in product((0, 1), repeat=3):
+            where, values = [], dict.fromkeys(own, "CAST(NULL AS VARCHAR)")
+            for off, place, t in zip(mask, "spo", a, strict=True):
+                if off:
+                    where.append(f"{place} = '{LAMBDA}'")
+                elif is_var(t):
+                    values[t] = place
+                else:
+                    where.append(f"{place} = '{t}'")
+            branches.append(f"SELECT {', '.join(f'{v} AS {n[1:]}' for n, v in values.items())} FROM box{' WHERE ' + ' AND '.join(where) if where else ''}")
+        parts.append(f"a{k} AS ({' UNION '.join(branches)})")
+        for v in own:
+            joins += [f"(a{j}.{v[1:]} IS NULL OR a{k}.{v[1:]} IS NULL OR a{j}.{v[1:]} = a{k}.{v[1:]})" for j in bound.get(v, [])]
+            bound.setdefault(v, []).append(k)
+    value = {v: f"coalesce({', '.join(f'a{k}.{v[1:]}' for k in ks)}, NULL)" for v, ks in bound.items()}
+    names = r.variables()
+    whole = " AND ".join([*joins, *(f"{value[v]} IS NOT NULL" for v in names)])
+    return f"(WITH box AS ({sandbox_sql(FEW)}), {', '.join(parts)} SELECT DISTINCT '{r.id}' AS rule_id, {' || chr(44) || '.join(value[v] for v in names)} AS mapping FROM {', '.join(f'a{k}' for k in range(len(r.body)))} WHERE {whole})"
+
+
+def _fused_sql(r) -> str:
+    """One choice of a sandbox triple per atom; a variable is the only constant among its places, or the fresh IRI."""
+    where, places = [], {}
+    for k, a in enumerate(r.body):
+        for place, t in zip("spo", a, strict=True):
+            if is_var(t):
+                places.setdefault(t, []).append(f"b{k}.{place}")
+            else:
+                where.append(f"b{k}.{place} IN ('{t}', '{LAMBDA}')")
+    of = {v: f"list_distinct(list_filter([{', '.join(ps)}], x -> x <> '{LAMBDA}'))" for v, ps in places.items()}
+    where += [f"len({x}) <= 1" for x in of.values()]
+    return f"(WITH box AS ({sandbox_sql(FEW)}) SELECT DISTINCT '{r.id}' AS rule_id, {' || chr(44) || '.join(f'''coalesce({of[v]}[1], '{LAMBDA}')''' for v in r.variables())} AS mapping FROM {', '.join(f'box b{k}' for k in range(len(r.body)))} WHERE {' AND '.join(where)})"
+
+
+register("eightfold_mappings_events", eightfold_mappings, " UNION ALL ".join(map(_eightfold_sql, K)))
+register("fused_mappings_events", fused_mappings, " UNION ALL ".join(map(_fused_sql, K)))
+register(
+    "filtered_mappings_events",
+    filtered_mappings,
+    f"""WITH f AS ({FEW}) SELECT 'k1' AS rule_id, '{LAMBDA},{LAMBDA},' || o_v AS mapping, '?r,?t' AS firm FROM f WHERE p_v = ':at' AND EXISTS (SELECT 1 FROM f WHERE o_v = 'prop:purchase') AND EXISTS (SELECT 1 FROM f WHERE p_v = ':reads')
+UNION ALL SELECT 'k2', '{LAMBDA},' || o_v, '?p,?r' FROM f WHERE p_v = ':at' AND EXISTS (SELECT 1 FROM f WHERE o_v = 'prop:error') AND EXISTS (SELECT 1 FROM f WHERE p_v = ':reads' AND (o_k = 'A' OR o_v = '"1"'))""",
+)
+
+
+# -- consequences
+
+
+def basic(approach: str):
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        p = event_patterns(spark, d)
+        return reduce(DataFrame.unionByName, (schema.rendered(schema.minimised(consequence.basic(p, r, approach))).select(F.lit(r.id).alias("rule_id"), "pattern") for r in K))
+
+    return query
+
+
+_NEW = {"k1": ["* :foundIn *", "* a :BadgeTag"], "k2": ["* a :ClosedArea"], "k3": []}
+_BASIC = " UNION ".join(f"SELECT '{k}' AS rule_id, pattern FROM ({rendered_sql(PROFILE)}) g" + "".join(f" UNION SELECT '{k}', '{p}'" for p in new) for k, new in _NEW.items())
+register("basic_consequence_sandbox_events", basic("sandbox"), _BASIC)
+register("basic_consequence_critical_events", basic("critical"), _BASIC)
+
+_EVENTS_AFTER = f"{rendered_sql(PROFILE)} UNION SELECT unnest(['* :foundIn *', '* a :ClosedArea', '* :intrudes *', '* a :BadgeTag'])"
+register("simple_consequence_events", lambda s, d: schema.rendered(consequence.simple(event_patterns(s, d), K).patterns), _EVENTS_AFTER)
+register("simple_consequence_critical_events", lambda s, d: schema.rendered(consequence.simple(event_patterns(s, d), K, "critical").patterns), _EVENTS_AFTER)
+
+STAR_CLASSES = ("a", ":status", ":priority", ":segment")
+_STAR = sql.profile(sql.STAR, "'a', ':status', ':priority', ':segment'")
+
+
+def star_patterns(spark: SparkSession, d: str) -> DataFrame:
+    return written(schema.profile(tables.star(spark, d), STAR_CLASSES), "profile")
+
+
+register("simple_consequence_star", lambda s, d: schema.rendered(consequence.simple(star_patterns(s, d), fixtures.STAR_RULES).patterns), f"{rendered_sql(_STAR)} UNION SELECT unnest(['* :soldIn *', '* :boughtBy *'])")
+register("simple_consequence_after", lambda s, d: schema.rendered(consequence.simple(written(schema.profile(tables.conversations(s, d)), "profile"), fixtures.AFTER_RULES).patterns), f"{rendered_sql(sql.profile(sql.CONVERSATIONS, chr(39) + 'a' + chr(39)))} UNION SELECT '* :after *'")
+
+
+def equivalence(spark: SparkSession, d: str) -> DataFrame:
+    p = event_patterns(spark, d)
+    same = schema.equivalent(consequence.simple(p, K).patterns, consequence.simple(p, K, "critical").patterns)
+    return local(spark, [(same,)], "equivalent boolean")
+
+
+register("equivalence_events", equivalence, "SELECT true AS equivalent")
+register("covered_closure_events", lambda s, d: check.conforming(closed_events(s, d), consequence.simple(event_patterns(s, d), K).patterns, "left_anti").agg(F.count("*").alias("uncovered")), "SELECT CAST(0 AS BIGINT) AS uncovered")
+
+
+# -- questions
+
+
+_HAS = lambda kind: f"EXISTS (SELECT 1 FROM events WHERE event_type = '{kind}')"
+register("applicable_rules_events", lambda s, d: analysis.applicable(event_patterns(s, d), K), f"SELECT 'k1' AS rule_id WHERE {_HAS('purchase')} UNION SELECT 'k2' WHERE {_HAS('error')} UNION SELECT 'k3' WHERE {_HAS('purchase')} AND {_HAS('error')}")
+register("applicability_diff_events", lambda s, d: analysis.applicability_diff(event_patterns(s, d), event_patterns(s, d).where("o_v IS NULL OR o_v <> 'prop:error'"), K), "SELECT unnest(['k2', 'k3']) AS rule_id, 'lost' AS change")
+
+
+def can_derive(spark: SparkSession, d: str) -> DataFrame:
+    p = event_patterns(spark, d)
+    wanted = ("* :intrudes *", "* a :ClosedArea", "* :foundIn place:1", "* :heldBy **")
+    return reduce(DataFrame.unionByName, (analysis.can_derive(p, K, pattern(w)).select(F.lit(w).alias("wanted"), "rule_id") for w in wanted))
+
+
+register("can_derive_events", can_derive, "SELECT * FROM (VALUES ('* :intrudes *', 'k3'), ('* a :ClosedArea', 'k2'), ('* :foundIn place:1', 'k1')) v(wanted, rule_id)")
+
+ALL_RULES = (*K, *fixtures.STAR_RULES, *fixtures.DOC_RULES, *fixtures.DOC_RULES_LOSING)
+
+
+def trigger_pairs(spark: SparkSession, d: str) -> DataFrame:
+    return local(spark, [(e.id, r.id, h) for e in fixtures.ALL_EXISTENTIALS for r in ALL_RULES for h in existential.triggers(e, r)], "e_id string, rule_id string, head int")
+
+
+register("trigger_pairs_events", trigger_pairs, "SELECT e_id, rule_id, CAST(head AS INTEGER) AS head FROM (VALUES ('holder', 'k1', 0), ('sold_region', 'sold', 0), ('sold_region', 'wide', 0), ('doc_label', 'scored', 0), ('doc_label', 'sourced', 0)) v(e_id, rule_id, head)")
+register("rewritings_events", lambda s, d: local(s, [(r.id, " , ".join(map(str, b))) for r in K for b in existential.rewritings(r.body, K).bodies], "rule_id string, body string"))
+
+
+# -- existential rules
+
+
+def event_schema(spark: SparkSession, d: str) -> Schema:
+    return Schema(event_patterns(spark, d), fixtures.EVENT_EXISTENTIALS)
+
+
+register("witnesses_events", lambda s, d: existential.tested(event_schema(s, d), K).rows.select("e_id", "witness_id", "violates", "witness"))
+register("violation_report_events", lambda s, d: existential.explained(event_schema(s, d), K).select("e_id", "rule_id", "body"), "SELECT DISTINCT 'holder' AS e_id, 'k1' AS rule_id, '?n0 :at ?n1 , ?n0 :reads ?n2 , ?n0 :senses prop:purchase' AS body")
+
+
+def verdicts(make, rules):
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        sch = make(spark, d)
+        kept = {e.id for e in existential.retained(sch, rules).retained}
+        return local(spark, [(e.id, e.id in kept) for e in sch.existentials], "e_id string, retained boolean")
+
+    return query
+
+
+def doc_schema(spark: SparkSession, d: str) -> Schema:
+    return Schema(written(schema.profile(tables.documents(spark, d), ("a", ":lang")), "profile"), fixtures.DOC_EXISTENTIALS)
+
+
+register("retained_existentials_events", verdicts(event_schema, K), "SELECT 'holder' AS e_id, false AS retained")
+register("retained_existentials_star", verdicts(lambda s, d: Schema(star_patterns(s, d), fixtures.STAR_EXISTENTIALS), fixtures.STAR_RULES), "SELECT * FROM (VALUES ('order_line', true), ('order_customer', true), ('nation_supplier', true), ('sold_region', false)) v(e_id, retained)")
+register("retained_existentials_docs", verdicts(doc_schema, fixtures.DOC_RULES), "SELECT 'doc_label' AS e_id, true AS retained")
+register("lost_existentials_docs", verdicts(doc_schema, fixtures.DOC_RULES_LOSING), "SELECT 'doc_label' AS e_id, false AS retained")
+
+
+def preserving(spark: SparkSession, d: str) -> DataFrame:
+    out = consequence.existential_preserving(event_schema(spark, d), K)
+    rules = local(spark, [("existential", str(e)) for e in out.existentials], "kind string, text string")
+    return schema.rendered(out.patterns).select(F.lit("pattern").alias("kind"), F.col("pattern").alias("text")).unionByName(rules)
+
+
+register("preserving_consequence_events", preserving, f"SELECT 'pattern' AS kind, pattern AS text FROM ({_EVENTS_AFTER}) g")
+
+
+def rejected(spark: SparkSession, d: str) -> DataFrame:
+    return local(spark, list(analysis.with_policy(event_schema(spark, d), K, "reject_rules").rejected.items()), "rule_id string, reason string")
+
+
+register("rejected_rules_events", rejected, "SELECT * FROM (VALUES ('k1', 'adds a pattern; breaks holder'), ('k2', 'adds a pattern'), ('k3', 'adds a pattern')) v(rule_id, reason)")
+
+
+# -- the generator on table rows
+
+GEN = gen.Config(n_preds=150, n_iris=100, n_lits=100, n_patterns=100)
+_DRAWS = "SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey) - 1 AS i, l_orderkey * 7919 + l_partkey * 104729 + l_suppkey * 1299709 + l_linenumber * 15485863 AS x FROM lineitem"
+register("gen_patterns_lineitem", lambda s, d: gen.pattern_rows(gen.draws(tables.table(s, d, "lineitem"), 1000), GEN), f"""
+SELECT i, CASE WHEN x // 3 % 100 < 10 THEN 'C' ELSE 'I' END AS s_k, CASE WHEN x // 3 % 100 < 10 THEN 'cust:' || (x // 5 % 100) END AS s_v, 'C' AS p_k, 'm' || (x % 150) AS p_v,
+  CASE WHEN x // 7 % 100 < 10 THEN CASE WHEN x // 11 % 2 = 0 THEN 'C' ELSE 'L' END ELSE 'A' END AS o_k,
+  CASE WHEN x // 7 % 100 < 10 THEN CASE WHEN x // 11 % 2 = 0 THEN 'cust:' || (x // 13 % 100) ELSE '"x' || (x // 13 % 100) || '"' END END AS o_v FROM ({_DRAWS}) g WHERE i < 1000""")
+
+
+def gen_rules(spark: SparkSession, d: str) -> DataFrame:
+    rows = [r.x for r in gen.draws(tables.table(spark, d, "lineitem"), 300).orderBy("i").collect()]
+    return gen.rule_rows(spark, tuple(gen.chain(f"r{j}", [f"m{x % GEN.n_preds}" for x in rows[3 * j : 3 * j + 3]]) for j in range(100)))
+
+
+register("gen_rules_lineitem", gen_rules, f"SELECT 'r' || (i // 3) AS rule_id, '?v0 m' || max(CASE WHEN i % 3 = 0 THEN x % 150 END) || ' ?v1 , ?v1 m' || max(CASE WHEN i % 3 = 1 THEN x % 150 END) || ' ?v2 => ?v0 m' || max(CASE WHEN i % 3 = 2 THEN x % 150 END) || ' ?v2' AS rule FROM ({_DRAWS}) g WHERE i < 300 GROUP BY i // 3")
