@@ -87,7 +87,7 @@ class WordEncoder:
         """Make sure that the encodings of all these words are known."""
         if len(self.known) > WORDS_KEPT:
             self.known, self.older = {}, self.known
-        words = set(words) - self.known.keys()
+        words = {w for w in words if w not in self.known}
         again = words & self.older.keys()
         self.known.update((w, self.older[w]) for w in again)
         words -= again

@@ -183,17 +183,18 @@ class ColumnTokeniser:
         self.words.learn(found, False)
         pool = [*map(self.words.known.__getitem__, found), end]
         pool += [ids + end for ids in self.words.encode_texts([texts[i].as_py() for i in slow.tolist()], specials)]
-        size = np.fromiter(map(len, pool), np.int64, len(pool)) // self.width
-        start = np.cumsum(size) - size
-        last = np.full(n, len(found))
+        size = np.fromiter(map(len, pool), np.int32, len(pool)) // self.width
+        start = np.cumsum(size, dtype=np.int32) - size
+        last = np.full(n, len(found), np.int32)
         last[slow] = len(found) + 1 + np.arange(len(slow))
         where = np.searchsorted(at, edge[1:])
-        index = np.insert(flat.indices.to_numpy(zero_copy_only=False).astype(np.int64), where, last)
+        index = np.insert(flat.indices.to_numpy(zero_copy_only=False), where, last)
         count = size[index]
-        stop = np.cumsum(count)
-        gather = np.repeat(start[index] - (stop - count), count) + np.arange(int(stop[-1]) if n else 0)
+        stop = np.cumsum(count, dtype=np.int32)
+        gather = np.repeat(start[index] - (stop - count), count)
+        gather += np.arange(len(gather), dtype=np.int32)
         ids = np.frombuffer(b"".join(pool), f"<u{self.width}")[gather]
-        ends = stop[where + np.arange(n)] * self.width
+        ends = stop[where + np.arange(n)].astype(np.int64) * self.width
         return pa.Array.from_buffers(pa.large_binary(), n, [None, pa.py_buffer(np.r_[0, ends].astype(np.int64)), pa.py_buffer(ids)])
 
 
