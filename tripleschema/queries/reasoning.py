@@ -146,7 +146,7 @@ def _fused_sql(r) -> str:
                 places.setdefault(t, []).append(f"b{k}.{place}")
             else:
                 where.append(f"b{k}.{place} IN ('{t}', '{LAMBDA}')")
-    of = {v: f"list_distinct(list_filter([{', '.join(ps)}], x -> x <> '{LAMBDA}'))" for v, ps in places.items()}
+    of = {v: f"list_distinct(list_filter([{', '.join(ps)}], lambda x: x <> '{LAMBDA}'))" for v, ps in places.items()}
     where += [f"len({x}) <= 1" for x in of.values()]
     return f"(WITH box AS ({sandbox_sql(FEW)}) SELECT DISTINCT '{r.id}' AS rule_id, {' || chr(44) || '.join(f'''coalesce({of[v]}[1], '{LAMBDA}')''' for v in r.variables())} AS mapping FROM {', '.join(f'box b{k}' for k in range(len(r.body)))} WHERE {' AND '.join(where)})"
 
