@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema.llm import bpe
-from tripleschema.llm.common import SLICE_BYTES, prepare, shared_dir, slices
+from tripleschema.llm.common import prepare, shared_dir, slices
 
 LONGEST = 16  # bits of a code
 EVERY = 128  # ids between checkpoints
@@ -207,8 +207,9 @@ def _tokenise(path: str, end_id: int | None, width: int, specials: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = column_tokeniser(path, width)
         end = enc.words.pack([end_id]) if end_id is not None else b""
-        for part in slices(batches, limit=2 * SLICE_BYTES):
+        for part in slices(batches):
             yield pa.RecordBatch.from_arrays([part.column(0), enc.encode(part.column(1), specials, end).cast(pa.binary())], ["doc_id", "ids"])
+            pa.default_memory_pool().release_unused()
 
     return run
 
@@ -388,7 +389,8 @@ def _flatten(path: str, end_id: int, width: int, block: int):
         def row(payload: bytes | None, n: int, ids: list | None) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array([file], pa.int32()), pa.array([n], pa.int32()), pa.array([payload], pa.binary()), pa.array([doc], pa.int64()), pa.array([ids], pa.list_(pa.int64()))], names)
 
-        for part in slices(batches, limit=2 * SLICE_BYTES):
+        for part in slices(batches):
+            pa.default_memory_pool().release_unused()
             coded = enc.encode(part.column(1), False, end)
             held.append(coded.buffers()[2].to_pybytes())
             size += len(held[-1])
