@@ -41,14 +41,22 @@ def specialise(r: Rule, head: int, antecedent: Atom) -> Rule:
 
 
 def _normal(body: Sequence[Atom]) -> tuple[Atom, ...]:
-    """A body with its variables numbered, the same for renamed copies in most cases."""
-    shape = lambda a: tuple("?" if is_var(t) else t for t in a)
-    out = sorted(set(body), key=lambda a: (shape(a), a))
+    """A body with its variables numbered by where they occur, the same for renamed copies but for rare symmetries."""
+    body = sorted(set(body))
+    mark: dict[str, object] = {v: () for a in body for v in a.variables()}
+    for _ in range(4):
+        seen = lambda t: (1, mark[t]) if is_var(t) else (0, t)  # noqa: B023, E731
+        new: dict[str, list] = {v: [] for v in mark}
+        for a in body:
+            for i, t in enumerate(a):
+                if is_var(t):
+                    new[t].append((i, *(seen(x) if x != t else (2, "") for x in a)))
+        ranks = {k: i for i, k in enumerate(sorted({repr(sorted(map(repr, v))) for v in new.values()}))}
+        mark = {v: ranks[repr(sorted(map(repr, x)))] for v, x in new.items()}
     names: dict[str, str] = {}
-    for a in out:
-        for v in a.variables():
-            names.setdefault(v, f"?n{len(names)}")
-    return tuple(sorted(a.replaced(names) for a in out))
+    for v in sorted(mark, key=lambda v: (mark[v], v)):
+        names[v] = f"?n{len(names)}"
+    return tuple(sorted(a.replaced(names) for a in body))
 
 
 @dataclass
