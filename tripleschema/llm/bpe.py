@@ -37,6 +37,7 @@ _L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af", "0-9\xb2\xb3\xb9
 LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]++|[{_S}]+(?![^{_S}])|[{_S}]+"
 
 WORDS_KEPT = 200_000  # encodings of words in each of the two generations that a worker remembers
+LIBRARY_WORDS_KEPT = 300_000  # the same where the library encodes
 PAIRS_KEPT = 250_000  # stability results it remembers
 
 
@@ -52,6 +53,7 @@ class WordEncoder:
 
     def __init__(self, special: dict[str, int], width: int = 4):
         self.special, self.width = special, width
+        self.kept = WORDS_KEPT
         self.words = regex.compile(WORD_PATTERN).findall
         self.settled = regex.compile(SETTLED).fullmatch
         self.latin = re.compile(LATIN).fullmatch
@@ -85,7 +87,7 @@ class WordEncoder:
 
     def learn(self, words: Iterable[str], specials: bool) -> None:
         """Make sure that the encodings of all these words are known."""
-        if len(self.known) > WORDS_KEPT:
+        if len(self.known) > self.kept:
             self.known, self.older = {}, self.known
         words = {w for w in words if w not in self.known}
         again = words & self.older.keys()
@@ -117,6 +119,7 @@ class LibraryEncoder(WordEncoder):
         self.tokenizer.no_padding()
         self.n_ids = self.tokenizer.get_vocab_size(with_added_tokens=True)
         super().__init__({t.content: i for i, t in self.tokenizer.get_added_tokens_decoder().items()}, width)
+        self.kept = LIBRARY_WORDS_KEPT
         self.tokenizer.encode_special_tokens = True  # special strings are split off before
 
     def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:

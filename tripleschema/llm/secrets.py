@@ -152,12 +152,16 @@ def redacted(docs: DataFrame, text_col: str = "text", owner_col: str = "source",
 
     Only rows with a further candidate wait for the ownership counts; the others are rewritten where they are."""
     columns = docs.columns
-    found = _numbered(candidates(docs, text_col).select(*columns, "__spans"), "secrets")
+    name = {c: f"c{i}" for i, c in enumerate(columns)}  # no name of a document column can clash with ours
+    rows = docs.select(*(F.col(c).alias(n) for c, n in name.items()))
+    found = _numbered(candidates(rows, name[text_col]).select(*name.values(), "__spans"), "secrets")
     further = F.exists("__spans", lambda s: s["kind"] >= len(BASE))
-    slim = F.transform(F.col("spans"), lambda s: F.struct(s["start"].alias("start"), s["stop"].alias("stop")))
+    places = "array<struct<start:int,stop:int>>"
+    slim = lambda c: F.transform(c, lambda s: F.struct(s["start"].alias("start"), s["stop"].alias("stop")))
     with_spans = found.where(F.size("__spans") > 0)
-    waiting = found.where(further).join(judged(with_spans, owner_col, repo_col), "__rid", "left").withColumn("__cut", F.coalesce(slim, F.array().cast("array<struct<start:int,stop:int>>")))
-    ready = found.where(~further).withColumn("spans", F.col("__spans")).withColumn("__cut", slim)
-    rows = waiting.select(*columns, "__cut").unionByName(ready.select(*columns, "__cut"))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema if f.name != "__cut")
-    return rows.mapInArrow(_redact(columns.index(text_col), len(columns), mark), schema)
+    waiting = found.where(further).join(judged(with_spans, name[owner_col], name[repo_col]), "__rid", "left").withColumn("__cut", F.coalesce(slim("spans"), F.array().cast(places)))
+    ready = found.where(~further).withColumn("__cut", slim("__spans"))
+    cut = waiting.select(*name.values(), "__cut").unionByName(ready.select(*name.values(), "__cut"))
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in cut.schema if f.name != "__cut")
+    done = cut.mapInArrow(_redact(columns.index(text_col), len(columns), mark), schema)
+    return done.select(*(F.col(n).alias(c) for c, n in name.items()))
