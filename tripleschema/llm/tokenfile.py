@@ -231,7 +231,7 @@ def tokenised(docs: DataFrame, tokenizer_path: str, end_id: int | None, width: i
 def _count(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(0, np.int64)
-        for batch in batches:
+        for batch in slices(batches, text=0):
             ids = np.frombuffer(b"".join(x for x in batch.column(0).to_pylist() if x), f"<u{width}")
             more = np.bincount(ids, minlength=len(total))
             more[: len(total)] += total
@@ -254,7 +254,7 @@ def global_counts(tokens: DataFrame, width: int) -> dict[int, int]:
 def _code_docs(code: tuple, width: int, bounds: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = _code(code)
-        for part in slices(batches):
+        for part in slices(batches, limit=1 << 20):  # the arrays of the coder take some fifty bytes for each of an id
             ids, n, coded, marks = [np.frombuffer(x, f"<u{width}") for x in part.column(1).to_pylist()], [], [], []
             payload, bit_at, mark = c.encode(ids)
             stop = [*(bit_at[1:] // 8).tolist(), len(payload)]
