@@ -292,3 +292,72 @@ def gen_rules(spark: SparkSession, d: str) -> DataFrame:
 
 
 register("gen_rules_lineitem", gen_rules, f"SELECT 'r' || (i // 3) AS rule_id, '?v0 m' || max(CASE WHEN i % 3 = 0 THEN x % 150 END) || ' ?v1 , ?v1 m' || max(CASE WHEN i % 3 = 1 THEN x % 150 END) || ' ?v2 => ?v0 m' || max(CASE WHEN i % 3 = 2 THEN x % 150 END) || ' ?v2' AS rule FROM ({_DRAWS}) g WHERE i < 300 GROUP BY i // 3")
+
+
+# -- shapes, schema properties and the instance test
+
+SHAPES = (
+    {"target_objects_of": ":senses", "in": [":Gas", ":Badge"]},
+    {"id": "holder", "target_class": ":BadgeTag", "path": ":heldBy", "min_count": 1},
+    {"target_objects_of": ":at", "node_kind": "IRI"},
+    {"target_objects_of": ":reads", "node_kind": "IRIOrLiteral"},
+    {"target_objects_of": "a", "in": [":Reading", ":BadgeTag"]},
+)
+
+
+def shapes_to_schema(spark: SparkSession, d: str) -> DataFrame:
+    from tripleschema.functions import shapes
+
+    s = shapes.to_schema(spark, SHAPES)
+    rules = local(spark, [("existential", str(e)) for e in s.existentials], "kind string, text string")
+    return schema.rendered(s.patterns).select(F.lit("pattern").alias("kind"), F.col("pattern").alias("text")).unionByName(rules)
+
+
+def shapes_from_consequence(spark: SparkSession, d: str) -> DataFrame:
+    """The evolved schema as shapes: what a predicate's objects may be."""
+    from tripleschema.functions import shapes
+
+    out = consequence.existential_preserving(event_schema(spark, d), K)
+    rows = [(s["target_objects_of"], ",".join(s.get("in", [s.get("node_kind", "")]))) for s in shapes.from_schema(out.patterns) if "target_objects_of" in s]
+    return local(spark, rows, "predicate string, objects string")
+
+
+_TEXTS = " UNION ALL ".join(f"SELECT 'pattern' AS kind, '{p}' AS text" for p in fixtures.BADGE_PATTERNS)
+register("shapes_to_schema", shapes_to_schema, f"{_TEXTS} UNION ALL SELECT 'existential', '?x a :BadgeTag -> ?x :heldBy ?y'")
+register(
+    "shapes_from_consequence",
+    shapes_from_consequence,
+    "SELECT ':senses' AS predicate, (SELECT string_agg(DISTINCT 'prop:' || event_type, ',' ORDER BY 'prop:' || event_type) FROM events) AS objects UNION ALL SELECT * FROM (VALUES (':at', 'IRI'), (':reads', 'IRIOrLiteral'), (':heldBy', 'IRI'), (':foundIn', 'IRI'), (':intrudes', 'IRI'), ('a', ':BadgeTag,:ClosedArea')) v(predicate, objects)",
+)
+register("vocabulary_events", lambda s, d: event_schema(s, d).vocabulary(), f"SELECT DISTINCT p FROM ({sql.EVENTS}) g")
+
+
+def instance_test(spark: SparkSession, d: str) -> DataFrame:
+    """Whether the graph is an instance of its schema, before and after closure."""
+    p = event_patterns(spark, d)
+    before = check.is_instance(written(tables.events(spark, d), "events"), p, fixtures.EVENT_EXISTENTIALS).ok
+    after = check.is_instance(closed_events(spark, d), p, fixtures.EVENT_EXISTENTIALS).ok
+    return local(spark, [("before", before), ("after", after)], "graph string, instance boolean")
+
+
+register("instance_test_events", instance_test, "SELECT 'before' AS graph, true AS instance UNION ALL SELECT 'after', false")
+
+
+def ucq_mappings(spark: SparkSession, d: str) -> DataFrame:
+    """The rewritten two-atom body as a union of 64 conjunctive queries."""
+    body = K[1].body[:1] + K[1].body[2:]
+    return rewrite.evaluate_ucq(body, written(canon.sandbox(few_patterns(spark, d)), "sandbox"), predicate_vars=False).select(F.concat_ws(",", "v_r", "v_p").alias("mapping"))
+
+
+register("ucq_mappings_events", ucq_mappings, f"SELECT '{LAMBDA},' || o_v AS mapping FROM ({FEW}) f WHERE p_v = ':at' AND EXISTS (SELECT 1 FROM events WHERE event_type = 'error')")
+
+
+def acyclicity(spark: SparkSession, d: str) -> DataFrame:
+    from tripleschema.model import existential as parse
+    from tripleschema.model import weak_acyclicity
+
+    sets = {"star": fixtures.STAR_EXISTENTIALS, "endless": (parse("e", "?x :p ?y -> ?y :p ?z"),)}
+    return local(spark, [(k, weak_acyclicity(v)[0]) for k, v in sets.items()], "rules string, weakly_acyclic boolean")
+
+
+register("weak_acyclicity", acyclicity, "SELECT 'star' AS rules, true AS weakly_acyclic UNION ALL SELECT 'endless', false")
