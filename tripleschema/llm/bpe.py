@@ -36,8 +36,8 @@ LATIN = "[\\x00-\u02af\u2010-\u201f\u2022\u2026\u20ac]*+"
 _L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af", "0-9\xb2\xb3\xb9\xbc\xbd\xbe", "\\t-\\r \x85\xa0"
 LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]++|[{_S}]+(?![^{_S}])|[{_S}]+"
 
-WORDS_KEPT = 200_000  # encodings of words in each of the two generations that a worker remembers
-LIBRARY_WORDS_KEPT = 300_000  # the same where the library encodes
+WORDS_KEPT = 120_000  # encodings of words in each of the two generations that a worker remembers
+LIBRARY_WORDS_KEPT = 400_000  # the same where the library encodes
 PAIRS_KEPT = 250_000  # stability results it remembers
 
 

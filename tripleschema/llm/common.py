@@ -52,7 +52,9 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 
 def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
-    """Cut batches into runs of rows of at most ``limit`` bytes of column ``text`` (one row at least)."""
+    """Cut batches into runs of rows of at most ``limit`` bytes of column ``text`` (one row at least).
+
+    Between runs Arrow gives back what it no longer needs, as a worker's memory counts against its executor."""
     for batch in batches:
         col = batch.column(text)
         size = pc.fill_null(pc.binary_length(col), 0).to_pylist()
@@ -60,6 +62,7 @@ def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_
         for i, n in enumerate(size):
             if total + n > limit and i > start:
                 yield batch.slice(start, i - start)
+                pa.default_memory_pool().release_unused()
                 start, total = i, 0
             total += n
         if start < batch.num_rows:

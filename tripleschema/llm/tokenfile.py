@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema.llm import bpe
-from tripleschema.llm.common import prepare, shared_dir, slices
+from tripleschema.llm.common import SLICE_BYTES, prepare, shared_dir, slices
 
 LONGEST = 16  # bits of a code
 EVERY = 128  # ids between checkpoints
@@ -115,7 +115,7 @@ class Code:
         last = np.cumsum(lanes) - 1
         n = np.full(len(marks), EVERY, np.int64)
         n[last[lanes > 0]] = (count - (lanes - 1) * EVERY)[lanes > 0]
-        out = np.zeros((len(marks), EVERY), np.uint32)
+        out = np.zeros((EVERY, len(marks)), np.uint32)
         order = np.argsort(-n, kind="stable")  # lanes that end early are at the end
         at, left = marks[order].astype(np.int64), n[order]
         top = np.uint64(64 - LONGEST)
@@ -125,9 +125,11 @@ class Code:
                 break
             p = at[:live]
             key = ((pair[p >> 5] << (p & 31).astype(np.uint64)) >> top).astype(np.int64)
-            out[order[:live], k] = self.id_at[key]
+            out[k, :live] = self.id_at[key]
             at[:live] += self.bits_at[key]
-        return out[np.arange(EVERY)[None, :] < n[:, None]]
+        lane = np.empty((len(marks), EVERY), np.uint32)
+        lane[order] = out.T
+        return lane[np.arange(EVERY)[None, :] < n[:, None]]
 
 
 @lru_cache(maxsize=2)
@@ -207,9 +209,8 @@ def _tokenise(path: str, end_id: int | None, width: int, specials: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = column_tokeniser(path, width)
         end = enc.words.pack([end_id]) if end_id is not None else b""
-        for part in slices(batches):
+        for part in slices(batches, limit=2 * SLICE_BYTES):
             yield pa.RecordBatch.from_arrays([part.column(0), enc.encode(part.column(1), specials, end).cast(pa.binary())], ["doc_id", "ids"])
-            pa.default_memory_pool().release_unused()
 
     return run
 
@@ -389,8 +390,7 @@ def _flatten(path: str, end_id: int, width: int, block: int):
         def row(payload: bytes | None, n: int, ids: list | None) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array([file], pa.int32()), pa.array([n], pa.int32()), pa.array([payload], pa.binary()), pa.array([doc], pa.int64()), pa.array([ids], pa.list_(pa.int64()))], names)
 
-        for part in slices(batches):
-            pa.default_memory_pool().release_unused()
+        for part in slices(batches, limit=2 * SLICE_BYTES):
             coded = enc.encode(part.column(1), False, end)
             held.append(coded.buffers()[2].to_pybytes())
             size += len(held[-1])
