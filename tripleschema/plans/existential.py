@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from tripleschema.model import Atom, Existential, Pattern, Rule, is_var, recursive_predicates, renamed, unify, weak_acyclicity
 from tripleschema.operators.schema import PLACES, Schema
 from tripleschema.plans import batch, canon, witness
-from tripleschema.plans.tables import local, written
+from tripleschema.plans.tables import local, prepare, written
 
 #: Pattern tables up to this size travel with the witnesses.
 MOST_PATTERNS = 100_000
@@ -171,6 +171,7 @@ def tested(schema: Schema, rules: Sequence[Rule], faithful: bool = False, specia
     if not ok:
         raise ValueError(f"the existential rules may invent values without end: {cycle}")
     spark = schema.patterns.sparkSession
+    prepare(spark)
     unfolded, complete = unfold(schema.existentials, rules, specialised, max_depth)
     if not unfolded:
         return Tested(local(spark, [], _TESTED), complete, [])

@@ -264,7 +264,9 @@ register("ops_session", session, "WITH a AS (SELECT user_id, ts, CASE WHEN epoch
 
 def udtf_expand(spark: SparkSession, d: str) -> DataFrame:
     from tripleschema.functions.udtf import expand_pattern
+    from tripleschema.plans.tables import prepare
 
+    prepare(spark)
     spark.udtf.register("expand_pattern", expand_pattern())
     atom = fixtures.EVENT_RULES[0].body[0]
     return spark.sql(f"SELECT s, p, o FROM expand_pattern('{atom.s}', '{atom.p}', '{atom.o}')")
