@@ -4,7 +4,7 @@ import random
 
 import pytest
 
-from tripleschema.llm import nearcopies
+from tripleschema.llm import nearcopies, secrets
 
 
 def words(rng, n):
@@ -56,3 +56,12 @@ def test_pipeline_stage_drops_near_copies(spark):
     rows = [(1, " ".join(text)), (2, " ".join([*text[:30], "changed", *text[31:]])), (3, " ".join(words(random.Random(2), 70)))]
     kept = corpus_pipeline.near_dedup(spark, spark.createDataFrame(rows, "doc_id long, text string"), "")
     assert sorted(r.doc_id for r in kept.collect()) == [1, 3]
+
+
+def test_secrets_of_two_owners_are_reported_and_masked(spark):
+    key, wide = "ghp_" + "aB3" * 13, "sk_live_" + "cD4" * 7
+    rows = [(1, f"x {key}", "o1"), (2, f"y {key}", "o2"), *((10 + k, f"z {wide}", f"o{k}") for k in range(3))]
+    table = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    assert {r.doc_id: [s.verdict for s in r.spans] for r in secrets.scan(table).collect()} == {1: ["shared"], 2: ["shared"], 10: [], 11: [], 12: []}
+    masked = {r.doc_id: r.text for r in secrets.redacted(table).collect()}
+    assert masked == {1: "x [secret]", 2: "y [secret]"} | {10 + k: f"z {wide}" for k in range(3)}

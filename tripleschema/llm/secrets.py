@@ -1,8 +1,8 @@
 """Secret scan with corpus-wide ownership frequency.
 
 Three base kinds are always reported.  Further candidates (issued token formats, mixed random-looking strings) count
-only if they look live: their hash occurs with a single owner in the whole corpus.  An example that many owners have
-copied from documentation is known by the number of distinct owners and repositories that hold it.
+unless they are examples: an example that many owners have copied from documentation is known by the number of distinct
+owners and repositories that hold it in the whole corpus.  A string with few owners may be a live key in a copied page.
 """
 
 from __future__ import annotations
@@ -101,11 +101,11 @@ def judged(found: DataFrame, owner: str, repo: str) -> DataFrame:
     """``__rid, spans`` of the rows with a span, spans as structs with owners and verdict, in order.
 
     ``found`` must be a written table with a unique ``__rid``.  A span is live (one owner), shared, or an example (many
-    owners).  Base spans all stay, whatever their verdict; further ones stay only if they are live."""
+    owners).  Base spans all stay, whatever their verdict; further ones stay unless they are examples."""
     owners = ownership(found, owner, repo)
     each = found.select("__rid", F.explode("__spans").alias("s")).select("__rid", "s.*").join(owners, "hash")
     verdict = F.when(F.col("n_owners") == 1, "live").when(F.col("n_owners") < EXAMPLE_OWNERS, "shared").otherwise("example").alias("verdict")
-    each = each.select("__rid", F.struct("start", "kind", "stop", "hash", "n_owners", "n_repos", verdict).alias("s")).where((F.col("s.kind") < len(BASE)) | (F.col("s.verdict") == "live"))
+    each = each.select("__rid", F.struct("start", "kind", "stop", "hash", "n_owners", "n_repos", verdict).alias("s")).where((F.col("s.kind") < len(BASE)) | (F.col("s.verdict") != "example"))
     return each.groupBy("__rid").agg(F.sort_array(F.collect_list("s")).alias("spans"))
 
 
