@@ -10,7 +10,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
-from itertools import combinations
+from itertools import chain, combinations
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -24,6 +24,8 @@ from tripleschema.plans.tables import local, prepare, written
 MOST_PATTERNS = 100_000
 #: Unfoldings of recursive rules, unless asked for otherwise.
 RECURSIVE_DEPTH = 3
+#: Verdicts of a worker's table at most.
+BATCH = 1_000
 
 
 def triggers(e: Existential, r: Rule) -> list[int]:
@@ -130,13 +132,17 @@ def ground(case_id: str, body: Sequence[Atom], binding: Sequence[str | None], fi
     stand, fresh literals."""
     names = list(dict.fromkeys(v for a in body for v in a.variables()))
     free = [i for i, (v, b) in enumerate(zip(names, binding, strict=True)) if b is None and i not in firm]
-    choices = [c for k in range(len(free) + 1) for c in combinations(free, k)] if literals and len(free) <= 8 else [()]
+    choices = chain.from_iterable(combinations(free, k) for k in range(len(free) + 1)) if literals else [()]
     for c in choices:
         fill = {v: b if b is not None else (f'"w{i}"' if i in c else f"w:{i}") for i, (v, b) in enumerate(zip(names, binding, strict=True))}
         yield f"{case_id}:{''.join(map(str, c)) or '-'}", frozenset(a.replaced(fill) for a in body)
 
 
 def _test_batches(cases: dict, existentials, rules, patterns, literals: bool, explain: bool):
+    def table(out: list[tuple]) -> pa.RecordBatch:
+        kinds = [pa.string(), pa.string(), pa.string(), pa.bool_(), *[pa.list_(pa.string())] * 3]
+        return pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], [c.split()[0] for c in _TESTED.split(", ")])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch_ in batches:
             out = []
@@ -147,8 +153,10 @@ def _test_batches(cases: dict, existentials, rules, patterns, literals: bool, ex
                     found = witness.violates(graph, e, existentials, rules, patterns)
                     lines = lambda g: sorted(map(str, g)) if g is not None else []
                     out.append((e.id, case_id, f"{name}:{bound}", found is not None, lines(graph), lines(found and found[0]) if explain else [], lines(found and found[1]) if explain else []))
-            kinds = [pa.string(), pa.string(), pa.string(), pa.bool_(), *[pa.list_(pa.string())] * 3]
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], [c.split()[0] for c in _TESTED.split(", ")])
+                    if len(out) == BATCH:
+                        yield table(out)
+                        out = []
+            yield table(out)
 
     return run
 
