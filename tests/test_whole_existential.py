@@ -5,6 +5,15 @@ from tripleschema.operators import schema
 from tripleschema.plans import existential as ex
 
 
+def test_all_bodies_without_recursion():
+    rules = [rule(f"r{i}{j}", f"?x :s{i}_{j} ?y => ?x :p{i} ?y") for i in range(4) for j in range(6)]
+    body = rule("b", "?a :p0 ?b, ?b :p1 ?c, ?c :p2 ?d, ?d :p3 ?e => ?a :q ?e").body
+    found = ex.rewritings(body, rules)
+    assert found.complete and len(found.bodies) == 7**4
+    assert not ex.rewritings(body, rules, limit=100).complete
+    assert ex.unfold([existential("e", "?x :q ?y -> ?y :z ?w")], [*rules, rule("b", "?a :p0 ?b, ?b :p1 ?c => ?a :q ?c")], limit=10)[1] == {"e": False}
+
+
 def test_literals_in_long_bodies(spark):
     more = [f":s{i}" for i in range(8)]
     s = schema.schema(spark, ["* :r **", *(f"* {p} **" for p in more)], [existential("e", "?x :p ?y -> ?y :q ?z")])

@@ -24,6 +24,8 @@ from tripleschema.plans.tables import local, prepare, written
 MOST_PATTERNS = 100_000
 #: Unfoldings of recursive rules, unless asked for otherwise.
 RECURSIVE_DEPTH = 3
+#: Bodies of recursive rules, unless asked for otherwise; without recursion there is no bound.
+RECURSIVE_BODIES = 2_000
 #: Verdicts of a worker's table at most.
 BATCH = 1_000
 
@@ -67,12 +69,15 @@ class Rewritings:
     complete: bool
 
 
-def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None = None, limit: int = 2_000) -> Rewritings:
+def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None = None, limit: int | None = None) -> Rewritings:
     """All bodies from which the rules can derive ``body``, itself included.
 
     Each step unfolds one atom by a rule with a fitting head.  Without recursion this ends by itself and is complete;
-    recursive rules are unfolded ``max_depth`` times (RECURSIVE_DEPTH unless given), and the result says so."""
-    depth = max_depth if max_depth is not None else (RECURSIVE_DEPTH if recursive_predicates(rules) else 1 << 30)
+    recursive rules are unfolded ``max_depth`` times to ``limit`` bodies (RECURSIVE_DEPTH and RECURSIVE_BODIES unless
+    given), and the result says so."""
+    recursive = bool(recursive_predicates(rules))
+    depth = max_depth if max_depth is not None else (RECURSIVE_DEPTH if recursive else 1 << 30)
+    most = limit if limit is not None else (RECURSIVE_BODIES if recursive else 1 << 60)
     first = _normal(body)
     found, frontier, complete, step = {first}, [first], True, 0
     while frontier and step < depth:
@@ -87,7 +92,7 @@ def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | Non
                             continue
                         new = _normal([x.replaced(m) for x in (*b[:i], *b[i + 1 :], *body_r)])
                         if new not in found and not any(t.startswith('"') for x in new for t in x[:2]):
-                            if len(found) >= limit:
+                            if len(found) >= most:
                                 return Rewritings(sorted(found), False)
                             found.add(new)
                             following.append(new)
@@ -105,7 +110,7 @@ class Unfolded:
     body: tuple[Atom, ...]
 
 
-def unfold(existentials: Sequence[Existential], rules: Sequence[Rule], do_specialise: bool = True, max_depth: int | None = None) -> tuple[list[Unfolded], dict[str, bool]]:
+def unfold(existentials: Sequence[Existential], rules: Sequence[Rule], do_specialise: bool = True, max_depth: int | None = None, limit: int | None = None) -> tuple[list[Unfolded], dict[str, bool]]:
     """All bodies to test, and for each existential rule whether they are all there are."""
     out, complete, known = [], {e.id: True for e in existentials}, {}
     for e in existentials:
@@ -115,7 +120,7 @@ def unfold(existentials: Sequence[Existential], rules: Sequence[Rule], do_specia
                 start = specialise(r, h, e.a) if do_specialise else r
                 key = _normal(start.body)
                 if key not in known:
-                    known[key] = rewritings(start.body, rules, max_depth)
+                    known[key] = rewritings(start.body, rules, max_depth, limit)
                 complete[e.id] &= known[key].complete
                 for body in known[key].bodies:
                     if body not in seen:
@@ -171,7 +176,7 @@ class Tested:
     cases: list[Unfolded]
 
 
-def tested(schema: Schema, rules: Sequence[Rule], faithful: bool = False, specialised: bool = True, witness_literals: bool = True, strict_witness: bool = True, max_depth: int | None = None, explain: bool = False) -> Tested:
+def tested(schema: Schema, rules: Sequence[Rule], faithful: bool = False, specialised: bool = True, witness_literals: bool = True, strict_witness: bool = True, max_depth: int | None = None, explain: bool = False, limit: int | None = None) -> Tested:
     """Every witness with its verdict.  ``faithful`` switches the three refinements off."""
     if faithful:
         specialised = witness_literals = strict_witness = False
@@ -180,7 +185,7 @@ def tested(schema: Schema, rules: Sequence[Rule], faithful: bool = False, specia
         raise ValueError(f"the existential rules may invent values without end: {cycle}")
     spark = schema.patterns.sparkSession
     prepare(spark)
-    unfolded, complete = unfold(schema.existentials, rules, specialised, max_depth)
+    unfolded, complete = unfold(schema.existentials, rules, specialised, max_depth, limit)
     if not unfolded:
         return Tested(local(spark, [], _TESTED), complete, [])
     c = batch.cases(spark, [batch.body_rule(u.case_id, u.body) for u in unfolded])
