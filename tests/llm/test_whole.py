@@ -4,7 +4,7 @@ import random
 
 import pytest
 
-from tripleschema.llm import nearcopies, secrets
+from tripleschema.llm import html_layout, nearcopies, secrets
 
 
 def words(rng, n):
@@ -65,3 +65,19 @@ def test_secrets_of_two_owners_are_reported_and_masked(spark):
     assert {r.doc_id: [s.verdict for s in r.spans] for r in secrets.scan(table).collect()} == {1: ["shared"], 2: ["shared"], 10: [], 11: [], 12: []}
     masked = {r.doc_id: r.text for r in secrets.redacted(table).collect()}
     assert masked == {1: "x [secret]", 2: "y [secret]"} | {10 + k: f"z {wide}" for k in range(3)}
+
+
+@pytest.mark.parametrize(
+    ("page", "text"),
+    [
+        ("<table><tbody><form><tr><td>x<td>y</tr></form></tbody></table>z", "x  y\n\nz"),
+        ("<table><tbody><div>x</div><tr><td>y</table>", "x\ny"),
+        ("a <math><mi>x</mi><mo>=</mo><mn>1</mn><annotation>tex</annotation></math> b", "a x=1 b"),
+        ("a <svg><title>t</title><defs><text>no</text></defs><circle r=1 /><g><text>one</text></g></svg> b", "a one b"),
+        ("a <select><option>x<option selected>y</select> b", "a y b"),
+        ("a <select><option disabled>x<optgroup label=g><option>y</select>", "a y"),
+        ("<select multiple><option>x<option>y</select>", "x\ny"),
+    ],
+)
+def test_html_keeps_all_visible_text(page, text):
+    assert html_layout.render(page) == text

@@ -22,10 +22,12 @@ from pyspark.sql import functions as F
 from tripleschema.llm.common import prepare, slices
 
 #: Kinds of elements.
+SECTIONS = frozenset("tbody thead tfoot".split())
+NOT_DRAWN = frozenset("defs symbol metadata desc clippath mask pattern marker".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style xmp iframe noembed noframes".split())
 RAW_TEXT = frozenset("textarea title".split())
-UNSEEN = frozenset("head title script style template noscript noembed noframes iframe object canvas audio video svg math datalist select map".split())
+UNSEEN = frozenset("head title script style template noscript noembed noframes iframe object canvas audio video datalist map annotation annotation-xml".split())
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol optgroup option p pre search section summary table tbody td tfoot th thead tr ul caption".split())
 SPACED = frozenset("blockquote dl fieldset figure h1 h2 h3 h4 h5 h6 hr ol p pre table ul menu dir".split())
 CLOSES_P = (BLOCK - {"body", "html", "option", "optgroup", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "legend"}) | {"li", "dd", "dt"}
@@ -146,7 +148,9 @@ def parse(html: str) -> Node:
         if stack[-1].tag == "head" and tag not in ("title", "meta", "link", "base", "script", "style", "noscript", "template"):
             stack.pop()
         stack[-1].kids.append(node)
-        if tag in VOID or (m[5].endswith("/") and tag in ("svg", "path")):
+        if tag in VOID or (m[5].endswith("/") and (tag in ("svg", "path", "math") or any(e.tag in ("svg", "math") for e in stack))):
+            continue
+        if tag == "form" and (stack[-1].tag in SECTIONS or stack[-1].tag in ("table", "tr")):  # holds nothing there
             continue
         if tag in RAW or tag in RAW_TEXT:
             end = re.compile(rf"</{tag}(?=[\s/>])", re.IGNORECASE).search(html, at)
@@ -277,6 +281,12 @@ def _walk(node: Node, canvas: Canvas, visible: bool, preformatted: bool) -> None
         if tag == "input" and visible and node.attrs.get("type", "").lower() in ("submit", "button", "reset"):
             canvas.word(node.attrs.get("value", ""), False)
         return
+    if tag == "svg":
+        _drawn(node, canvas, visible)
+        return
+    if tag == "select":
+        _select(node, canvas, visible)
+        return
     spaced = block and tag in SPACED
     nested = tag in ("ul", "ol", "menu", "dir") and canvas.indent != ""
     if block:
@@ -316,6 +326,47 @@ def _walk(node: Node, canvas: Canvas, visible: bool, preformatted: bool) -> None
             canvas.pad()
 
 
+def _drawn(node: Node, canvas: Canvas, visible: bool) -> None:
+    """The text elements of a drawing."""
+    for kid in node.kids:
+        if isinstance(kid, Node) and kid.tag not in NOT_DRAWN and not removed(kid):
+            if kid.tag in ("text", "foreignobject"):
+                canvas.word(" ", False)
+                _walk(kid, canvas, visible, False)
+                canvas.word(" ", False)
+            else:
+                _drawn(kid, canvas, {"hidden": False, "collapse": False, "visible": True}.get(style(kid).get("visibility", ""), visible))
+
+
+def _options(node: Node) -> Iterator[Node]:
+    for kid in node.kids:
+        if isinstance(kid, Node) and not removed(kid):
+            if kid.tag == "option":
+                yield kid
+            else:
+                yield from _options(kid)
+
+
+def _select(node: Node, canvas: Canvas, visible: bool) -> None:
+    """A list box shows all its options, a closed menu the selected one, or else the first that is not disabled."""
+    options = list(_options(node))
+    if "multiple" in node.attrs or _number(node.attrs.get("size", ""), 1) > 1:
+        for kid in node.kids:
+            if isinstance(kid, Node) and not removed(kid):
+                if kid.tag == "optgroup" and visible and kid.attrs.get("label"):
+                    canvas.line()
+                    canvas.word(kid.attrs["label"], False)
+                    canvas.line()
+                _walk(kid, canvas, visible, False)
+        return
+    chosen = [o for o in options if "selected" in o.attrs][-1:] or [o for o in options if "disabled" not in o.attrs][:1] or options[:1]
+    for option in chosen:
+        canvas.word(" ", False)
+        if visible:
+            canvas.word(option.attrs.get("label") or " ".join(" ".join(_cell(option, True)).split()), False)
+        canvas.word(" ", False)
+
+
 def _number(text: str, default: int) -> int:
     m = re.match(r"\s*([+-]?\d{1,9})", text)
     return int(m[1]) if m else default
@@ -356,6 +407,16 @@ def _rows(node: Node) -> Iterator[Node]:
                 yield from _rows(kid)
 
 
+def _misplaced(node: Node) -> Iterator[Node]:
+    """Captions, and what stands between rows, which is shown before the table."""
+    for kid in node.kids:
+        if isinstance(kid, Node) and not removed(kid):
+            if kid.tag in SECTIONS:
+                yield from _misplaced(kid)
+            elif kid.tag not in ("tr", "col", "colgroup"):
+                yield kid
+
+
 def _cell(node: Node, visible: bool) -> list[str]:
     inner = Canvas()
     _walk(node, inner, visible, False)
@@ -368,10 +429,9 @@ def _cell(node: Node, visible: bool) -> list[str]:
 def _table(node: Node, canvas: Canvas, visible: bool) -> None:
     """Caption, then rows with columns padded to their widest cell; spanned columns share the room, rowspans leave room."""
     visible = {"hidden": False, "collapse": False, "visible": True}.get(style(node).get("visibility", ""), visible)
-    for kid in node.kids:
-        if isinstance(kid, Node) and kid.tag not in ("tr", "tbody", "thead", "tfoot", "col", "colgroup") and not removed(kid):
-            _walk(kid, canvas, visible, False)
-            canvas.line()
+    for kid in _misplaced(node):
+        _walk(kid, canvas, visible, False)
+        canvas.line()
     grid: list[list[tuple[int, int, list[str]]]] = []  # rows of (column, columns, lines)
     below: dict[int, int] = {}  # column -> rows that a cell above still takes
     for row in _rows(node):
