@@ -3,17 +3,25 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
 from pathlib import Path
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Bytes of text that a Python worker holds as Python objects at a time.
 SLICE_BYTES = 4 << 20
+#: Rows of a key beyond which a join spreads it, and how many such keys there can be.
+HOT_ROWS = 500_000
+HOT_KEYS = 2_000
+#: Bits of a membership bitmap at most (32 MB).
+MOST_BITS = 1 << 28
 
 _ROOT = str(Path(__file__).resolve().parents[2])
 
@@ -31,13 +39,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors see: ``spark.checkpoint.dir``; a temporary one only where it is unset (local tests)."""
+    """The folder all executors see: ``spark.checkpoint.dir``.  A local master gets a temporary one where it is unset."""
     conf = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if conf:
         return conf.rstrip("/")
     known = spark.sparkContext._jsc.sc().getCheckpointDir()
     if known.isDefined():
         return known.get().rstrip("/")
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     own = f"file://{tempfile.mkdtemp(prefix='tripleschema-')}"
     spark.sparkContext.setCheckpointDir(own)
     return own
@@ -48,7 +58,20 @@ def written(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.kept_at = path
+    return out
+
+
+def delete(spark: SparkSession, path: str) -> None:
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def removed(*tables: DataFrame) -> None:
+    """Delete written tables that nothing reads any more."""
+    for t in tables:
+        delete(t.sparkSession, t.kept_at)
 
 
 def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -67,3 +90,58 @@ def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_
             total += n
         if start < batch.num_rows:
             yield batch.slice(start)
+
+
+# -- joins whose keys may be hot
+
+
+def spread_join(left: DataFrame, right: DataFrame, keys: list[str], n: str, hot_rows: int = HOT_ROWS) -> DataFrame:
+    """Inner join with a written table that has each key once and in ``n`` the rows that ``left`` has of it.
+
+    Keys with over ``hot_rows`` rows (and over a HOT_KEYS-th of all) are joined where their rows are: there are under
+    HOT_KEYS of them, so that side is broadcast.  All others are shuffled.  ``n`` is not returned."""
+    top, total = right.agg(F.max(n), F.sum(n)).first()
+    bound = max(hot_rows, (total or 0) // HOT_KEYS)
+    if (top or 0) <= bound:
+        return left.join(right.drop(n), keys)
+    hot = F.broadcast(right.where(F.col(n) > bound))
+    cold = left.join(hot.select(keys), keys, "left_anti").join(right.where(F.col(n) <= bound).drop(n), keys)
+    return left.join(hot.drop(n), keys).unionByName(cold)
+
+
+# -- membership
+
+
+def hash_longs(values: np.ndarray) -> np.ndarray:
+    """What the SQL function xxhash64 gives for longs, as unsigned numbers."""
+    u = np.uint64
+    p1, p2, p3, p4, p5 = u(0x9E3779B185EBCA87), u(0xC2B2AE3D27D4EB4F), u(0x165667B19E3779F9), u(0x85EBCA77C2B2AE63), u(0x27D4EB2F165667C5)
+    turn = lambda x, k: (x << u(k)) | (x >> u(64 - k))
+    with np.errstate(over="ignore"):
+        h = (u(42) + p5 + u(8)) ^ (turn(values.astype(np.int64).view(u) * p2, 31) * p1)
+        h = turn(h, 27) * p1 + p4
+        h = (h ^ (h >> u(33))) * p2
+        h = (h ^ (h >> u(29))) * p3
+        return h ^ (h >> u(32))
+
+
+def member_bits(keys: DataFrame, most: int = MOST_BITS) -> np.ndarray | None:
+    """A bitmap that has a bit set for each long of the only column of ``keys``, sixteen bits for each at least.
+
+    Built by aggregation and at most ``most`` bits long; None if the keys need more."""
+    n = keys.count()
+    if 16 * n > most:
+        return None
+    bits = max(1 << 15, 1 << (16 * n).bit_length())
+    at = F.xxhash64(F.col(keys.columns[0]).cast("long")).bitwiseAND(bits - 1) + 1
+    rows = keys.select(at.alias("at")).groupBy(F.bitmap_bucket_number("at").alias("part")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("at")).alias("bits")).collect()
+    out = np.zeros(bits // 8, np.uint8)
+    for r in rows:
+        out[(r.part - 1) * 4096 : r.part * 4096] = np.frombuffer(bytes(r.bits), np.uint8)[: len(out)]
+    return out
+
+
+def may_be_in(bits: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """Which of the values may be members: all members, and few others."""
+    at = (hash_longs(values) & np.uint64(8 * len(bits) - 1)).astype(np.int64)
+    return (bits[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import prepare, slices, written
+from tripleschema.llm.common import prepare, removed, slices, spread_join, written
 from tripleschema.llm.components import connected_components
 
 BANDS = ((0, 13), (13, 13), (26, 13), (39, 13), (52, 12))  # first bit and width
@@ -26,6 +26,7 @@ RADIUS = 3
 CHUNK = 2048
 SMALL = 48  # buckets up to this size are compared together, pair by pair
 LANES = 1 << 17  # pairs compared at a time
+WIDE = 256  # bits of a wide fingerprint
 FULL = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
@@ -82,22 +83,59 @@ def bit_planes(values: np.ndarray) -> np.ndarray:
     return out.view(np.uint64)
 
 
-def near_lanes(differ, shape: tuple[int, ...], radius: int = RADIUS) -> np.ndarray:
-    """Words with a one in each lane whose count over the 64 planes ``differ(k)`` is at most ``radius`` (0 to 3).
+def near_lanes(differ, shape: tuple[int, ...], radius: int = RADIUS, planes: int = 64) -> np.ndarray:
+    """Words with a one in each lane whose count over the planes ``differ(k)`` is at most ``radius``.
+
+    The count is kept in bit-sliced digits and a sticky overflow.  The planes are left once all lanes are beyond."""
+    digits = [np.zeros(shape, np.uint64) for _ in range(max(1, radius.bit_length()))]
+    over = np.zeros(shape, np.uint64)
+
+    def far() -> np.ndarray:
+        more, same = over, np.full(shape, FULL)
+        for i in range(len(digits) - 1, -1, -1):
+            if radius >> i & 1:
+                same = same & digits[i]
+            else:
+                more, same = more | same & digits[i], same & ~digits[i]
+        return more
+
+    for k in range(planes):
+        carry = differ(k)
+        for i, digit in enumerate(digits):
+            digits[i], carry = digit ^ carry, digit & carry
+        over |= carry
+        if k % 8 == 7 and k >= radius and (far() == FULL).all():
+            return np.zeros(shape, np.uint64)
+    return ~far()
+
+
+def wide_fingerprint(hashes: np.ndarray) -> np.ndarray:
+    """Majority bits of a set of 64-bit hashes in WIDE bits, as bytes: more bits tell middling similarities apart."""
+    out = np.zeros(WIDE // 8, np.uint8)
+    for j in range(WIDE // 64):
+        x = (hashes ^ np.uint64(0xD6E8FEB86659FD93 * (j + 1) % (1 << 64))) * np.uint64(0x9E3779B97F4A7C15)
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+        x ^= x >> np.uint64(32)
+        count = np.zeros(64, np.int64)
+        for i in range(0, len(x), 1 << 16):
+            part = x[i : i + (1 << 16)]
+            count += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int32)
+        out[8 * j : 8 * j + 8] = np.packbits(2 * count > len(x))
+    return out
+
+
+def wide_planes(prints: np.ndarray) -> np.ndarray:
+    """WIDE rows of lanes, one lane for each of the fingerprints (rows of bytes)."""
+    packed = np.packbits(np.unpackbits(prints, axis=1).T, axis=1)
+    out = np.zeros((WIDE, -(-packed.shape[1] // 8) * 8), np.uint8)
+    out[:, : packed.shape[1]] = packed
+    return out.view(np.uint64)
+
 
-    The count is kept in two bit-sliced digits and a sticky overflow.  The planes are left once all lanes are beyond."""
-    one, two, over = (np.zeros(shape, np.uint64) for _ in range(3))
-    for k in range(64):
-        x = differ(k)
-        carry = one & x
-        one ^= x
-        over |= two & carry
-        two ^= carry
-        if k % 8 == 7:
-            far = over if radius == 3 else over | (two & one if radius == 2 else two if radius == 1 else two | one)
-            if (far == FULL).all():
-                return np.zeros(shape, np.uint64)
-    return ~(over if radius == 3 else over | (two & one if radius == 2 else two if radius == 1 else two | one))
+def near_wide(planes: np.ndarray, asks: np.ndarray, n: int, radius: int) -> np.ndarray:
+    """For each fingerprint of ``asks``, which of the n lanes differ from it in at most ``radius`` bits."""
+    flip = np.unpackbits(asks, axis=1).T.astype(np.uint64) * FULL
+    return _lanes(near_lanes(lambda k: planes[k][None, :] ^ flip[k][:, None], (len(asks), planes.shape[1]), radius, WIDE), n)
 
 
 def _lanes(words: np.ndarray, n: int) -> np.ndarray:
@@ -228,11 +266,13 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Equal fingerprints are one node, so a large group of copies costs one comparison.  An empty table gives no rows.
     """
     marks = written(fingerprints(docs, id_col, text_col), "fingerprints")
-    classes = written(marks.groupBy("fp").agg(F.min("doc_id").alias("least_id")), "classes")
+    classes = written(marks.groupBy("fp").agg(F.min("doc_id").alias("least_id"), F.count("*").alias("n")), "classes")
     labels = connected_components(linked(classes, radius))
-    of = classes.join(labels, F.col("fp") == F.col("node"), "left").select("fp", "least_id", F.coalesce("label", "fp").alias("label"))
+    of = classes.join(labels, F.col("fp") == F.col("node"), "left").select("fp", "least_id", "n", F.coalesce("label", "fp").alias("label"))
     least = of.groupBy("label").agg(F.min("least_id").alias("component_id"))
-    return marks.join(of.join(least, "label").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
+    named = written(of.join(least, "label").select("fp", "component_id", "n"), "components")
+    removed(classes)
+    return spread_join(marks, named, ["fp"], "n").select("doc_id", "fp", "component_id")
 
 
 def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
