@@ -4,7 +4,8 @@ A byte-pair encoding has a handy structure: a token sequence is what the merges
 neighbours is what they produce for that pair alone, and every prefix of a word has one encoding.  So the encoding
 of a prefix is fixed by its last token and the encoding of the shorter prefix before it.  The distinct words of a
 slice form a trie; walking it depth first, each node gets its last token from the states of its ancestors, once for
-all words below it.  Sorted words visit the nodes in just that order, so only the current path is in memory.
+all words below it.  Sorted words visit the nodes in just that order, so only the last tokens of the current path are in
+memory; the ids of a word are read off them backward, and memory and time are linear in a word's length.
 
 Which pairs of tokens are stable is found by running the merges on the two tokens and kept in a bounded table.
 """
@@ -20,6 +21,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -37,7 +39,7 @@ _L, _N, _S = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u02af", "0-9\xb2\xb3\xb9
 LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]++|[{_S}]+(?![^{_S}])|[{_S}]+"
 
 WORDS_KEPT = 120_000  # encodings of words in each of the two generations that a worker remembers
-LIBRARY_WORDS_KEPT = 400_000  # the same where the library encodes
+LONG = 64  # characters of a word beyond which it is not remembered, so that what is kept is bounded in bytes too
 PAIRS_KEPT = 250_000  # stability results it remembers
 
 
@@ -53,7 +55,6 @@ class WordEncoder:
 
     def __init__(self, special: dict[str, int], width: int = 4):
         self.special, self.width = special, width
-        self.kept = WORDS_KEPT
         self.words = regex.compile(WORD_PATTERN).findall
         self.settled = regex.compile(SETTLED).fullmatch
         self.latin = re.compile(LATIN).fullmatch
@@ -85,9 +86,9 @@ class WordEncoder:
             return self.latin_words(text)
         return self.words(text) if self.settled(text) else self._library_words(text)
 
-    def learn(self, words: Iterable[str], specials: bool) -> None:
-        """Make sure that the encodings of all these words are known."""
-        if len(self.known) > self.kept:
+    def learn(self, words: Iterable[str], specials: bool) -> list[str]:
+        """Make sure that the encodings of all these words are known; those to be forgotten after use."""
+        if len(self.known) > WORDS_KEPT:
             self.known, self.older = {}, self.known
         words = {w for w in words if w not in self.known}
         again = words & self.older.keys()
@@ -98,13 +99,17 @@ class WordEncoder:
                 self.known[s] = self.pack([self.special[s]])
                 words.discard(s)
         self.known.update(self.encode_fresh(words))
+        return [w for w in words if len(w) > LONG]
 
     def encode_texts(self, texts: list[str], specials: bool = True) -> list[bytes]:
         """Ids of each text, packed little-endian."""
         split = [self.split(t, specials) for t in texts]
-        self.learn(set().union(*split), specials)
+        long = self.learn(set().union(*split), specials)
         get = self.known.__getitem__
-        return [b"".join(map(get, words)) for words in split]
+        out = [b"".join(map(get, words)) for words in split]
+        for w in long:
+            del self.known[w]
+        return out
 
 
 class LibraryEncoder(WordEncoder):
@@ -119,22 +124,43 @@ class LibraryEncoder(WordEncoder):
         self.tokenizer.no_padding()
         self.n_ids = self.tokenizer.get_vocab_size(with_added_tokens=True)
         super().__init__({t.content: i for i, t in self.tokenizer.get_added_tokens_decoder().items()}, width)
-        self.kept = LIBRARY_WORDS_KEPT
         self.tokenizer.encode_special_tokens = True  # special strings are split off before
 
     def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:
-        joined = [w for w in words if w[0] == " " and not w[:2].isspace()]  # a text of such words is cut into them again
-        for i in range(0, len(joined), 2048):
-            part = joined[i : i + 2048]
-            e = self.tokenizer.encode("".join(part), add_special_tokens=False)
-            count = np.bincount(np.array(e.word_ids, np.int64))
-            if len(count) != len(part):
-                yield from self._one_by_one(part)
-                continue
-            stop = np.cumsum(count) * self.width
-            ids = self.pack(e.ids)
-            yield from zip(part, map(ids.__getitem__, map(slice, (stop - count * self.width).tolist(), stop.tolist())), strict=True)
-        yield from self._one_by_one([w for w in words if w[0] != " " or w[:2].isspace()])
+        return self._one_by_one(list(words))
+
+    def encode_column(self, words: pa.StringArray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, number of them for each word) of words that begin a text or follow a space in it.
+
+        Words with a space before them are cut apart again in a text of such words, so many are encoded at a time."""
+        count, parts = np.zeros(len(words), np.int64), []
+        spaced = pc.and_(pc.starts_with(words, " "), pc.greater(pc.binary_length(words), 1)).to_numpy(zero_copy_only=False)
+        order = np.r_[np.flatnonzero(spaced), np.flatnonzero(~spaced)]
+        n = int(spaced.sum())
+        words = words.take(pa.array(order))
+        for i in range(0, len(words), 2048):
+            part = words[i : min(i + 2048, n)] if i < n else words[max(i, n) : i + 2048]
+            rest = words[n : i + 2048] if i < n < i + 2048 else None
+            if i < n:
+                e = self.tokenizer.encode(pc.binary_join(pa.array([part.to_pylist()], pa.list_(pa.string())), "")[0].as_py(), add_special_tokens=False)
+                each = np.bincount(np.array(e.word_ids, np.int64))
+                if len(each) == len(part):
+                    count[i : i + len(part)] = each
+                    parts.append(np.array(e.ids, f"<u{self.width}"))
+                    part = None
+            for some, at in ((part, i), (rest, n)):
+                if some is not None:
+                    for j, e in enumerate(self.tokenizer.encode_batch_fast(some.to_pylist(), add_special_tokens=False)):
+                        count[at + j] = len(e.ids)
+                        parts.append(np.array(e.ids, f"<u{self.width}"))
+        ids = np.concatenate(parts) if parts else np.zeros(0, f"<u{self.width}")
+        stop = np.cumsum(count)
+        back = np.empty(len(order), np.int64)
+        back[order] = np.arange(len(order))
+        size = count[back]
+        start = (stop - count)[back]
+        at = np.repeat(start - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+        return ids[at], size
 
     def _one_by_one(self, words: list[str]) -> Iterable[tuple[str, bytes]]:
         for i in range(0, len(words), 4096):
@@ -156,7 +182,10 @@ class TrieEncoder(WordEncoder):
         self.bytes_of: dict[int, bytes] = {i: raw(t) for t, i in vocab.items()}
         self.vocab = {b: i for i, b in self.bytes_of.items()}
         self.size = {i: len(b) for i, b in self.bytes_of.items()}
-        self.longest = max(self.size.values())
+        self.reaches: dict[bytes, int] = {}
+        for token, n in sorted(zip(self.vocab, map(len, self.vocab), strict=True), key=lambda x: x[1]):
+            if n > 1:
+                self.reaches[token[-2:]] = n
         super().__init__({t["content"]: t["id"] for t in spec["added_tokens"]})
         self.bytes_of |= {i: s.encode() for s, i in self.special.items()}
         self.merges: dict[tuple[int, int], tuple[int, int]] = {}
@@ -202,8 +231,8 @@ class TrieEncoder(WordEncoder):
 
     def encode_words(self, words: Iterable[bytes]) -> Iterator[tuple[bytes, bytes]]:
         """(word, ids as little-endian 32-bit integers) for distinct words, in sorted order."""
-        vocab, stable, longest = self.vocab, self.stable, self.longest
-        last, done = [-1], [b""]  # by depth: last token, encoding of the prefix
+        vocab, stable, size, packed = self.vocab, self.stable, self.size, self.packed
+        last = [-1]  # by depth of the path: the last token of the prefix, which points back to where it begins
         before = b""
         for word in sorted(words):
             n, top = 0, min(len(word), len(before))
@@ -212,9 +241,9 @@ class TrieEncoder(WordEncoder):
             else:
                 while word[n] == before[n]:
                     n += 1
-            del last[n + 1 :], done[n + 1 :]
+            del last[n + 1 :]
             for depth in range(n + 1, len(word) + 1):
-                for start in range(max(0, depth - longest), depth):
+                for start in range(max(0, depth - self.reach(word, depth)), depth):
                     t = vocab.get(word[start:depth])
                     if t is None:
                         continue
@@ -229,10 +258,18 @@ class TrieEncoder(WordEncoder):
                     if ok:
                         break
                 last.append(t)
-                done.append(done[start] + self.packed[t])
-            yield word, done[-1]
+            out, at = [], len(word)
+            while at:
+                out.append(packed[last[at]])
+                at -= size[last[at]]
+            out.reverse()
+            yield word, b"".join(out)
             before = word
 
+    def reach(self, word: bytes, depth: int) -> int:
+        """Length of the longest token that ends in the two bytes before ``depth``."""
+        return self.reaches.get(word[depth - 2 : depth], 1) if depth > 1 else 1
+
     def encode_fresh(self, words: set[str]) -> Iterable[tuple[str, bytes]]:
         return ((w.decode(), ids) for w, ids in self.encode_words(w.encode() for w in words))
 

@@ -12,6 +12,7 @@ from pathlib import Path
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -22,6 +23,10 @@ HOT_ROWS = 500_000
 HOT_KEYS = 2_000
 #: Bits of a membership bitmap at most (32 MB).
 MOST_BITS = 1 << 28
+#: Files whose rows are numbered by file and place, at most.
+FILES = 200_000
+#: Rows that go, up to which their numbers are broadcast.
+DROPPED = 4_000_000
 
 _ROOT = str(Path(__file__).resolve().parents[2])
 
@@ -145,3 +150,43 @@ def may_be_in(bits: np.ndarray, values: np.ndarray) -> np.ndarray:
     """Which of the values may be members: all members, and few others."""
     at = (hash_longs(values) & np.uint64(8 * len(bits) - 1)).astype(np.int64)
     return (bits[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)
+
+
+def only_members(rows: DataFrame, keys: DataFrame) -> DataFrame:
+    """``rows`` less most of those whose first column, a long, is not in the only column of ``keys``: what a bitmap of
+    checked size can tell where the rows are.  Beyond that size all rows stay; a join has to decide in either case."""
+    bits = member_bits(keys)
+    if bits is None:
+        return rows
+    bits = rows.sparkSession.sparkContext.broadcast(bits)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array(may_be_in(bits.value, batch.column(0).to_numpy(zero_copy_only=False))))
+
+    return rows.mapInArrow(run, rows.schema)
+
+
+# -- row numbers
+
+
+def without(rows: DataFrame, gone: DataFrame) -> DataFrame:
+    """``rows`` less those whose ``rid`` is in the written table ``gone``, which is broadcast up to DROPPED rows."""
+    return rows.join(F.broadcast(gone) if gone.count() <= DROPPED else gone, "rid", "left_anti")
+
+
+def numbered(rows: DataFrame, of: DataFrame, name: str) -> DataFrame:
+    """``rows``, a projection of ``of``, with a number ``rid`` for each row that is the same in every reading.
+
+    It is the file and the place in it where ``of`` is read from Parquet files, else one given when the rows are written
+    once."""
+    spark = of.sparkSession
+    try:
+        at = rows.select("*", F.col("_metadata.file_path").alias("__file"), F.col("_metadata.row_index").alias("__row"))
+        files = of.select(F.col("_metadata.file_path").alias("f")).distinct().limit(FILES + 1).collect()
+    except AnalysisException:
+        files = None
+    if files is None or len(files) > FILES or any(c.lower() == "_metadata" for c in of.columns):
+        return written(rows.withColumn("rid", F.monotonically_increasing_id()), name)
+    number = spark.createDataFrame([(f, n) for n, f in enumerate(sorted(r[0] for r in files))], "__file string, __number long")
+    return at.join(F.broadcast(number), "__file").withColumn("rid", F.shiftleft("__number", 40).bitwiseOR(F.col("__row"))).drop("__file", "__row", "__number")

@@ -3,8 +3,8 @@
 A benchmark text of m characters that occurs in a document with at most e edits shares at least m + 1 - q(e + 1) of its
 q-grams with it, on diagonals (place in the document minus place in the text) that differ by at most 2e.  Documents are
 searched for the q-grams of all benchmark texts in one vectorised pass; shared ones are counted in overlapping bands of
-diagonals; a band that meets the bound is verified by an alignment within it.  Nothing that the bound keeps is dropped,
-so the result is exactly the occurrences within the edit budget.
+diagonals; a band that meets the bound is verified by an alignment within it and within its document.  Nothing that the
+bound keeps is dropped, so the result is exactly the occurrences within the edit budget, whatever stands beside a row.
 
 Characters are letters and digits in lower case; all others are left out on both sides.
 """
@@ -25,6 +25,7 @@ Q = 8
 RATE = 0.1  # edits for each character of the benchmark text
 BLOCK_CHARS = 8_000_000  # benchmark characters in the memory of a task; a larger benchmark is searched in blocks
 FILTER_BITS = 22
+EXPANDED = 4_000_000  # places of shared q-grams that are counted at a time
 _TURN = np.uint64(0x9E3779B97F4A7C15)
 _GAP = 0x10FFFF  # stands between documents and in no text
 _FAR = np.int32(1 << 20)
@@ -67,7 +68,13 @@ class Index:
 
     def __init__(self, items: list[tuple[int, str]], q: int = Q, rate: float = RATE):
         self.q = q
-        kept = [(i, p) for i, t in items if len(p := letters(t or "")[0]) >= q]
+        kept, self.short = [], {}  # short: items by their letters
+        for i, t in items:
+            p = letters(t or "")[0]
+            if len(p) >= q:
+                kept.append((i, p))
+            elif len(p):
+                self.short.setdefault(p.tobytes(), []).append(i)
         self.ids = [i for i, _ in kept]
         self.points = [p for _, p in kept]
         self.edits = np.array([budget(len(p), q, rate) for p in self.points], np.int64)
@@ -83,8 +90,9 @@ class Index:
         self.seen = np.zeros(1 << FILTER_BITS, bool)
         self.seen[self.grams >> np.uint64(64 - FILTER_BITS)] = True
 
-    def regions(self, points: np.ndarray) -> list[tuple[int, int]]:
-        """(item, first diagonal of the band) that meet the bound of the lemma."""
+    def regions(self, points: np.ndarray, start: np.ndarray) -> list[tuple[int, int, int]]:
+        """(row, item, first diagonal of the band) that meet the bound of the lemma; rows begin at ``start`` in ``points``,
+        and diagonals are counted within a row, so that what else is searched makes no difference."""
         h = gram_hashes(points, self.q)
         at = np.flatnonzero(self.seen[h >> np.uint64(64 - FILTER_BITS)])
         if not len(at) or not len(self.grams):
@@ -92,17 +100,28 @@ class Index:
         k = np.minimum(np.searchsorted(self.grams, h[at]), len(self.grams) - 1)
         hit = self.grams[k] == h[at]
         at, k = at[hit], k[hit]
-        n = self.n[k]
-        entry = np.repeat(self.first[k], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        item = self.item[entry]
-        diagonal = np.repeat(at, n) - self.place[entry] + len(points)  # not negative
-        step = 2 * self.edits[item] + 1
-        band = diagonal // step
-        limit = 3 * len(points) + 3
-        key, count = np.unique(np.concatenate([item * limit + band, item * limit + band - 1]), return_counts=True)
-        item, band = key // limit, key % limit
+        row = np.searchsorted(start, at, "right") - 1
+        longest = max(map(len, self.points))
+        limit, items = int(np.diff(start).max()) + 2 * longest + 3, len(self.ids)
+        keys, counts = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        cut = np.searchsorted(np.cumsum(self.n[k]), np.arange(0, int(self.n[k].sum()) + EXPANDED, EXPANDED))
+        for i, j in zip(cut, [*cut[1:], len(k)], strict=True):  # a frequent q-gram stands for many places
+            kk, n = k[i:j], self.n[k[i:j]]
+            if not len(kk):
+                continue
+            entry = np.repeat(self.first[kk], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            item = self.item[entry]
+            diagonal = np.repeat(at[i:j] - start[row[i:j]], n) - self.place[entry] + longest  # not negative
+            band = diagonal // (2 * self.edits[item] + 1) + 1
+            key = (np.repeat(row[i:j], n) * items + item) * limit + band
+            key, count = np.unique(np.concatenate([key, key - 1]), return_counts=True)
+            keys.append(key)
+            counts.append(count)
+        key, of = np.unique(np.concatenate(keys), return_inverse=True)
+        count = np.bincount(of, weights=np.concatenate(counts), minlength=len(key)).astype(np.int64)
+        row, item, band = key // limit // items, key // limit % items, key % limit - 1
         good = count >= self.need[item]
-        return [(i, b * s - len(points)) for i, b, s in zip(item[good].tolist(), band[good].tolist(), (2 * self.edits[item[good]] + 1).tolist(), strict=True)]
+        return list(zip(row[good].tolist(), item[good].tolist(), (band[good] * (2 * self.edits[item[good]] + 1) - longest).tolist(), strict=True))
 
 
 def banded(pattern: np.ndarray, text: np.ndarray, lo: int, hi: int, most: int, free_start: bool) -> tuple[int, int] | None:
@@ -130,27 +149,24 @@ def banded(pattern: np.ndarray, text: np.ndarray, lo: int, hi: int, most: int, f
 def occurrences(index: Index, texts: list[str | None]) -> list[tuple[int, int, int, int, int]]:
     """(row, item id, edits, start, stop) of all benchmark texts in the texts; places are code points of the row's text.
 
-    An item is reported once for each region of a text; overlapping finds of one item give the best one."""
+    An item is reported once for each region of a text; overlapping finds of one item give the best one.  An item with
+    under q letters is found where it is all that a text has."""
     read = [letters(t or "") for t in texts]
     gap = np.array([_GAP], np.uint32)
     parts = [x for p, _ in read for x in (p, gap)]
     start = np.cumsum([0, *(len(p) + 1 for p, _ in read)])
     points = np.concatenate(parts) if parts else np.zeros(0, np.uint32)
-    found: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
-    for item, diagonal in index.regions(points):
-        pattern, e = index.points[item], int(index.edits[item])
+    found: dict[tuple[int, int], set[tuple[int, int, int]]] = {}
+    for row, item, diagonal in index.regions(points, start):
+        pattern, e, text = index.points[item], int(index.edits[item]), read[row][0]
         wide = 2 * (2 * e + 1)
-        a, b = max(0, diagonal - e), min(len(points), diagonal + wide + len(pattern) + e)
-        got = banded(pattern, points[a:b], diagonal - e - a, diagonal + wide + e - a, e, True)
+        a, b = max(0, diagonal - e), min(len(text), diagonal + wide + len(pattern) + e)
+        got = banded(pattern, text[a:b], diagonal - e - a, diagonal + wide + e - a, e, True)
         if got is None:
             continue
         edits, end = got
-        back = banded(pattern[::-1], points[a : a + end][::-1], -e, e, e, False)
-        stop, begin = a + end, a + end - (back[1] if back else len(pattern))
-        row = int(np.searchsorted(start, begin, "right")) - 1
-        if stop > start[row] + len(read[row][0]):
-            continue
-        found.setdefault((row, item), []).append((edits, begin - int(start[row]), stop - int(start[row])))
+        back = banded(pattern[::-1], text[a : a + end][::-1], -e, e, e, False)
+        found.setdefault((row, item), set()).add((edits, a + end - (back[1] if back else len(pattern)), a + end))
     out = []
     for (row, item), finds in found.items():
         taken: list[tuple[int, int]] = []
@@ -159,6 +175,9 @@ def occurrences(index: Index, texts: list[str | None]) -> list[tuple[int, int, i
                 taken.append((a, b))
                 at = read[row][1]
                 out.append((row, index.ids[item], edits, int(at[a]), int(at[b - 1]) + 1))
+    for row, (p, at) in enumerate(read) if index.short else ():
+        if 0 < len(p) < index.q:
+            out += [(row, i, 0, int(at[0]), int(at[-1]) + 1) for i in index.short.get(p.tobytes(), ())]
     return sorted(out)
 
 
@@ -201,7 +220,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     """One row for each benchmark text found in a document: ``doc_id, item_id, n_edits, start, stop``.
 
     A narrow pass over whole documents for each block of the benchmark.  Null and empty texts hold nothing; benchmark
-    texts with under ``q`` letters and digits are no evidence and match nothing; equal benchmark texts under different
+    texts with under ``q`` letters and digits match only documents that have no other letters; equal benchmark texts under different
     ids are all reported; an empty benchmark or table gives no rows; extra columns are not read."""
     prepare(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))

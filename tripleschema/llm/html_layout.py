@@ -12,6 +12,7 @@ from __future__ import annotations
 import re
 import sys
 import unicodedata
+from bisect import bisect_right
 from collections.abc import Iterator
 from html import unescape
 
@@ -48,10 +49,10 @@ IMPLIED = {
 }
 FENCE = frozenset({"td", "th", "table", "caption", "button", "object"})  # end tags of other elements do not reach beyond
 TABLE_TAGS = frozenset("table tbody thead tfoot tr td th caption".split())
-DEEPEST = 300
+INDENT = 400  # columns; what is nested deeper is not moved further in
 
-MARKUP = re.compile(r"<(?:(!--(?:.*?--!?>|.*))|([!?][^>]*>)|/([a-zA-Z][^\s/>]*)[^>]*>|([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>)", re.DOTALL)
-ATTRIBUTE = re.compile(r"([^\s\"'>/=]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
+MARKUP = re.compile(r"""<(?:(!--(?:.*?--!?>|.*))|([!?][^>]*>)|/([a-zA-Z][^\s/>]*)[^>]*>|([a-zA-Z][^\s/>]*)((?:[^>=]++|=\s*+(?:"[^"]*+"|'[^']*+'|[^\s"'>][^\s>]*+|(?=>)))*+)>)""", re.DOTALL)
+ATTRIBUTE = re.compile(r"""([^\s"'>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>][^\s>]*)))?""")
 GAPS = re.compile(r"[ \t\n\f\r]+")
 
 
@@ -72,30 +73,68 @@ def attributes(raw: str) -> dict[str, str]:
 # -- the tree
 
 
+class Stack:
+    """The open elements, with the places of each kind of element, so that no search walks a deep stack."""
+
+    def __init__(self, root: Node):
+        self.nodes, self.places, self.hosts = [root], {}, [0]  # hosts: the next element out that is no part of a table
+        self.deepest = 1
+
+    def push(self, node: Node) -> None:
+        self.places.setdefault(node.tag, []).append(len(self.nodes))
+        self.hosts.append(self.hosts[-1] if node.tag in TABLE_TAGS else len(self.nodes))
+        self.nodes.append(node)
+        self.deepest = max(self.deepest, len(self.nodes))
+
+    def cut(self, at: int) -> None:
+        for node in self.nodes[at:]:
+            self.places[node.tag].pop()
+        del self.nodes[at:], self.hosts[at:]
+
+    def last(self, tags) -> int:
+        """Place of the innermost open element of these kinds; 0 without one."""
+        return max((found[-1] for t in tags if (found := self.places.get(t))), default=0)
+
+    def close(self, tags, stops) -> None:
+        """Close the outermost open element of ``tags`` that is not beyond one of ``stops`` (seen from inside)."""
+        fence, cut = self.last(stops), 0
+        for t in tags:
+            found = self.places.get(t)
+            if found and found[-1] > fence:
+                at = found[bisect_right(found, fence)]
+                cut = min(cut, at) if cut else at
+        if cut:
+            self.cut(cut)
+
+    def end(self, tag: str) -> None:
+        """An end tag closes its element unless a fence is in between."""
+        table, block = tag in TABLE_TAGS, tag in ("form", "div")
+        fence = self.last(t for t in FENCE if t != tag and not (table and t in ("td", "th", "caption", "button", "object")) and not (t == "button" and block))
+        at = self.last((tag,))
+        if at > fence:
+            self.cut(at)
+        elif tag == "p" and not fence:
+            self.nodes[-1].kids.append(Node("p"))
+
+
 def parse(html: str) -> Node:
     """The tree of a page; any text gives a tree."""
+    return _parsed(html)[0]
+
+
+def _parsed(html: str) -> tuple[Node, int]:
+    """The tree and its depth."""
     root = Node("html")
-    stack = [root]
+    stack = Stack(root)
     at, n = 0, len(html)
 
     def text(raw: str) -> None:
         if raw:
-            top = stack[-1]
+            top = stack.nodes[-1]
             if top.tag in ("table", "tbody", "thead", "tfoot", "tr") and not raw.isspace():
-                top = next((s for s in reversed(stack) if s.tag not in TABLE_TAGS), root)
+                top = stack.nodes[stack.hosts[-1]]
             top.kids.append(unescape(raw) if "&" in raw else raw)
 
-    def close(tags: set[str] | frozenset[str], stops: set[str] | frozenset[str]) -> None:
-        """Close the outermost open element of ``tags`` that is not beyond one of ``stops``."""
-        cut = 0
-        for i in range(len(stack) - 1, 0, -1):
-            if stack[i].tag in stops:
-                break
-            if stack[i].tag in tags:
-                cut = i
-        if cut:
-            del stack[cut:]
-
     while at < n:
         start = html.find("<", at)
         if start < 0:
@@ -116,41 +155,33 @@ def parse(html: str) -> Node:
         if m[3]:
             tag = m[3].lower()
             if tag == "br":
-                stack[-1].kids.append(Node("br"))
-                continue
-            for i in range(len(stack) - 1, 0, -1):
-                t = stack[i].tag
-                if t == tag:
-                    del stack[i:]
-                    break
-                if t in FENCE and not (tag in TABLE_TAGS and t in ("td", "th", "caption", "button", "object")) and not (t == "button" and tag in ("form", "div")):
-                    break
+                stack.nodes[-1].kids.append(Node("br"))
             else:
-                if tag == "p":
-                    stack[-1].kids.append(Node("p"))
+                stack.end(tag)
             continue
         if not m[4]:
             continue
         tag = m[4].lower()
         node = Node(tag, attributes(m[5]) if m[5] and not m[5].isspace() else None)
-        if tag in ("html", "body") and any(s.tag == tag for s in stack):
+        if tag == "html" or (tag == "body" and stack.last(("body",))):
             continue
         if tag in CLOSES_P:
-            close({"p"}, FENCE)
+            stack.close(("p",), FENCE)
         if tag in IMPLIED:
-            close(*IMPLIED[tag])
-        if tag[0] == "h" and len(tag) == 2 and stack[-1].tag in ("h1", "h2", "h3", "h4", "h5", "h6") and tag[1].isdigit():
-            stack.pop()
-        if tag in ("td", "th") and stack[-1].tag in ("table", "tbody", "thead", "tfoot"):
+            stack.close(*IMPLIED[tag])
+        if tag[0] == "h" and len(tag) == 2 and stack.nodes[-1].tag in ("h1", "h2", "h3", "h4", "h5", "h6") and tag[1].isdigit():
+            stack.cut(len(stack.nodes) - 1)
+        if tag in ("td", "th") and stack.nodes[-1].tag in ("table", "tbody", "thead", "tfoot"):
             row = Node("tr")
-            stack[-1].kids.append(row)
-            stack.append(row)
-        if stack[-1].tag == "head" and tag not in ("title", "meta", "link", "base", "script", "style", "noscript", "template"):
-            stack.pop()
-        stack[-1].kids.append(node)
-        if tag in VOID or (m[5].endswith("/") and (tag in ("svg", "path", "math") or any(e.tag in ("svg", "math") for e in stack))):
+            stack.nodes[-1].kids.append(row)
+            stack.push(row)
+        if stack.nodes[-1].tag == "head" and tag not in ("title", "meta", "link", "base", "script", "style", "noscript", "template"):
+            stack.cut(len(stack.nodes) - 1)
+        top = stack.nodes[-1]
+        top.kids.append(node)
+        if tag in VOID or (m[5].endswith("/") and (tag in ("svg", "path", "math") or stack.last(("svg", "math")))):
             continue
-        if tag == "form" and (stack[-1].tag in SECTIONS or stack[-1].tag in ("table", "tr")):  # holds nothing there
+        if tag == "form" and (top.tag in SECTIONS or top.tag in ("table", "tr")):  # holds nothing there
             continue
         if tag in RAW or tag in RAW_TEXT:
             end = re.compile(rf"</{tag}(?=[\s/>])", re.IGNORECASE).search(html, at)
@@ -161,9 +192,8 @@ def parse(html: str) -> Node:
             stop = html.find(">", end.end())
             at = stop + 1 if stop >= 0 else n
             continue
-        if len(stack) < DEEPEST:
-            stack.append(node)
-    return root
+        stack.push(node)
+    return root, stack.deepest
 
 
 # -- visibility
@@ -248,10 +278,11 @@ def render(html: str | None) -> str:
     """All visible text of a page in its layout; empty for null or empty pages."""
     if not html:
         return ""
-    if sys.getrecursionlimit() < 20 * DEEPEST:
-        sys.setrecursionlimit(20 * DEEPEST)
+    root, depth = _parsed(html)
+    if sys.getrecursionlimit() < 4 * depth + 1000:  # calls of Python functions take memory, not stack
+        sys.setrecursionlimit(4 * depth + 1000)
     canvas = Canvas()
-    _walk(parse(html), canvas, True, False)
+    _walk(root, canvas, True, False)
     canvas.line()
     while canvas.lines and not canvas.lines[-1]:
         canvas.lines.pop()
@@ -297,7 +328,7 @@ def _walk(node: Node, canvas: Canvas, visible: bool, preformatted: bool) -> None
         return
     indent = canvas.indent
     preformatted = preformatted or tag in ("pre", "textarea")
-    if tag in ("blockquote", "dd"):
+    if tag in ("blockquote", "dd") and len(indent) < INDENT:
         canvas.indent = indent + "    "
     if tag == "q" and visible:
         canvas.word("“", True)
@@ -338,13 +369,23 @@ def _drawn(node: Node, canvas: Canvas, visible: bool) -> None:
                 _drawn(kid, canvas, {"hidden": False, "collapse": False, "visible": True}.get(style(kid).get("visibility", ""), visible))
 
 
+def _inside(node: Node, wanted, through=None) -> Iterator[Node]:
+    """The shown elements below that are ``wanted``, in order; others are searched if they are ``through`` kinds (all, if None)."""
+    stack = [iter(node.kids)]
+    while stack:
+        for kid in stack[-1]:
+            if isinstance(kid, Node) and not removed(kid):
+                if wanted(kid):
+                    yield kid
+                elif through is None or kid.tag in through:
+                    stack.append(iter(kid.kids))
+                    break
+        else:
+            stack.pop()
+
+
 def _options(node: Node) -> Iterator[Node]:
-    for kid in node.kids:
-        if isinstance(kid, Node) and not removed(kid):
-            if kid.tag == "option":
-                yield kid
-            else:
-                yield from _options(kid)
+    return _inside(node, lambda kid: kid.tag == "option")
 
 
 def _select(node: Node, canvas: Canvas, visible: bool) -> None:
@@ -387,7 +428,7 @@ def _list(node: Node, canvas: Canvas, visible: bool, preformatted: bool) -> None
                 number = _number(kid.attrs.get("value", ""), number)
             mark = f"{number}. " if node.tag == "ol" else "- "
             number += step
-            canvas.indent = indent + " " * len(mark)
+            canvas.indent = indent + " " * len(mark) if len(indent) < INDENT else indent
             shown = visible and any(not isinstance(k, str) or not k.isspace() for k in kid.kids)
             canvas.marker = mark if shown else ""
             _walk(kid, canvas, visible, preformatted)
@@ -399,22 +440,12 @@ def _list(node: Node, canvas: Canvas, visible: bool, preformatted: bool) -> None
 
 
 def _rows(node: Node) -> Iterator[Node]:
-    for kid in node.kids:
-        if isinstance(kid, Node) and not removed(kid):
-            if kid.tag == "tr":
-                yield kid
-            elif kid.tag in ("tbody", "thead", "tfoot"):
-                yield from _rows(kid)
+    return _inside(node, lambda kid: kid.tag == "tr", SECTIONS)
 
 
 def _misplaced(node: Node) -> Iterator[Node]:
     """Captions, and what stands between rows, which is shown before the table."""
-    for kid in node.kids:
-        if isinstance(kid, Node) and not removed(kid):
-            if kid.tag in SECTIONS:
-                yield from _misplaced(kid)
-            elif kid.tag not in ("tr", "col", "colgroup"):
-                yield kid
+    return _inside(node, lambda kid: kid.tag not in SECTIONS and kid.tag not in ("tr", "col", "colgroup"), SECTIONS)
 
 
 def _cell(node: Node, visible: bool) -> list[str]:
@@ -489,6 +520,7 @@ def extracted(pages: DataFrame, id_col: str = "page_id", html_col: str = "html")
     """``page_id, text`` of each page, one narrow pass over whole pages.
 
     Null and empty pages give an empty text, null and repeated ids keep their rows, other columns are not read, and an
-    empty table gives no rows.  Any input gives a tree; elements nested deeper than 300 are laid out at that depth."""
+    empty table gives no rows.  Any input gives a tree of any depth; beyond 400 columns
+    nothing is moved further in."""
     prepare(pages.sparkSession)
     return pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(html_col).cast("string").alias("html")).mapInArrow(_batches, "page_id long, text string")

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import prepare, slices, written
+from tripleschema.llm.common import numbered, prepare, slices, spread_join, without, written
 
 SAMPLE = 4000  # labelled rows that the model is fitted on, at most
 HASH_BITS = 18
@@ -138,10 +138,10 @@ def logistic(x: np.ndarray, y: np.ndarray, rounds: int = 12) -> tuple[float, np.
 
 
 def fitted(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, sample: int = SAMPLE) -> Model:
-    """The model of at most ``sample`` labelled documents, those whose ids have the least hashes."""
+    """The model of at most ``sample`` labelled documents, those whose ids have the least hashes (one text of each id)."""
     prepare(docs.sparkSession)
     some = labels.where("label_id is not null").orderBy(F.xxhash64("label_id"), "label_id", "low", "toxic").limit(sample)
-    rows = docs.select(F.col(id_col).alias("label_id"), F.col(text_col).alias("text")).join(F.broadcast(some), "label_id").select("text", "low", "toxic")
+    rows = docs.select(F.col(id_col).alias("label_id"), F.col(text_col).alias("text")).join(F.broadcast(some), "label_id").groupBy("label_id", "low", "toxic").agg(F.min("text").alias("text")).select("text", "low", "toxic")
     return fit([tuple(r) for r in rows.mapInArrow(_sample_batches, "low int, toxic int, grams binary, stats array<double>").collect()])
 
 
@@ -168,15 +168,15 @@ def _logit(p: Column) -> Column:
 
 
 def path_shifts(outcomes: DataFrame) -> DataFrame:
-    """``host, path, shift_low, shift_toxic`` from ``host, path, low, toxic`` (outcomes between 0 and 1).
+    """``host, path, n, shift_low, shift_toxic`` from ``host, path, low, toxic`` (outcomes between 0 and 1).
 
-    Grouped sums only; the few global figures are one row."""
+    Grouped sums only; the few global figures are one row; a host with very many paths is spread."""
     paths = written(outcomes.groupBy("host", "path").agg(F.count("*").alias("n"), *(F.sum(k).alias(f"s_{k}") for k in HEADS)), "paths")
-    hosts = written(paths.groupBy("host").agg(F.sum("n").alias("n_host"), *(F.sum(f"s_{k}").alias(f"h_{k}") for k in HEADS)), "hosts")
+    hosts = written(paths.groupBy("host").agg(F.sum("n").alias("n_host"), F.count("*").alias("n_paths"), *(F.sum(f"s_{k}").alias(f"h_{k}") for k in HEADS)), "hosts")
     world = hosts.agg(F.sum("n_host").alias("n"), F.count("*").alias("hosts"), *(F.sum(f"h_{k}").alias(k) for k in HEADS)).first()
-    out = paths.join(hosts, "host")
+    out = spread_join(paths, hosts, ["host"], "n_paths")
     if not world.n:
-        return out.select("host", "path", *(F.lit(0.0).alias(f"shift_{k}") for k in HEADS))
+        return out.select("host", "path", "n", *(F.lit(0.0).alias(f"shift_{k}") for k in HEADS))
     mean = {k: min(1 - 1e-6, max(1e-6, world[k] / world.n)) for k in HEADS}
 
     def strength(rows: DataFrame, n: str, s: str, around: Column, k: str) -> float:
@@ -193,7 +193,7 @@ def path_shifts(outcomes: DataFrame) -> DataFrame:
         out = out.withColumn(f"m_{k}", (F.col(f"h_{k}") + by_host * mean[k]) / (F.col("n_host") + by_host))
         by_path = strength(out, "n", f"s_{k}", F.col(f"m_{k}"), k)
         out = out.withColumn(f"shift_{k}", _logit((F.col(f"s_{k}") + by_path * F.col(f"m_{k}")) / (F.col("n") + by_path)) - float(np.log(mean[k] / (1 - mean[k]))))
-    return out.select("host", "path", *(f"shift_{k}" for k in HEADS))
+    return out.select("host", "path", "n", *(f"shift_{k}" for k in HEADS))
 
 
 def scored(docs: DataFrame, labels: DataFrame, keep: list[str], id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", path_col: str = "lang", sample: int = SAMPLE) -> DataFrame:
@@ -214,15 +214,20 @@ def scored(docs: DataFrame, labels: DataFrame, keep: list[str], id_col: str = "d
     done = rows.mapInArrow(_score_batches(model, len(rows.columns) - 1), schema)
     done = written(done.drop("text"), "scores")
     of_id = f"c{carried.index(id_col)}"
-    known = done.select(F.col(of_id).alias("label_id"), "host", "path", "__low", "__toxic").join(marks, "label_id", "left")
+    known = done.select(F.col(of_id).alias("label_id"), "host", "path", "__low", "__toxic")
+    none = [F.lit(None).cast("int").alias(k) for k in HEADS]
+    known = known.where("label_id is not null").join(marks, "label_id", "left").unionByName(known.where("label_id is null").select("*", *none))
     outcomes = known.select("host", "path", *(F.coalesce(F.col(k).cast("double"), _sigmoid(F.col(f"__{k}"))).alias(k) for k in HEADS))
     shifts = written(path_shifts(outcomes), "shifts")
-    done = done.join(shifts, ["host", "path"])
+    done = spread_join(done, shifts, ["host", "path"], "n")
     done = done.withColumn("p_low", _sigmoid(F.col("__low") + F.col("shift_low"))).withColumn("p_toxic", _sigmoid(F.col("__toxic") + F.col("shift_toxic")))
     return done.select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(carried) if c in keep), "p_low", "p_toxic", ((F.col("p_low") < REJECT) & (F.col("p_toxic") < REJECT)).alias("kept"))
 
 
-def accepted(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs`` that the classifier keeps, with their columns."""
-    found = scored(docs, labels, docs.columns, **options)
-    return found.where("kept").select(*docs.columns)
+def accepted(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", path_col: str = "lang", sample: int = SAMPLE) -> DataFrame:
+    """The rows of ``docs`` that the classifier keeps, with their columns.  Only numbers of rows are written and joined."""
+    columns = docs.columns
+    marked = numbered(docs.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(columns))), docs, "numbered")
+    need = {name: f"c{columns.index(c)}" for name, c in (("id_col", id_col), ("text_col", text_col), ("host_col", host_col), ("path_col", path_col))}
+    gone = written(scored(marked, labels, ["rid"], **need, sample=sample).where("not kept").select("rid"), "rejected")
+    return without(marked, gone).select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(columns)))

@@ -166,10 +166,10 @@ def verdict(rules: list[Rule]) -> Column:
 
 
 def sampled(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", sample: int = SAMPLE) -> list[dict]:
-    """Statistics and marks of at most ``sample`` labelled rows, those whose ids have the least hashes."""
+    """Statistics and marks of at most ``sample`` labelled ids, those with the least hashes (one text of each)."""
     marks = labels.where("doc_id is not null and quality is not null").groupBy(F.col("doc_id").alias("label_id")).agg(F.min("quality").alias("quality"))
     some = marks.orderBy(F.xxhash64("label_id"), "label_id").limit(sample)
-    rows = docs.select(F.col(id_col).alias("label_id"), F.col(text_col).alias("text")).join(F.broadcast(some), "label_id")
+    rows = docs.select(F.col(id_col).alias("label_id"), F.col(text_col).alias("text")).join(F.broadcast(some), "label_id").groupBy("label_id", "quality").agg(F.min("text").alias("text"))
     rows = with_statistics(rows).select("label_id", "quality", *TESTED).orderBy(F.xxhash64("label_id"), "label_id", *TESTED)
     return [r.asDict() | {"bad": int(r.quality == 0)} for r in rows.collect()]
 

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import prepare, slices, written
+from tripleschema.llm.common import prepare, slices, spread_join, written
 
 #: Patterns and least lengths of the base kinds, in their order.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -92,9 +92,10 @@ def candidates(docs: DataFrame, text_col: str = "text", keep: list[str] | None =
 
 
 def ownership(found: DataFrame, owner: str, repo: str) -> DataFrame:
-    """``hash, n_owners, n_repos`` over the whole corpus; a null owner or repository is one unknown one."""
-    each = found.select(F.explode("__spans.hash").alias("hash"), F.coalesce(owner, F.lit("")).alias("o"), F.coalesce(repo, F.lit("")).alias("r")).distinct()
-    return each.groupBy("hash", "o").agg(F.count("*").alias("n")).groupBy("hash").agg(F.count("*").alias("n_owners"), F.sum("n").alias("n_repos"))
+    """``hash, n_owners, n_repos, n`` (occurrences) over the whole corpus; a null owner or repository is one unknown one."""
+    each = found.select(F.explode("__spans.hash").alias("hash"), F.coalesce(owner, F.lit("")).alias("o"), F.coalesce(repo, F.lit("")).alias("r"))
+    each = each.groupBy("hash", "o", "r").agg(F.count("*").alias("n")).groupBy("hash", "o").agg(F.count("*").alias("n_repos"), F.sum("n").alias("n"))
+    return each.groupBy("hash").agg(F.count("*").alias("n_owners"), F.sum("n_repos").alias("n_repos"), F.sum("n").alias("n"))
 
 
 def judged(found: DataFrame, owner: str, repo: str) -> DataFrame:
@@ -102,8 +103,8 @@ def judged(found: DataFrame, owner: str, repo: str) -> DataFrame:
 
     ``found`` must be a written table with a unique ``__rid``.  A span is live (one owner), shared, or an example (many
     owners).  Base spans all stay, whatever their verdict; further ones stay unless they are examples."""
-    owners = ownership(found, owner, repo)
-    each = found.select("__rid", F.explode("__spans").alias("s")).select("__rid", "s.*").join(owners, "hash")
+    owners = written(ownership(found, owner, repo), "owners")
+    each = spread_join(found.select("__rid", F.explode("__spans").alias("s")).select("__rid", "s.*"), owners, ["hash"], "n")
     verdict = F.when(F.col("n_owners") == 1, "live").when(F.col("n_owners") < EXAMPLE_OWNERS, "shared").otherwise("example").alias("verdict")
     each = each.select("__rid", F.struct("start", "kind", "stop", "hash", "n_owners", "n_repos", verdict).alias("s")).where((F.col("s.kind") < len(BASE)) | (F.col("s.verdict") != "example"))
     return each.groupBy("__rid").agg(F.sort_array(F.collect_list("s")).alias("spans"))
@@ -117,8 +118,8 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner_
     """``doc_id, spans`` for each row: all reported spans of its whole text with kind, place, hash and ownership.
 
     Kinds are numbers into KINDS, places are code points with an exclusive end.  The text is read once; only hashes of
-    candidates are shuffled, distinct by owner and repository before they are counted, so a string that stands in a
-    third of all rows is one row for each owner.  Null and empty texts have no spans; rows with null or repeated ids
+    candidates are shuffled, counted by owner and repository where they are found; a string that stands in a third of
+    all rows meets its counts where its rows are.  Null and empty texts have no spans; rows with null or repeated ids
     stay apart; extra columns are not read; an empty table gives no rows.
     """
     part = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(owner_col).cast("string").alias("owner"), F.col(repo_col).cast("string").alias("repo"), F.col(text_col).alias("text"))

@@ -10,13 +10,14 @@ blocks again) and a table with the code length of each id.  A block holds consec
     marks            bit offset of every EVERY-th id within each document
     payload          the codes
 
-Codes are canonical (by length, then id), so the lengths alone give them, and at most LONGEST bits long, so a table of
-2**LONGEST entries decodes one id in one step.  All checkpoints of a block are decoded side by side.
+Codes are canonical (by length, then id), so the lengths alone give them, and at most LONGEST bits long (more only for
+more than 2**LONGEST ids), so a table of two to that power decodes one id in one step.  All checkpoints of a block are decoded side by side.
 """
 
 from __future__ import annotations
 
 import zlib
+from bisect import bisect_left
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -27,22 +28,24 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema.llm import bpe
-from tripleschema.llm.common import SLICE_BYTES, prepare, shared_dir, slices
+from tripleschema.llm.common import SLICE_BYTES, delete, prepare, shared_dir, slices
 
 LONGEST = 16  # bits of a code
 EVERY = 128  # ids between checkpoints
 BLOCK = 1 << 18  # ids in a block, unless one document has more
 PART = 1 << 23  # ids in a part, about
+PARTS = 100_000  # parts at most
+KEPT = 500_000  # words that a worker remembers, some forty bytes each
+FLAT = 1 << 15  # bytes of a flat block: readers hold some thousand rows at a time
 
 
 # -- codes
 
 
 def code_lengths(counts: dict[int, int], longest: int = LONGEST) -> dict[int, int]:
-    """Optimal code lengths of at most ``longest`` bits (package-merge)."""
+    """Optimal code lengths of at most ``longest`` bits (package-merge); with too many ids for that, of as many as they need."""
     items = sorted((n, i) for i, n in counts.items() if n > 0)
-    if len(items) > 1 << longest:
-        raise ValueError(f"{len(items)} ids do not fit into codes of {longest} bits")
+    longest = max(longest, (len(items) - 1).bit_length())
     if len(items) < 2:
         return {i: 1 for _, i in items}
     weight = np.array([n for n, _ in items], np.int64)
@@ -72,14 +75,15 @@ class Code:
     def __init__(self, lengths: dict[int, int]):
         ids = np.array(sorted(lengths, key=lambda i: (lengths[i], i)), np.int64)
         size = np.array([lengths[i] for i in ids.tolist()], np.int64)
-        width = 1 << LONGEST
+        self.longest = max([LONGEST, *lengths.values()])
+        width = 1 << self.longest
         span = width >> size  # how many table entries start with the code
         start = np.cumsum(span) - span
         if len(ids) and start[-1] + span[-1] > width:
             raise ValueError("code lengths break the prefix rule")
         n = int(ids.max()) + 1 if len(ids) else 0
         self.bits, self.code = np.zeros(n, np.uint64), np.zeros(n, np.uint64)
-        self.bits[ids], self.code[ids] = size, start >> (LONGEST - size)
+        self.bits[ids], self.code[ids] = size, start >> (self.longest - size)
         self.id_at, self.bits_at = np.zeros(width, np.uint32), np.ones(width, np.int64)
         used = int(span.sum())
         self.id_at[:used], self.bits_at[:used] = np.repeat(ids, span), np.repeat(size, span)
@@ -118,7 +122,7 @@ class Code:
         out = np.zeros((EVERY, len(marks)), np.uint32)
         order = np.argsort(-n, kind="stable")  # lanes that end early are at the end
         at, left = marks[order].astype(np.int64), n[order]
-        top = np.uint64(64 - LONGEST)
+        top = np.uint64(64 - self.longest)
         for k in range(EVERY):
             live = int(np.searchsorted(-left, -k, "left"))
             if not live:
@@ -155,6 +159,7 @@ class ColumnTokeniser:
     def __init__(self, path: str, width: int):
         self.words = bpe.library_encoder(path, width)
         self.width = width
+        self.forget()
         self.kind = np.full(256, self.OTHER, np.int8)
         self.kind[[c for c in range(128) if chr(c).isalpha()]] = self.LETTER
         self.kind[128:] = self.LETTER  # in plain texts, all bytes beyond ASCII belong to letters
@@ -162,6 +167,36 @@ class ColumnTokeniser:
         self.kind[9:14] = self.WHITE
         self.kind[32] = self.SPACE
 
+    def forget(self) -> None:
+        """What is kept: words, where their ids are in the pool, and how many."""
+        self.kept = pa.array([], pa.string())
+        self.start, self.size, self.pool = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, f"<u{self.width}")
+
+    def places(self, found: pa.StringArray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(start, number) of the ids of each word in a pool of ids; new words are encoded and remembered."""
+        at = pc.index_in(found, value_set=self.kept)
+        fresh = found.filter(at.is_null())
+        ids, count = self.words.encode_column(fresh)
+        new = at.is_null().to_numpy(zero_copy_only=False)
+        at = at.fill_null(0).to_numpy(zero_copy_only=False)
+        start, size = np.empty(len(found), np.int64), np.empty(len(found), np.int64)
+        start[~new], size[~new] = self.start[at[~new]], self.size[at[~new]]
+        begin = len(self.pool) + np.cumsum(count) - count
+        start[new], size[new] = begin, count
+        pool = np.concatenate([self.pool, ids])
+        brief = pc.less_equal(pc.binary_length(fresh), bpe.LONG)
+        keep = brief.to_numpy(zero_copy_only=False)
+        if len(self.kept) + len(fresh) > KEPT or len(pool) > 8 * KEPT:
+            self.forget()  # and begin again with the words of now
+        elif keep.all():
+            self.kept, self.pool = pa.concat_arrays([self.kept, fresh]), pool
+            self.start, self.size = np.r_[self.start, begin], np.r_[self.size, count]
+        else:
+            at = np.repeat(keep, count)
+            self.kept, self.pool = pa.concat_arrays([self.kept, fresh.filter(brief)]), np.concatenate([self.pool, ids[at]])
+            self.start, self.size = np.r_[self.start, len(pool) - len(ids) + np.cumsum(count[keep]) - count[keep]], np.r_[self.size, count[keep]]
+        return start, size, pool
+
     def encode(self, texts: pa.Array, specials: bool, end: bytes = b"") -> pa.Array:
         """A binary column of packed ids, each with ``end`` behind it."""
         texts, n = pc.fill_null(texts, ""), len(texts)
@@ -181,12 +216,13 @@ class ColumnTokeniser:
         at = np.flatnonzero(starts)
         offsets = pa.py_buffer(np.r_[at, high - low].astype(np.int32))
         flat = pa.Array.from_buffers(pa.string(), len(at), [None, offsets, raw.slice(low, high - low) if raw else None]).dictionary_encode()
-        found = flat.dictionary.to_pylist()
-        self.words.learn(found, False)
-        pool = [*map(self.words.known.__getitem__, found), end]
-        pool += [ids + end for ids in self.words.encode_texts([texts[i].as_py() for i in slow.tolist()], specials)]
-        size = np.fromiter(map(len, pool), np.int32, len(pool)) // self.width
-        start = np.cumsum(size, dtype=np.int32) - size
+        found = flat.dictionary
+        start, size, pool = self.places(found)
+        further = [end, *(ids + end for ids in self.words.encode_texts([texts[i].as_py() for i in slow.tolist()], specials))]
+        more = np.fromiter(map(len, further), np.int64, len(further)) // self.width
+        start = np.r_[start, len(pool) + np.cumsum(more) - more].astype(np.int32)
+        size = np.r_[size, more].astype(np.int32)
+        pool = np.concatenate([pool, np.frombuffer(b"".join(further), pool.dtype)])
         last = np.full(n, len(found), np.int32)
         last[slow] = len(found) + 1 + np.arange(len(slow))
         where = np.searchsorted(at, edge[1:])
@@ -195,7 +231,7 @@ class ColumnTokeniser:
         stop = np.cumsum(count, dtype=np.int32)
         gather = np.repeat(start[index] - (stop - count), count)
         gather += np.arange(len(gather), dtype=np.int32)
-        ids = np.frombuffer(b"".join(pool), f"<u{self.width}")[gather]
+        ids = pool[gather]
         ends = stop[where + np.arange(n)].astype(np.int64) * self.width
         return pa.Array.from_buffers(pa.large_binary(), n, [None, pa.py_buffer(np.r_[0, ends].astype(np.int64)), pa.py_buffer(ids)])
 
@@ -252,9 +288,9 @@ def global_counts(tokens: DataFrame, width: int) -> dict[int, int]:
 # -- the compressed file
 
 
-def _code_docs(code: tuple, width: int, bounds: np.ndarray):
+def _code_docs(code: tuple, width: int, bounds):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = _code(code)
+        c, tops = _code(code), bounds.value
         for part in slices(batches, limit=1 << 20):  # the arrays of the coder take some fifty bytes for each of an id
             ids, n, coded, marks = [np.frombuffer(x, f"<u{width}") for x in part.column(1).to_pylist()], [], [], []
             payload, bit_at, mark = c.encode(ids)
@@ -264,8 +300,8 @@ def _code_docs(code: tuple, width: int, bounds: np.ndarray):
                 n.append(len(d))
                 coded.append(payload[bit_at[k] // 8 : stop[k]])
                 marks.append((mark[lanes[k] - -(-len(d) // EVERY) : lanes[k]] - bit_at[k]).astype("<u4").tobytes())
-            number = np.searchsorted(bounds, part.column(0).fill_null(-(1 << 63)).to_numpy(zero_copy_only=False), "left").astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(number), part.column(0), pa.array(n, pa.int64()), pa.array(coded, pa.binary()), pa.array(marks, pa.binary())], ["part", "doc_id", "n", "coded", "marks"])
+            number = [bisect_left(tops, (i is not None, i or 0, r)) for i, r in zip(part.column(0).to_pylist(), part.column(2).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(number, pa.int32()), part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(coded, pa.binary()), pa.array(marks, pa.binary())], ["part", "doc_id", "row", "n", "coded", "marks"])
 
     return run
 
@@ -293,7 +329,7 @@ def _assemble(block: int):
 
         size = 0
         for batch in batches:
-            for p, i, n, c, m in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
+            for p, i, n, c, m in zip(*(batch.column(k).to_pylist() for k in (0, 1, 3, 4, 5)), strict=True):
                 if lengths and (p != part or size + n > block):
                     yield flush()
                     size = 0
@@ -315,33 +351,34 @@ def write_tokens(docs: DataFrame, tokenizer_path: str, path: str, end_id: int |
     """Write the compressed token file of ``docs`` under ``path``: ``blocks`` and ``code``.
 
     The ids are made once and kept in the shared folder, counted, coded document by document, and only the coded
-    documents are dealt out by ranges of doc_id (the
-    ranges come from the ids alone, so nothing is coded twice).  Null texts are empty; null ids come first; repeated ids stay in any
-    order among themselves; an empty table gives a file without blocks."""
+    documents are dealt out by ranges of doc_id and row (the ranges come from the ids alone, so nothing is coded twice,
+    and rows that share an id or have none are dealt out too).  Null texts are empty; null ids come first; repeated ids
+    stay in any order among themselves; an empty table gives a file without blocks."""
     spark = docs.sparkSession
     width = id_width(tokenizer_path, end_id)
-    with_codec = tokenised(docs, tokenizer_path, end_id, width, id_col, text_col)
+    with_codec = tokenised(docs, tokenizer_path, end_id, width, id_col, text_col).withColumn("row", F.monotonically_increasing_id())
     at = f"{shared_dir(spark)}/{path.rstrip('/').rsplit('/', 1)[-1]}-ids"
     with_codec.write.option("compression", "zstd").parquet(at)
     tokens = spark.read.schema(with_codec.schema).parquet(at)
     counts = global_counts(tokens, width)
     code = tuple(sorted(code_lengths(counts).items()))
-    parts = -(-sum(counts.values()) // PART)
-    bounds = tokens.select("doc_id").repartitionByRange(max(1, parts), "doc_id").groupBy(F.spark_partition_id()).agg(F.max("doc_id").alias("top"))
-    bounds = np.array(sorted(r.top for r in bounds.collect() if r.top is not None)[:-1], np.int64)  # one for each part
-    coded = tokens.mapInArrow(_code_docs(code, width, bounds), "part int, doc_id long, n long, coded binary, marks binary")
-    placed = coded.repartition("part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first())
+    total = sum(counts.values())
+    parts = max(1, -(-total // max(PART, total // PARTS)))
+    top = F.max(F.struct(F.col("doc_id").isNotNull().alias("known"), F.coalesce("doc_id", F.lit(0)).alias("doc_id"), "row")).alias("top")
+    tops = tokens.select("doc_id", "row").repartitionByRange(parts, F.col("doc_id").asc_nulls_first(), "row").groupBy(F.spark_partition_id()).agg(top)
+    bounds = spark.sparkContext.broadcast(sorted(tuple(r.top) for r in tops.collect())[:-1])  # one for each part
+    coded = tokens.mapInArrow(_code_docs(code, width, bounds), "part int, doc_id long, row long, n long, coded binary, marks binary")
+    placed = coded.repartition("part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first(), "row")
     placed.mapInArrow(_assemble(block), _BLOCK).write.option("compression", "uncompressed").parquet(f"{path}/blocks")
     spark.createDataFrame(list(code), "id long, bits int").coalesce(1).write.parquet(f"{path}/code")
-    place = spark._jvm.org.apache.hadoop.fs.Path(at)
-    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+    delete(spark, at)
 
 
 def _read(code: tuple, from_col: int, with_ids: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = _code(code)
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in (batch.slice(i, 1).to_pylist()[0] for i in range(batch.num_rows)):
                 count = np.array(row["lengths"], np.int64)
                 ids = c.decode(row["payload"], count, np.frombuffer(row["marks"], "<u8").astype(np.int64)).astype("<u4")
                 stop = np.cumsum(count)
@@ -384,32 +421,33 @@ def _flatten(path: str, end_id: int, width: int, block: int):
 
         enc = column_tokeniser(path, width)
         end, file = enc.words.pack([end_id]), TaskContext.get().partitionId()
-        held, size, number, doc = [], 0, 0, 0
+        rest, number, doc = b"", 0, 0
         names = ["file", "block", "payload", "first", "doc_ids"]
 
         def row(payload: bytes | None, n: int, ids: list | None) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array([file], pa.int32()), pa.array([n], pa.int32()), pa.array([payload], pa.binary()), pa.array([doc], pa.int64()), pa.array([ids], pa.list_(pa.int64()))], names)
 
         for part in slices(batches, limit=2 * SLICE_BYTES):
-            coded = enc.encode(part.column(1), False, end)
-            held.append(coded.buffers()[2].to_pybytes())
-            size += len(held[-1])
+            coded = memoryview(enc.encode(part.column(1), False, end).buffers()[2])
             ids = part.column(0).to_pylist()
             yield row(None, -1, ids)
             doc += len(ids)
-            raw = b"".join(held)
-            cut = len(raw) // block * block
-            for i in range(0, cut, block):
-                yield row(raw[i : i + block], number, None)
-                number += 1
-            held, size = [raw[cut:]], len(raw) - cut
-        if size:
-            yield row(b"".join(held), number, None)
+            cut = min(len(coded), block - len(rest)) if rest else 0
+            rest += coded[:cut]
+            if len(rest) == block:
+                yield row(rest, number, None)
+                number, rest = number + 1, b""
+            while len(coded) - cut >= block:
+                yield row(bytes(coded[cut : cut + block]), number, None)
+                number, cut = number + 1, cut + block
+            rest += coded[cut:]
+        if rest:
+            yield row(rest, number, None)
 
     return run
 
 
-def write_flat(docs: DataFrame, tokenizer_path: str, path: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = 1 << 20) -> int:
+def write_flat(docs: DataFrame, tokenizer_path: str, path: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = FLAT) -> int:
     """Write ``docs`` as flat streams of ids, one for each task, cut into blocks wherever a block is full: no index.
 
     Beside them stands the order of the documents in each stream.  Strings of special tokens are encoded as ordinary
@@ -453,7 +491,7 @@ def separator_scan(flat: DataFrame, end_id: int, width: int) -> DataFrame:
     return ends.where("n_ends > 0").select("file", "nth", F.posexplode(sizes).alias("k", "n_tokens")).select("file", (F.col("nth") + F.col("k")).alias("nth"), "n_tokens")
 
 
-def token_counts(docs: DataFrame, tokenizer_path: str, path: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = 1 << 20) -> DataFrame:
+def token_counts(docs: DataFrame, tokenizer_path: str, path: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = FLAT) -> DataFrame:
     """``doc_id, file, nth, n_tokens`` of each row, counted by scanning the flat file that is written under ``path``.
 
     Null and empty texts have no tokens, null and repeated ids keep a row each, and an empty table gives no rows."""
