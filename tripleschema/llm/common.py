@@ -180,13 +180,14 @@ def numbered(rows: DataFrame, of: DataFrame, name: str) -> DataFrame:
 
     It is the file and the place in it where ``of`` is read from Parquet files, else one given when the rows are written
     once."""
-    spark = of.sparkSession
-    try:
-        at = rows.select("*", F.col("_metadata.file_path").alias("__file"), F.col("_metadata.row_index").alias("__row"))
-        files = of.select(F.col("_metadata.file_path").alias("f")).distinct().limit(FILES + 1).collect()
-    except AnalysisException:
-        files = None
-    if files is None or len(files) > FILES or any(c.lower() == "_metadata" for c in of.columns):
+    spark, files = of.sparkSession, None
+    if "_metadata#" in of._jdf.queryExecution().analyzed().metadataOutput().mkString(" ") and not any(c.lower() == "_metadata" for c in of.columns):
+        try:
+            at = rows.select("*", F.col("_metadata.file_path").alias("__file"), F.col("_metadata.row_index").alias("__row"))
+            files = of.select(F.col("_metadata.file_path").alias("f")).distinct().limit(FILES + 1).collect()
+        except AnalysisException:  # files of another kind
+            pass
+    if files is None or len(files) > FILES:
         return written(rows.withColumn("rid", F.monotonically_increasing_id()), name)
     number = spark.createDataFrame([(f, n) for n, f in enumerate(sorted(r[0] for r in files))], "__file string, __number long")
     return at.join(F.broadcast(number), "__file").withColumn("rid", F.shiftleft("__number", 40).bitwiseOR(F.col("__row"))).drop("__file", "__row", "__number")
