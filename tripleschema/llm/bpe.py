@@ -40,7 +40,7 @@ LATIN_PATTERN = rf" ?[{_L}]++|'(?:s|t|re|ve|m|ll|d)| ?[^{_S}{_L}{_N}]++| ?[{_N}]
 
 WORDS_KEPT = 120_000  # encodings of words in each of the two generations that a worker remembers
 LONG = 64  # characters of a word beyond which it is not remembered, so that what is kept is bounded in bytes too
-PAIRS_KEPT = 250_000  # stability results it remembers
+PAIRS_KEPT = 150_000  # stability results it remembers
 
 
 def byte_alphabet() -> dict[str, int]:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import re
 import tempfile
@@ -28,6 +29,7 @@ FILES = 200_000
 #: Rows that go, up to which their numbers are broadcast.
 DROPPED = 4_000_000
 
+_LIBC = ctypes.CDLL(None)
 _ROOT = str(Path(__file__).resolve().parents[2])
 
 
@@ -79,10 +81,17 @@ def removed(*tables: DataFrame) -> None:
         delete(t.sparkSession, t.kept_at)
 
 
+def give_back() -> None:
+    """Return memory that Arrow and the C library hold but do not use, as a worker's memory counts against its executor."""
+    pa.default_memory_pool().release_unused()
+    if hasattr(_LIBC, "malloc_trim"):
+        _LIBC.malloc_trim(0)
+
+
 def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """Cut batches into runs of rows of at most ``limit`` bytes of column ``text`` (one row at least).
 
-    Between runs Arrow gives back what it no longer needs, as a worker's memory counts against its executor."""
+    After each run the worker gives back what it does not need."""
     for batch in batches:
         col = batch.column(text)
         size = pc.fill_null(pc.binary_length(col), 0).to_pylist()
@@ -90,11 +99,12 @@ def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_
         for i, n in enumerate(size):
             if total + n > limit and i > start:
                 yield batch.slice(start, i - start)
-                pa.default_memory_pool().release_unused()
+                give_back()
                 start, total = i, 0
             total += n
         if start < batch.num_rows:
             yield batch.slice(start)
+            give_back()
 
 
 # -- joins whose keys may be hot
