@@ -20,6 +20,7 @@ class Schema:
 
     patterns: DataFrame
     existentials: tuple[Existential, ...] = ()
+    undecided: tuple[str, ...] = ()
 
     def vocabulary(self) -> DataFrame:
         """The predicates that triples may have (null for any)."""

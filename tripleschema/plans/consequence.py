@@ -77,9 +77,10 @@ def simple(patterns: DataFrame, rules: Sequence[Rule], approach: str = "sandbox"
 
 
 def existential_preserving(schema: Schema, rules: Sequence[Rule], approach: str = "sandbox", **options) -> Schema:
-    """The consequence with the existential rules that no closure can break."""
+    """The consequence with the existential rules that no closure can break; ``undecided`` names those that are left out
+    because no bounded search could tell (see ``existential.retained``)."""
     from tripleschema.plans import existential
 
     found = simple(schema.patterns, rules, approach)
     kept = existential.retained(schema, rules, **options)
-    return Schema(found.patterns, kept.retained)
+    return Schema(found.patterns, kept.retained, kept.undecided)

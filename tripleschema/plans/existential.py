@@ -22,10 +22,12 @@ from tripleschema.plans.tables import local, prepare, written
 
 #: Pattern tables up to this size travel with the witnesses.
 MOST_PATTERNS = 100_000
-#: Unfoldings of recursive rules, unless asked for otherwise.
-RECURSIVE_DEPTH = 3
+#: Unfoldings of recursive rules in one body, where minimality alone does not end them, unless asked for otherwise.
+RECURSIVE_DEPTH = 4
 #: Bodies of recursive rules, unless asked for otherwise; without recursion there is no bound.
 RECURSIVE_BODIES = 2_000
+#: Predicate of the atoms that carry what a body must keep.
+_KEPT = "\0kept"
 #: Verdicts of a worker's table at most.
 BATCH = 1_000
 
@@ -63,43 +65,94 @@ def _normal(body: Sequence[Atom]) -> tuple[Atom, ...]:
     return tuple(sorted(a.replaced(names) for a in body))
 
 
+def subsumes(general: Sequence[Atom], special: Sequence[Atom]) -> bool:
+    """Whether the atoms of one body can be mapped into those of another: wherever the other matches, the first does."""
+    by_predicate: dict[str, list[Atom]] = {}
+    for a in special:
+        by_predicate.setdefault(a.p, []).append(a)
+    todo = sorted(general, key=lambda a: len(by_predicate.get(a.p, special)))
+
+    def fit(i: int, m: dict[str, str]) -> bool:
+        if i == len(todo):
+            return True
+        a = todo[i]
+        for b in special if is_var(a.p) else by_predicate.get(a.p, ()):
+            more = dict(m)
+            if all(more.setdefault(x, y) == y if is_var(x) else x == y for x, y in zip(a, b, strict=True)) and fit(i + 1, more):
+                return True
+        return False
+
+    return fit(0, {})
+
+
 @dataclass
 class Rewritings:
     bodies: list[tuple[Atom, ...]]
     complete: bool
 
 
-def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None = None, limit: int | None = None) -> Rewritings:
-    """All bodies from which the rules can derive ``body``, itself included.
-
-    Each step unfolds one atom by a rule with a fitting head.  Without recursion this ends by itself and is complete;
-    recursive rules are unfolded ``max_depth`` times to ``limit`` bodies (RECURSIVE_DEPTH and RECURSIVE_BODIES unless
-    given), and the result says so."""
-    recursive = bool(recursive_predicates(rules))
-    depth = max_depth if max_depth is not None else (RECURSIVE_DEPTH if recursive else 1 << 30)
-    most = limit if limit is not None else (RECURSIVE_BODIES if recursive else 1 << 60)
-    first = _normal(body)
-    found, frontier, complete, step = {first}, [first], True, 0
-    while frontier and step < depth:
+def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None = None, limit: int | None = None, kept: Sequence[str] | None = None) -> Rewritings:
+    """The minimal bodies from which the rules can derive ``body``, itself included.
+
+    Each step unfolds one atom by a rule with a fitting head.  A body that another one subsumes is dropped with all that
+    would come of it: whatever it derives for the terms ``kept`` (all variables, if not given), the other derives too.
+    That ends by itself without recursion, and with recursion whenever finitely many bodies are minimal.  Where it does
+    not, recursive rules are unfolded ``max_depth`` times in a body, to ``limit`` bodies (RECURSIVE_DEPTH and
+    RECURSIVE_BODIES unless given), and the result says that it is not complete; other rules are never bounded."""
+    inner = [recursive_rule(r, rules) for r in rules]
+    depth = max_depth if max_depth is not None else RECURSIVE_DEPTH
+    most = limit if limit is not None else (RECURSIVE_BODIES if any(inner) else 1 << 60)
+    kept = list(dict.fromkeys(v for a in body for v in a.variables())) if kept is None else list(kept)
+    first = _normal([*body, *(Atom(t, f"{_KEPT}{i}", t) for i, t in enumerate(kept))])
+    predicates = lambda b: frozenset(a.p for a in b if not is_var(a.p))
+    found: dict[tuple[Atom, ...], frozenset[str]] = {first: predicates(first)}
+    met, frontier, complete, step = {first}, [(first, 0)], True, 0
+    while frontier:
         following = []
-        for b in frontier:
+        for b, used in frontier:
+            if b not in found:  # a smaller body came after it
+                continue
             for i, a in enumerate(b):
-                for r in rules:
+                for r, again in zip(rules, inner, strict=True):
                     body_r = renamed(r.body, f"_{step}")
                     for h in renamed(r.head, f"_{step}"):
-                        m = unify(h, a)
+                        m = None if a.p.startswith(_KEPT) else unify(h, a)
                         if m is None:
                             continue
                         new = _normal([x.replaced(m) for x in (*b[:i], *b[i + 1 :], *body_r)])
-                        if new not in found and not any(t.startswith('"') for x in new for t in x[:2]):
-                            if len(found) >= most:
-                                return Rewritings(sorted(found), False)
-                            found.add(new)
-                            following.append(new)
+                        if new in met or any(t.startswith('"') for x in new for t in x[:2] if not x.p.startswith(_KEPT)):
+                            continue
+                        have = predicates(new)
+                        if any(p <= have and subsumes(old, new) for old, p in found.items()):
+                            continue
+                        if again and used >= depth or len(found) >= most:
+                            complete = False
+                            continue
+                        met.add(new)
+                        for old in [old for old, p in found.items() if have <= p and subsumes(new, old)]:
+                            del found[old]
+                        found[new] = have
+                        following.append((new, used + again))
         frontier, step = following, step + 1
-    if frontier:
-        complete = False
-    return Rewritings(sorted(found), complete)
+    plain = {_normal([a for a in b if not a.p.startswith(_KEPT)]) for b in found}
+    return Rewritings(sorted(plain), complete)
+
+
+def recursive_rule(r: Rule, rules: Sequence[Rule]) -> bool:
+    """Whether a rule can feed its own body, through others or by itself."""
+    around = recursive_predicates(rules)
+    heads = {h.p for h in r.head} & around
+    if not heads:
+        return False
+    fed, todo = set(heads), list(heads)
+    while todo:
+        p = todo.pop()
+        for q in rules:
+            if any(is_var(b.p) or b.p == p for b in q.body):
+                new = {h.p for h in q.head} - fed
+                fed |= new
+                todo += new
+    return any(is_var(b.p) or b.p in fed for b in r.body)
 
 
 @dataclass
@@ -118,9 +171,11 @@ def unfold(existentials: Sequence[Existential], rules: Sequence[Rule], do_specia
         for r in rules:
             for h in triggers(e, r):
                 start = specialise(r, h, e.a) if do_specialise else r
-                key = _normal(start.body)
+                front = [start.head[h][i] for i, v in enumerate(e.a) if v in e.frontier()]
+                front = tuple(dict.fromkeys(t for t in front if is_var(t)))
+                key = (start.body, front)
                 if key not in known:
-                    known[key] = rewritings(start.body, rules, max_depth, limit)
+                    known[key] = rewritings(start.body, rules, max_depth, limit, front)
                 complete[e.id] &= known[key].complete
                 for body in known[key].bodies:
                     if body not in seen:
@@ -213,9 +268,9 @@ class Retained:
         return not self.undecided
 
 
-def retained(schema: Schema, rules: Sequence[Rule], mode: str = "exact", **options) -> Retained:
-    """The existential rules that survive.  With recursive rules the search is bounded; what was not decided is reported,
-    and counts as lost with ``mode='safe'``."""
+def retained(schema: Schema, rules: Sequence[Rule], mode: str = "safe", **options) -> Retained:
+    """The existential rules that survive.  Where the search for recursive rules had to be bounded, what was not decided is
+    reported and counts as lost, unless ``mode`` is "exact"."""
     from pyspark.sql import functions as F
 
     t = tested(schema, rules, **options)
