@@ -21,9 +21,9 @@ def test_malformed_rules(text):
 
 
 def test_rule_text_round_trip():
-    r = fixtures.BADGE_RULES[1]
-    assert rule("k2", str(r)) == r and not problems(r)
-    assert r.firm() == {"?r", "?p"}
+    r = fixtures.LOAN_RULES[2]
+    assert rule("debt", str(r)) == r and not problems(r)
+    assert r.firm() == {"?m", "?i"}
 
 
 def test_unify():
@@ -39,12 +39,12 @@ def test_weak_acyclicity():
 
 def test_recursion():
     assert recursive_predicates(fixtures.STAR_RULES) == {":within", ":soldIn"}
-    assert not recursive_predicates(fixtures.BADGE_RULES)
+    assert not recursive_predicates(fixtures.LOAN_RULES)
 
 
 def test_rewritings_unfold_heads():
-    found = ex.rewritings(fixtures.BADGE_RULES[2].body, fixtures.BADGE_RULES)
-    assert found.complete and len(found.bodies) == 4  # each of the two atoms as it is or unfolded
+    found = ex.rewritings(fixtures.LOAN_RULES[3].body, fixtures.LOAN_RULES)
+    assert found.complete and len(found.bodies) == 6  # one atom as it is or unfolded, the other as it is or unfolded once or twice
     deep = ex.rewritings(atoms("?x :after ?y"), fixtures.AFTER_RULES, max_depth=3)
     assert not deep.complete and len(deep.bodies) > 3
 

@@ -11,19 +11,13 @@ from tripleschema.plans.tables import local, shared_dir
 from tripleschema.sources import store, tables
 from tripleschema.streaming import observations
 
-SHAPES = [
-    {"target_objects_of": ":senses", "in": [":Gas", ":Badge"]},
-    {"id": "holder", "target_class": ":BadgeTag", "path": ":heldBy", "min_count": 1},
-    {"target_objects_of": ":at", "node_kind": "IRI"},
-    {"target_objects_of": ":reads", "node_kind": "IRIOrLiteral"},
-    {"target_objects_of": "a", "in": [":Reading", ":BadgeTag"]},
-]
+SHAPES = fixtures.LOAN_SHAPES
 
 
 def test_shapes(spark):
     s = shapes.to_schema(spark, SHAPES)
-    assert {r.pattern for r in schema.rendered(s.patterns).collect()} == set(fixtures.BADGE_PATTERNS)
-    assert [(e.a, e.c) for e in s.existentials] == [(fixtures.BADGE_EXISTENTIALS[0].a, fixtures.BADGE_EXISTENTIALS[0].c)]
+    assert {r.pattern for r in schema.rendered(s.patterns).collect()} == set(fixtures.LOAN_PATTERNS)
+    assert [(e.a, e.c) for e in s.existentials] == [(fixtures.LOAN_EXISTENTIALS[0].a, fixtures.LOAN_EXISTENTIALS[0].c)]
     again = shapes.to_schema(spark, shapes.from_schema(s.patterns, s.existentials))
     assert schema.equivalent(s.patterns, again.patterns) and len(again.existentials) == 1
     for bad in ({"target_class": ":C", "path": ":p", "min_count": 2}, {"target_class": ":C", "not": {}}, {"in": [":a"]}, {"target_objects_of": ":p", "node_kind": "Literal"}):

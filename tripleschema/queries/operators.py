@@ -198,7 +198,8 @@ def sort_topk(spark: SparkSession, d: str) -> DataFrame:
 
 register("ops_sort_topk", sort_topk, "SELECT user_id, count(DISTINCT json_extract_string(props, '$.k')) AS n FROM events WHERE event_type = 'purchase' AND user_id IN (SELECT user_id FROM events WHERE event_type = 'error' AND value >= 100) GROUP BY user_id ORDER BY n DESC, user_id LIMIT 10")
 register("ops_union_branches", lambda s, d: reduce(DataFrame.unionByName, (canon.sandbox(event_patterns(s, d)).where(F.col(c) == LAMBDA) for c in "so")).distinct(), f"SELECT * FROM ({sandbox_sql(PROFILE)}) x WHERE s = '{LAMBDA}' UNION SELECT * FROM ({sandbox_sql(PROFILE)}) y WHERE o = '{LAMBDA}'")
-register("ops_intersect_patterns", lambda s, d: schema.rendered(event_patterns(s, d)).intersect(schema.rendered(schema.frame(s, fixtures.BADGE_PATTERNS))), f"{rendered_sql(PROFILE)} INTERSECT SELECT unnest(['{chr(39) + ', ' + chr(39)}'])".replace(f"['{chr(39) + ', ' + chr(39)}']", "[" + ", ".join(f"'{p}'" for p in fixtures.BADGE_PATTERNS) + "]"))
+_OTHER = ("* :senses :Gas", "* a :BadgeTag", "* :heldBy **", "* :at *", "* :reads **")
+register("ops_intersect_patterns", lambda s, d: schema.rendered(event_patterns(s, d)).intersect(schema.rendered(schema.frame(s, _OTHER))), f"{rendered_sql(PROFILE)} INTERSECT SELECT unnest(['{chr(39) + ', ' + chr(39)}'])".replace(f"['{chr(39) + ', ' + chr(39)}']", "[" + ", ".join(f"'{p}'" for p in _OTHER) + "]"))
 
 
 def except_rules(spark: SparkSession, d: str) -> DataFrame:

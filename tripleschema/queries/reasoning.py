@@ -296,19 +296,10 @@ register("gen_rules_lineitem", gen_rules, f"SELECT 'r' || (i // 3) AS rule_id, '
 
 # -- shapes, schema properties and the instance test
 
-SHAPES = (
-    {"target_objects_of": ":senses", "in": [":Gas", ":Badge"]},
-    {"id": "holder", "target_class": ":BadgeTag", "path": ":heldBy", "min_count": 1},
-    {"target_objects_of": ":at", "node_kind": "IRI"},
-    {"target_objects_of": ":reads", "node_kind": "IRIOrLiteral"},
-    {"target_objects_of": "a", "in": [":Reading", ":BadgeTag"]},
-)
-
-
 def shapes_to_schema(spark: SparkSession, d: str) -> DataFrame:
     from tripleschema.functions import shapes
 
-    s = shapes.to_schema(spark, SHAPES)
+    s = shapes.to_schema(spark, fixtures.LOAN_SHAPES)
     rules = local(spark, [("existential", str(e)) for e in s.existentials], "kind string, text string")
     return schema.rendered(s.patterns).select(F.lit("pattern").alias("kind"), F.col("pattern").alias("text")).unionByName(rules)
 
@@ -322,8 +313,8 @@ def shapes_from_consequence(spark: SparkSession, d: str) -> DataFrame:
     return local(spark, rows, "predicate string, objects string")
 
 
-_TEXTS = " UNION ALL ".join(f"SELECT 'pattern' AS kind, '{p}' AS text" for p in fixtures.BADGE_PATTERNS)
-register("shapes_to_schema", shapes_to_schema, f"{_TEXTS} UNION ALL SELECT 'existential', '?x a :BadgeTag -> ?x :heldBy ?y'")
+_TEXTS = " UNION ALL ".join(f"SELECT 'pattern' AS kind, '{p}' AS text" for p in fixtures.LOAN_PATTERNS)
+register("shapes_to_schema", shapes_to_schema, f"{_TEXTS} UNION ALL SELECT 'existential', '?x a :Branch -> ?x :staffedBy ?y'")
 register(
     "shapes_from_consequence",
     shapes_from_consequence,
