@@ -11,9 +11,12 @@ from pyspark.sql import functions as F
 
 from tripleschema.model import Atom, Existential, is_var
 from tripleschema.operators import bgp
+from tripleschema.operators.schema import PLACES
 
 #: Patterns with a wildcard predicate that are turned into one filter; more of them are joined.
 COMPILED = 200
+#: Patterns that are broadcast.
+SMALL = 100_000
 
 
 def admitted(s: Column, o: Column, o_lit: Column) -> Column:
@@ -26,19 +29,40 @@ def admitted(s: Column, o: Column, o_lit: Column) -> Column:
 def conforming(triples: DataFrame, patterns: DataFrame, how: str = "left_semi") -> DataFrame:
     """The triples that some pattern admits (``left_anti``: those that none admits).
 
-    Patterns with a constant predicate meet triples of that predicate only, by a join that Spark broadcasts when the
-    patterns are few; the rare ones with a wildcard predicate become a filter."""
-    free = patterns.where("p_k != 'C'").limit(COMPILED + 1).collect()
-    if len(free) > COMPILED:
-        raise ValueError(f"more than {COMPILED} patterns with a wildcard predicate; declare predicates")
-    extra = reduce(lambda a, b: a | b, (compiled(r) for r in free), F.lit(False))
-    fixed = patterns.where("p_k = 'C'").select("s_k", "s_v", F.col("p_v").alias("p_of"), "o_k", "o_v")
+    Up to SMALL patterns are broadcast to where the triples are.  More of them are met by equal subjects or objects, so
+    that no predicate, however frequent, is a join key by itself; what has neither constant is few, as the predicates
+    are, and is broadcast in any case up to SMALL.  Rare patterns with a wildcard predicate become a filter up to COMPILED
+    and are met like others beyond."""
+    rows = patterns.select("s_k", "s_v", "p_k", F.col("p_v").alias("p_of"), "o_k", "o_v").distinct()
+    free = patterns.where("p_k != 'C'").select(*PLACES).distinct().limit(COMPILED + 1).collect()
+    few = rows.limit(SMALL + 1).count() <= SMALL
     t = triples.alias("t")
-    on = (F.col("t.p") == F.col("p_of")) & admitted(F.col("t.s"), F.col("t.o"), F.col("t.o_lit"))
-    if how == "left_anti":
-        return (t.where(~extra) if free else t).join(fixed, on, "left_anti")
-    met = t.join(fixed, on, "left_semi")
-    return met if not free else t.where(extra).unionByName(t.where(~extra).join(fixed, on, "left_semi"))
+    if free and len(free) <= COMPILED:
+        extra, rows = reduce(lambda a, b: a | b, map(compiled, free)), rows.where("p_k = 'C'")
+        rest = t.where(~extra)
+    else:
+        extra, rest = None, t
+    on = ((F.col("t.p") == F.col("p_of")) if extra is not None or not free else (F.col("p_of").isNull() | (F.col("t.p") == F.col("p_of")))) & admitted(F.col("t.s"), F.col("t.o"), F.col("t.o_lit"))
+    if few:
+        met = [rest.join(F.broadcast(rows), on, how)]
+    else:
+        object_is = F.col("o_v") == F.when(F.col("t.o_lit"), F.concat(F.lit('"'), F.col("t.o"), F.lit('"'))).otherwise(F.col("t.o"))
+        parts = [(rows.where("s_k = 'C'"), F.col("s_v") == F.col("t.s")), (rows.where("s_k != 'C' and o_k in ('C', 'L')"), object_is), (F.broadcast(bounded(rows.where("s_k != 'C' and o_k not in ('C', 'L')"))), F.lit(True))]
+        met, left = [], rest
+        for part, key in parts:
+            if how == "left_semi":
+                met.append(left.join(part, key & on, "left_semi"))
+            left = left.join(part, key & on, "left_anti").alias("t")
+        met = met or [left]
+    out = reduce(DataFrame.unionByName, met)
+    return out if extra is None or how == "left_anti" else t.where(extra).unionByName(out)
+
+
+def bounded(rows: DataFrame) -> DataFrame:
+    """Patterns without constants but the predicate, checked to be few: there are two for each predicate at most."""
+    if rows.limit(SMALL + 1).count() > SMALL:
+        raise ValueError(f"more than {SMALL} predicates")
+    return rows
 
 
 def compiled(row) -> Column:

@@ -6,6 +6,7 @@ from collections.abc import Sequence
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from tripleschema.model import Rule, is_var
 from tripleschema.operators import bgp
@@ -49,30 +50,49 @@ def strata(rules: Sequence[Rule]) -> list[list[Rule]]:
     return [[rules[i] for i in sorted(g)] for g in out]
 
 
+def fed_by(rule: Rule, rules: Sequence[Rule]) -> set[str]:
+    """The head predicates that a rule can lead to, its own included."""
+    out, todo = set(), {h.p for h in rule.head}
+    while todo:
+        p = todo.pop()
+        out.add(p)
+        todo |= {h.p for r in rules if any(is_var(b.p) or b.p == p for b in r.body) for h in r.head} - out
+    return out
+
+
+def stored(triples: DataFrame, name: str) -> DataFrame:
+    """Triples written once in a folder for each predicate, so that an atom reads its predicate only."""
+    return written(triples.select(*TRIPLE), name, by="p").select(*TRIPLE)
+
+
 def close(triples: DataFrame, rules: Sequence[Rule], mode: str = "seminaive", max_rounds: int | None = None) -> Closed:
     """The least graph that holds ``triples`` and all that the rules give.
 
-    Rules run in strata.  In a semi-naive round each body is evaluated once for each of its atoms, with only the last
-    round's new triples at that atom; new triples are what an anti-join leaves.  Each round is written as a table of its
-    own, so a lost executor repeats a task, not the rounds before."""
+    The graph is written once, by predicate.  Rules run in strata.  In a semi-naive round each body is evaluated once for
+    each of its atoms, with only the last round's new triples at that atom; new triples are what an anti-join with the
+    graph leaves, of which only the predicates of the heads are read.  Each round is written as a table of its own, so a
+    lost executor repeats a task, not the rounds before."""
     if mode not in ("seminaive", "naive"):
         raise ValueError(mode)
-    graph = triples.select(*TRIPLE).distinct()
+    graph = stored(triples.distinct(), "graph")
     rounds = added = 0
     for group in strata(rules):
-        recursive = any(is_var(b.p) or b.p in {h.p for r in group for h in r.head} for r in group for b in r.body)
+        heads = sorted({h.p for r in group for h in r.head})
+        recursive = any(is_var(b.p) or b.p in heads for r in group for b in r.body)
         old, delta = None, graph
         while delta is not None and (max_rounds is None or rounds < max_rounds):
             found = None
             for r in group:
                 slots = range(len(r.body)) if mode == "seminaive" and old is not None else [None]
                 for i in slots:
+                    if i is not None and not is_var(r.body[i].p) and r.body[i].p not in heads:
+                        continue  # the last round gave nothing for this atom
                     sources = [graph] * len(r.body) if i is None else [graph if j < i else delta if j == i else old for j in range(len(r.body))]
                     more = bgp.heads(r.head, bgp.evaluate(r.body, sources, distinct=False))
                     found = more if found is None else found.unionByName(more)
             if found is None:
                 break
-            new = written(found.distinct().join(graph, TRIPLE, "left_anti"), "closure")
+            new = stored(found.distinct().join(graph.where(F.col("p").isin(*heads)), TRIPLE, "left_anti"), "closure")
             n = new.count()
             rounds += 1
             added += n

@@ -43,19 +43,31 @@ def below(a: str = "a", b: str = "b") -> Column:
     return subject & obj
 
 
-def uncovered(patterns: DataFrame, by: DataFrame, strictly: bool = False) -> DataFrame:
-    """The patterns that lie below no single pattern of ``by``: an anti-join within each predicate."""
+def has_free_predicates(patterns: DataFrame) -> bool:
+    return not patterns.where("p_k != 'C'").isEmpty()
+
+
+def uncovered(patterns: DataFrame, by: DataFrame, strictly: bool = False, free: bool | None = None) -> DataFrame:
+    """The patterns that lie below no single pattern of ``by``: an anti-join within each predicate.
+
+    ``free`` tells whether ``by`` has patterns with any predicate (looked up, if not given).  Those are met by equal
+    subjects or objects; the few without either constant are broadcast, as there are two of them at most."""
     a = patterns.alias("a")
-    fixed, free = by.where("p_k = 'C'").alias("b"), by.where("p_k != 'C'").alias("b")
     differs = F.lit(True) if not strictly else ~(F.struct(*(F.col(f"a.{c}") for c in PLACES)).eqNullSafe(F.struct(*(F.col(f"b.{c}") for c in PLACES))))
-    left = a.join(fixed, (F.col("a.p_v") == F.col("b.p_v")) & below() & differs, "left_anti").alias("a")
-    return left.join(free, below() & differs, "left_anti")
+    left = a.join(by.where("p_k = 'C'").alias("b"), (F.col("a.p_v") == F.col("b.p_v")) & below() & differs, "left_anti")
+    if not (has_free_predicates(by) if free is None else free):
+        return left
+    rest = by.where("p_k != 'C'")
+    for some, on in ((rest.where("s_k = 'C'"), "s_v"), (rest.where("s_k != 'C' and o_k in ('C', 'L')"), "o_v")):
+        left = left.alias("a").join(some.alias("b"), (F.col(f"a.{on}") == F.col(f"b.{on}")) & below() & differs, "left_anti")
+    wild = F.broadcast(rest.where("s_k != 'C' and o_k not in ('C', 'L')").select(*PLACES).distinct())
+    return left.alias("a").join(wild.alias("b"), below() & differs, "left_anti")
 
 
-def minimised(patterns: DataFrame) -> DataFrame:
+def minimised(patterns: DataFrame, free: bool | None = None) -> DataFrame:
     """The patterns that are not strictly below another: a unique normal form."""
     distinct = patterns.select(*PLACES).distinct()
-    return uncovered(distinct, distinct, strictly=True)
+    return uncovered(distinct, distinct, strictly=True, free=free)
 
 
 def covers(a: DataFrame, b: DataFrame) -> bool:

@@ -2,23 +2,29 @@
 
 Bodies are rows: each atom has its constants, the numbers of its variables and one variable that it shares with the
 atoms before.  One plan then evaluates all bodies of a rule set, however many there are, with one join per atom place.
-A mapping is an array with a binding per variable; null stands for the fresh IRI.  Joins on wildcards (equal, or either
-side null) are split into an equality join and two joins for the null sides, so no product is ever planned.
+A mapping is an array with a binding per variable; null stands for the fresh IRI.  A join on something that may be a
+wildcard (equal, or either side null) becomes an equality join: one side has a key, the value or a star, and the other
+has a row for each key that it fits.  Only an atom whose predicate is a variable meets every triple, as it has to; the
+atoms of a rule set are then broadcast, up to BROADCAST of them.
 """
 
 from __future__ import annotations
 
 from collections.abc import Sequence
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema.model import LAMBDA, Atom, Rule, is_var
 from tripleschema.operators.bgp import ordered
-from tripleschema.plans.tables import local, written
+from tripleschema.plans.tables import local, settled
 
 ATOMS = "case_id string, k int, n int, width int, link int, s_c string, s_i int, p_c string, p_i int, o_c string, o_i int"
+#: Atoms up to which they are broadcast to the triples that they all meet; more of them are shuffled by subject.
+BROADCAST = 20_000
+ANY = "*"
 HEADS = "case_id string, s_c string, s_i int, p_c string, o_c string, o_i int"
 
 
@@ -31,6 +37,7 @@ class Cases:
     firm: DataFrame  # case_id, firm: numbers of the variables that cannot be literals
     longest: int
     variables: dict[str, list[str]]
+    n_free: int  # atoms with a variable predicate
 
 
 def cases(spark: SparkSession, rules: Sequence[Rule]) -> Cases:
@@ -48,44 +55,48 @@ def cases(spark: SparkSession, rules: Sequence[Rule]) -> Cases:
             bound |= set(a.variables())
         heads += [(r.id, *place(h.s), h.p, *place(h.o)) for h in r.head]
         firm.append((r.id, sorted(number[v] for v in r.firm() if v in number)))
-    return Cases(local(spark, atoms, ATOMS), local(spark, heads, HEADS), local(spark, firm, "case_id string, firm array<int>"), max((len(r.body) for r in rules), default=0), variables)
+    return Cases(local(spark, atoms, ATOMS), local(spark, heads, HEADS), local(spark, firm, "case_id string, firm array<int>"), max((len(r.body) for r in rules), default=0), variables, sum(is_var(a.p) for r in rules for a in r.body))
 
 
-def _matches(atoms: DataFrame, graph: DataFrame, by_case: bool) -> DataFrame:
+def _matches(atoms: DataFrame, graph: DataFrame, by_case: bool, n_free: int) -> DataFrame:
     """Bindings of single atoms; a null place of a triple stands for anything that an atom asks."""
-    g = graph.alias("g")
+    g = graph.withColumn("key", F.coalesce("p", F.lit(ANY))).alias("g")
     a = atoms.alias("a")
     same = (F.col("a.case_id") == F.col("g.case_id")) if by_case else F.lit(True)
     fits = lambda c: F.col(f"a.{c}_c").isNull() | F.col(f"g.{c}").isNull() | (F.col(f"a.{c}_c") == F.col(f"g.{c}"))
     agree = lambda x, y: (F.col(f"a.{x}_i") < 0) | (F.col(f"a.{x}_i") != F.col(f"a.{y}_i")) | F.col(f"g.{x}").isNull() | F.col(f"g.{y}").isNull() | (F.col(f"g.{x}") == F.col(f"g.{y}"))
     rest = same & fits("s") & fits("o") & agree("s", "p") & agree("s", "o") & agree("p", "o")
-    fixed = a.where(F.col("a.p_c").isNotNull())
-    parts = [fixed.join(g, (F.col("a.p_c") == F.col("g.p")) & rest), fixed.join(g.where(F.col("g.p").isNull()), rest), a.where(F.col("a.p_c").isNull()).join(g, rest)]
+    fixed = atoms.where("p_c is not null").withColumn("key", F.explode(F.array("p_c", F.lit(ANY)))).alias("a")
+    parts = [fixed.join(g, (F.col("a.key") == F.col("g.key")) & rest)]
+    if n_free:
+        free = a.where(F.col("a.p_c").isNull())
+        parts.append((F.broadcast(free) if n_free <= BROADCAST else free).join(g, rest))
     bind = F.transform(F.sequence(F.lit(0), F.col("a.width") - 1), lambda i: F.coalesce(*(F.when(F.col(f"a.{c}_i") == i, F.col(f"g.{c}")) for c in "spo")))
     bind = F.when(F.col("a.width") > 0, bind).otherwise(F.array().cast("array<string>"))
     chosen = [p.select(F.col("a.case_id").alias("case_id"), F.col("a.k").alias("k"), F.col("a.n").alias("n"), F.col("a.link").alias("link"), bind.alias("b")) for p in parts]
-    return chosen[0].unionByName(chosen[1]).unionByName(chosen[2]).distinct()
+    return reduce(DataFrame.unionByName, chosen).distinct()
 
 
 def evaluate(c: Cases, graph: DataFrame, by_case: bool = False) -> DataFrame:
     """``case_id, b`` of all mappings of all bodies.  ``graph`` has ``s, p, o``; with ``by_case`` one graph per case."""
-    found = _matches(c.atoms, graph, by_case)
-    found = written(found, "matches") if c.longest > 1 else found
+    found = _matches(c.atoms, graph, by_case, c.n_free)
+    found = settled(found, "matches") if c.longest > 1 else found
     state = found.where("k = 0").select("case_id", "n", "b")
     for k in range(1, c.longest):
-        right = found.where(F.col("k") == k).select(F.col("case_id").alias("c2"), "link", F.col("b").alias("b2"), F.when(F.col("link") >= 0, F.get("b", F.col("link"))).alias("key"))
+        # equal or either side null: the right has a key, the left each key that it fits; a null on the left fits all, so
+        # both sides have a second row under a common key for those
+        right = found.where(F.col("k") == k).select(F.col("case_id").alias("c2"), F.col("b").alias("b2"), F.when(F.col("link") >= 0, F.get("b", F.col("link"))).alias("key"))
         left = state.where(F.col("n") > k)
         link = c.atoms.where(F.col("k") == k).select(F.col("case_id").alias("c2"), "link")
         left = left.join(link, F.col("case_id") == F.col("c2")).select("case_id", "n", "b", F.when(F.col("link") >= 0, F.get("b", F.col("link"))).alias("own"))
-        right = right.drop("link")
-        same = F.col("case_id") == F.col("c2")
-        joined = left.where("own is not null").join(right.where("key is not null"), same & (F.col("own") == F.col("key")))
-        joined = joined.unionByName(left.where("own is null").join(right, same)).unionByName(left.where("own is not null").join(right.where("key is null"), same))
+        right = right.withColumn("rk", F.explode(F.array(F.concat(F.lit("="), F.coalesce("key", F.lit(""))), F.lit(ANY))))
+        left = left.withColumn("lk", F.explode(F.when(F.col("own").isNull(), F.array(F.lit(ANY))).otherwise(F.array(F.concat(F.lit("="), "own"), F.lit("=")))))
+        joined = left.join(right, (F.col("case_id") == F.col("c2")) & (F.col("lk") == F.col("rk")))
         agree = F.forall(F.zip_with("b", "b2", lambda x, y: x.isNull() | y.isNull() | (x == y)), lambda x: x)
         merged = joined.where(agree).select("case_id", "n", F.zip_with("b", "b2", lambda x, y: F.coalesce(x, y)).alias("b"))
         state = state.where(F.col("n") <= k).unionByName(merged).distinct()
         if k < c.longest - 1:
-            state = written(state, "mappings")  # else the plan would triple with each atom
+            state = settled(state, "mappings")  # else the plan would triple with each atom
     return state.select("case_id", "b").distinct()
 
 
@@ -104,7 +115,8 @@ def filtered(c: Cases, mappings: DataFrame, patterns: DataFrame) -> DataFrame:
     asked = mappings.join(c.atoms, "case_id").select("case_id", "b", "k", "o_i", value("s").alias("ms"), value("p").alias("mp"), value("o").alias("mo"))
     place = lambda k, v, m: F.col(k).isin("I", "A") | (F.col(v) == F.col(m))
     rest = place("s_k", "s_v", "ms") & place("o_k", "o_v", "mo")
-    enabled = asked.join(patterns.where("p_k = 'C'"), (F.col("mp") == F.col("p_v")) & rest).unionByName(asked.join(patterns.where("p_k != 'C'"), rest))
+    asked = asked.withColumn("ak", F.explode(F.when(F.col("mp").isNull(), F.array(F.lit(ANY))).otherwise(F.array("mp", F.lit(ANY)))))
+    enabled = asked.join(patterns.withColumn("pk", F.when(F.col("p_k") == "C", F.col("p_v")).otherwise(ANY)), (F.col("ak") == F.col("pk")) & rest)
     free = enabled.groupBy("case_id", "b", "k", "o_i", "mo").agg(F.bool_or((F.col("o_k") == "A") | ((F.col("o_k") == "L") & (F.col("o_v") == F.col("mo")))).alias("ok"), F.bool_or(F.col("o_k") == "A").alias("any"))
     per = free.groupBy("case_id", "b").agg(
         F.bool_or(F.coalesce(F.col("mo").startswith('"'), F.lit(False)) & ~F.coalesce("ok", F.lit(False))).alias("barred"),

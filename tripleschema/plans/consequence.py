@@ -8,9 +8,9 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 
 from tripleschema.model import Rule
-from tripleschema.operators.schema import PLACES, Schema, minimised, uncovered
+from tripleschema.operators.schema import PLACES, Schema, has_free_predicates, minimised, uncovered
 from tripleschema.plans import batch, canon
-from tripleschema.plans.tables import written
+from tripleschema.plans.tables import settled, written
 
 
 @dataclass
@@ -53,25 +53,31 @@ class Consequence:
     derived: DataFrame | None = None  # case_id and the patterns it gave, of all rounds
 
 
-def simple(patterns: DataFrame, rules: Sequence[Rule], approach: str = "sandbox", limit: int | None = 5_000_000, max_rounds: int = 10_000) -> Consequence:
+def simple(patterns: DataFrame, rules: Sequence[Rule], approach: str = "sandbox", limit: int | None = 5_000_000, max_rounds: int = 10_000, counted: bool = False) -> Consequence:
     """The patterns of all subsets of all closures of instances, minimised.
 
     Each round evaluates all rules at once and keeps what no single pattern covers yet; it ends when nothing is left.
-    Covered patterns are dropped in every round, so both approaches stay as small as they can and end alike."""
-    now = written(minimised(patterns), "patterns")
+    Covered patterns are dropped in every round, so both approaches stay as small as they can and end alike.  With
+    ``counted`` the counters of each round also hold the mappings before and after the filter."""
+    free = has_free_predicates(patterns)  # heads have none
+    now = settled(minimised(patterns, free), "patterns")
     out = Consequence(now, 0)
     if not rules:
         return out
     while out.rounds < max_rounds:
-        heads = written(step(now, rules, approach, limit).heads, "heads")
-        new = written(minimised(uncovered(heads.select(*PLACES).distinct(), now)), "new-patterns")
+        done = step(now, rules, approach, limit)
+        if counted:
+            mappings, kept = settled(done.mappings, "mappings"), settled(done.kept, "kept")
+            counters = {"mappings": mappings.count(), "kept": kept.count()}
+        heads = settled(done.heads, "heads")
+        new = settled(minimised(uncovered(heads.select(*PLACES).distinct(), now, free=free), False), "new-patterns")
         n = new.count()
         out.rounds += 1
-        out.counters.append({"round": out.rounds, "added": n})
-        out.derived = heads if out.derived is None else out.derived.unionByName(heads).distinct()
+        out.counters.append({"round": out.rounds, "added": n} | (counters if counted else {}))
+        out.derived = heads if out.derived is None else settled(out.derived.unionByName(heads).distinct(), "derived")
         if not n:
             break
-        now = written(minimised(now.unionByName(new)), "patterns")
+        now = settled(minimised(now.unionByName(new), free), "patterns")
         out.patterns = now
     return out
 

@@ -15,6 +15,9 @@ from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StructType
 
 
+#: Rows of a table that the driver keeps, at most.
+LOCAL_ROWS = 5_000
+
 _ROOT = str(Path(__file__).resolve().parents[2])
 
 
@@ -41,15 +44,22 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written once and read back."""
+def written(df: DataFrame, name: str, by: str | None = None) -> DataFrame:
+    """``df`` written once and read back, in a folder for each value of ``by`` if given."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out.kept_at = path
     return out
 
 
+def settled(df: DataFrame, name: str, most: int = LOCAL_ROWS) -> DataFrame:
+    """``df`` computed once: kept on the driver if it has at most ``most`` rows, as rule sets and patterns mostly do, else
+    written."""
+    rows = df.limit(most + 1).toArrow()
+    return df.sparkSession.createDataFrame(rows, df.schema) if rows.num_rows <= most else written(df, name)
+
+
 def removed(*tables: DataFrame) -> None:
     """Delete written tables that nothing reads any more."""
     for t in tables:

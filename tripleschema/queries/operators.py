@@ -14,7 +14,7 @@ from tripleschema.plans import canon, rewrite
 from tripleschema.plans.tables import local, written
 from tripleschema.queries import sql
 from tripleschema.queries.graphs import event_patterns
-from tripleschema.queries.reasoning import PROFILE, few_patterns, rendered_sql, sandbox_sql
+from tripleschema.queries.reasoning import _STAR, PROFILE, rendered_sql, sandbox_sql, star_patterns
 from tripleschema.registry import register
 from tripleschema.sources import tables
 from tripleschema.sources.tables import table
@@ -28,7 +28,7 @@ def seconds(c: str) -> Column:
 
 # -- scans, filters, projections
 
-register("ops_scan_prune", lambda s, d: tables.star(s, d).where(F.col("p").isin(":placedBy", ":within")), f"WITH {STAR} SELECT * FROM g WHERE p IN (':placedBy', ':within')")
+register("ops_scan_prune", lambda s, d: tables.star(s, d, atoms("?o :placedBy ?c, ?c :within ?n")), f"WITH {STAR} SELECT * FROM g WHERE p IN (':placedBy', ':within')")
 register("ops_filter_terms", lambda s, d: tables.events(s, d).where("o_lit").select("s", "o"), f"WITH {EV} SELECT s, o FROM g WHERE o_lit")
 register("ops_project_vars", lambda s, d: bgp.matches(atoms("?r :at ?p")[0], tables.events(s, d)).select(F.col("v_p").alias("place")).distinct(), f"WITH {EV} SELECT DISTINCT o AS place FROM g WHERE p = ':at'")
 
@@ -45,7 +45,7 @@ def join_broadcast(spark: SparkSession, d: str) -> DataFrame:
 
 register("ops_join_broadcast", join_broadcast, "SELECT n_name, count(*) AS customers FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name")
 register("ops_join_sortmerge", lambda s, d: table(s, d, "lineitem").join(table(s, d, "orders").hint("merge"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderstatus").agg(F.count("*").alias("lines")), "SELECT o_orderstatus, count(*) AS lines FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderstatus")
-register("ops_join_wildcard", lambda s, d: rewrite.eightfold(atoms("?r :at ?p, ?x :heldBy ?p"), canon.sandbox(few_patterns(s, d))).select("v_p"), f"SELECT DISTINCT o_v AS v_p FROM ({sql.profile(f'SELECT * FROM ({sql.EVENTS}) ge WHERE p <> {chr(39)}:at{chr(39)} OR o IN {chr(40)}{chr(39)}place:1{chr(39)}, {chr(39)}place:2{chr(39)}, {chr(39)}place:3{chr(39)}{chr(41)}', chr(39) + 'a' + chr(39) + ', ' + chr(39) + ':senses' + chr(39) + ', ' + chr(39) + ':at' + chr(39))}) f WHERE p_v = ':at'")
+register("ops_join_wildcard", lambda s, d: rewrite.eightfold(atoms("?c :segment ?g, ?o :placedBy ?g"), canon.sandbox(star_patterns(s, d))).select("v_g"), f"WITH f AS ({_STAR}) SELECT DISTINCT o_v AS v_g FROM f WHERE p_v = ':segment' AND EXISTS (SELECT 1 FROM f WHERE p_v = ':placedBy')")
 register("ops_join_cross_pool", lambda s, d: event_patterns(s, d).where("o_k = 'A'").select("p_v").crossJoin(canon.constants(event_patterns(s, d), ()).where("not lit").select("c")), f"WITH f AS ({PROFILE}) SELECT f.p_v, k.c FROM f CROSS JOIN (SELECT p_v AS c FROM f UNION SELECT o_v FROM f WHERE o_v IS NOT NULL UNION SELECT '{LAMBDA}') k WHERE f.o_k = 'A'")
 
 

@@ -10,12 +10,12 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema import fixtures
-from tripleschema.model import LAMBDA, Atom, is_var, pattern
+from tripleschema.model import LAMBDA, Atom, is_var, pattern, rule
 from tripleschema.operators import check, schema
 from tripleschema.operators.bgp import column
 from tripleschema.operators.schema import Schema
 from tripleschema.plans import analysis, batch, canon, consequence, existential, gen, rewrite
-from tripleschema.plans.tables import local, written
+from tripleschema.plans.tables import local, settled, written
 from tripleschema.queries import sql
 from tripleschema.queries.graphs import SENSES, closed_events, event_patterns
 from tripleschema.registry import register
@@ -24,15 +24,19 @@ from tripleschema.sources import tables
 K = fixtures.EVENT_RULES
 PROFILE = sql.profile(sql.EVENTS, "'a', ':senses'")
 
-#: Patterns with constants at some places, so that mappings bind something.
-PLACED = "('place:1', 'place:2', 'place:3')"
-_FEW = f"SELECT * FROM ({sql.EVENTS}) ge WHERE p <> ':at' OR o IN {PLACED}"
-FEW = sql.profile(_FEW, "'a', ':senses', ':at'")
+STAR_CLASSES = ("a", ":status", ":priority", ":segment")
+_STAR = sql.profile(sql.STAR, "'a', ':status', ':priority', ':segment'")
+
+#: Bodies on the star graph, whose schema has constants at some objects, so that mappings bind something.
+MAPPED = (
+    rule("m1", "?o :placedBy ?c, ?c :segment ?g => ?o :soldTo ?g"),
+    rule("m2", "?o :status ?s, ?o :total ?t => ?o :pays ?t"),
+    rule("m3", "?c :segment ?g, ?c :balance ?b => ?g :holds ?b"),
+)
 
 
-def few_patterns(spark: SparkSession, d: str) -> DataFrame:
-    rows = tables.events(spark, d).where(f"p <> ':at' OR o IN {PLACED}")
-    return written(schema.profile(rows, (*SENSES, ":at")), "few")
+def star_patterns(spark: SparkSession, d: str) -> DataFrame:
+    return settled(schema.profile(tables.star(spark, d), STAR_CLASSES), "profile")
 
 
 def rendered_sql(patterns: str) -> str:
@@ -90,8 +94,8 @@ def _joined(values: Sequence[Column]) -> Column:
 
 
 def eightfold_mappings(spark: SparkSession, d: str) -> DataFrame:
-    box = written(canon.sandbox(few_patterns(spark, d)), "sandbox")
-    return reduce(DataFrame.unionByName, (rewrite.eightfold(r.body, box).select(F.lit(r.id).alias("rule_id"), _joined([F.col(column(v)) for v in r.variables()]).alias("mapping")) for r in K))
+    box = settled(canon.sandbox(star_patterns(spark, d)), "sandbox")
+    return reduce(DataFrame.unionByName, (rewrite.eightfold(r.body, box).select(F.lit(r.id).alias("rule_id"), _joined([F.col(column(v)) for v in r.variables()]).alias("mapping")) for r in MAPPED))
 
 
 def named_mappings(mappings: DataFrame) -> DataFrame:
@@ -99,14 +103,14 @@ def named_mappings(mappings: DataFrame) -> DataFrame:
 
 
 def fused_mappings(spark: SparkSession, d: str) -> DataFrame:
-    return named_mappings(batch.evaluate(batch.cases(spark, K), canon.sandbox(few_patterns(spark, d), None)))
+    return named_mappings(batch.evaluate(batch.cases(spark, MAPPED), canon.sandbox(star_patterns(spark, d), None)))
 
 
 def filtered_mappings(spark: SparkSession, d: str) -> DataFrame:
-    p = few_patterns(spark, d)
-    c = batch.cases(spark, K)
+    p = star_patterns(spark, d)
+    c = batch.cases(spark, MAPPED)
     kept = batch.filtered(c, batch.evaluate(c, canon.sandbox(p, None)), p)
-    names = local(spark, [(r.id, r.variables()) for r in K], "id string, names array<string>")
+    names = local(spark, [(r.id, r.variables()) for r in MAPPED], "id string, names array<string>")
     kept = named_mappings(kept).join(names, F.col("rule_id") == F.col("id"))
     return kept.select("rule_id", "mapping", F.array_join(F.array_sort(F.transform("firm", lambda i: F.get("names", i))), ",").alias("firm"))
 
@@ -134,7 +138,7 @@ def _eightfold_sql(r) -> str:
     value = {v: f"coalesce({', '.join(f'a{k}.{v[1:]}' for k in ks)}, NULL)" for v, ks in bound.items()}
     names = r.variables()
     whole = " AND ".join([*joins, *(f"{value[v]} IS NOT NULL" for v in names)])
-    return f"(WITH box AS ({sandbox_sql(FEW)}), {', '.join(parts)} SELECT DISTINCT '{r.id}' AS rule_id, {' || chr(44) || '.join(value[v] for v in names)} AS mapping FROM {', '.join(f'a{k}' for k in range(len(r.body)))} WHERE {whole})"
+    return f"(WITH box AS ({sandbox_sql(_STAR)}), {', '.join(parts)} SELECT DISTINCT '{r.id}' AS rule_id, {' || chr(44) || '.join(value[v] for v in names)} AS mapping FROM {', '.join(f'a{k}' for k in range(len(r.body)))} WHERE {whole})"
 
 
 def _fused_sql(r) -> str:
@@ -148,16 +152,17 @@ def _fused_sql(r) -> str:
                 where.append(f"b{k}.{place} IN ('{t}', '{LAMBDA}')")
     of = {v: f"list_distinct(list_filter([{', '.join(ps)}], lambda x: x <> '{LAMBDA}'))" for v, ps in places.items()}
     where += [f"len({x}) <= 1" for x in of.values()]
-    return f"(WITH box AS ({sandbox_sql(FEW)}) SELECT DISTINCT '{r.id}' AS rule_id, {' || chr(44) || '.join(f'''coalesce({of[v]}[1], '{LAMBDA}')''' for v in r.variables())} AS mapping FROM {', '.join(f'box b{k}' for k in range(len(r.body)))} WHERE {' AND '.join(where)})"
+    return f"(WITH box AS ({sandbox_sql(_STAR)}) SELECT DISTINCT '{r.id}' AS rule_id, {' || chr(44) || '.join(f'''coalesce({of[v]}[1], '{LAMBDA}')''' for v in r.variables())} AS mapping FROM {', '.join(f'box b{k}' for k in range(len(r.body)))} WHERE {' AND '.join(where)})"
 
 
-register("eightfold_mappings_events", eightfold_mappings, " UNION ALL ".join(map(_eightfold_sql, K)))
-register("fused_mappings_events", fused_mappings, " UNION ALL ".join(map(_fused_sql, K)))
+register("eightfold_mappings_events", eightfold_mappings, " UNION ALL ".join(map(_eightfold_sql, MAPPED)))
+register("fused_mappings_events", fused_mappings, " UNION ALL ".join(map(_fused_sql, MAPPED)))
 register(
     "filtered_mappings_events",
     filtered_mappings,
-    f"""WITH f AS ({FEW}) SELECT 'k1' AS rule_id, '{LAMBDA},{LAMBDA},' || o_v AS mapping, '?r,?t' AS firm FROM f WHERE p_v = ':at' AND EXISTS (SELECT 1 FROM f WHERE o_v = 'prop:purchase') AND EXISTS (SELECT 1 FROM f WHERE p_v = ':reads')
-UNION ALL SELECT 'k2', '{LAMBDA},' || o_v, '?p,?r' FROM f WHERE p_v = ':at' AND EXISTS (SELECT 1 FROM f WHERE o_v = 'prop:error') AND EXISTS (SELECT 1 FROM f WHERE p_v = ':reads' AND (o_k = 'A' OR o_v = '"1"'))""",
+    f"""WITH f AS ({_STAR}), has AS (SELECT DISTINCT p_v FROM f) SELECT 'm1' AS rule_id, '{LAMBDA},{LAMBDA},' || o_v AS mapping, '?c,?o' AS firm FROM f WHERE p_v = ':segment' AND EXISTS (SELECT 1 FROM has WHERE p_v = ':placedBy')
+UNION ALL SELECT 'm2', '{LAMBDA},' || f.o_v || ',{LAMBDA}', CASE WHEN t.o_k = 'A' THEN '?o' ELSE '?o,?t' END FROM f JOIN f t ON t.p_v = ':total' WHERE f.p_v = ':status'
+UNION ALL SELECT 'm3', '{LAMBDA},' || f.o_v || ',{LAMBDA}', CASE WHEN t.o_k = 'A' THEN '?c,?g' ELSE '?b,?c,?g' END FROM f JOIN f t ON t.p_v = ':balance' WHERE f.p_v = ':segment'""",
 )
 
 
@@ -181,16 +186,8 @@ _EVENTS_AFTER = f"{rendered_sql(PROFILE)} UNION SELECT unnest(['* :foundIn *', '
 register("simple_consequence_events", lambda s, d: schema.rendered(consequence.simple(event_patterns(s, d), K).patterns), _EVENTS_AFTER)
 register("simple_consequence_critical_events", lambda s, d: schema.rendered(consequence.simple(event_patterns(s, d), K, "critical").patterns), _EVENTS_AFTER)
 
-STAR_CLASSES = ("a", ":status", ":priority", ":segment")
-_STAR = sql.profile(sql.STAR, "'a', ':status', ':priority', ':segment'")
-
-
-def star_patterns(spark: SparkSession, d: str) -> DataFrame:
-    return written(schema.profile(tables.star(spark, d), STAR_CLASSES), "profile")
-
-
 register("simple_consequence_star", lambda s, d: schema.rendered(consequence.simple(star_patterns(s, d), fixtures.STAR_RULES).patterns), f"{rendered_sql(_STAR)} UNION SELECT unnest(['* :soldIn *', '* :boughtBy *'])")
-register("simple_consequence_after", lambda s, d: schema.rendered(consequence.simple(written(schema.profile(tables.conversations(s, d)), "profile"), fixtures.AFTER_RULES).patterns), f"{rendered_sql(sql.profile(sql.CONVERSATIONS, chr(39) + 'a' + chr(39)))} UNION SELECT '* :after *'")
+register("simple_consequence_after", lambda s, d: schema.rendered(consequence.simple(settled(schema.profile(tables.conversations(s, d)), "profile"), fixtures.AFTER_RULES).patterns), f"{rendered_sql(sql.profile(sql.CONVERSATIONS, chr(39) + 'a' + chr(39)))} UNION SELECT '* :after *'")
 
 
 def equivalence(spark: SparkSession, d: str) -> DataFrame:
@@ -251,7 +248,7 @@ def verdicts(make, rules):
 
 
 def doc_schema(spark: SparkSession, d: str) -> Schema:
-    return Schema(written(schema.profile(tables.documents(spark, d), ("a", ":lang")), "profile"), fixtures.DOC_EXISTENTIALS)
+    return Schema(settled(schema.profile(tables.documents(spark, d), ("a", ":lang")), "profile"), fixtures.DOC_EXISTENTIALS)
 
 
 register("retained_existentials_events", verdicts(event_schema, K), "SELECT 'holder' AS e_id, false AS retained")
@@ -326,7 +323,7 @@ register("vocabulary_events", lambda s, d: event_schema(s, d).vocabulary(), f"SE
 def instance_test(spark: SparkSession, d: str) -> DataFrame:
     """Whether the graph is an instance of its schema, before and after closure."""
     p = event_patterns(spark, d)
-    before = check.is_instance(written(tables.events(spark, d), "events"), p, fixtures.EVENT_EXISTENTIALS).ok
+    before = check.is_instance(tables.events(spark, d), p, fixtures.EVENT_EXISTENTIALS).ok
     after = check.is_instance(closed_events(spark, d), p, fixtures.EVENT_EXISTENTIALS).ok
     return local(spark, [("before", before), ("after", after)], "graph string, instance boolean")
 
@@ -336,11 +333,11 @@ register("instance_test_events", instance_test, "SELECT 'before' AS graph, true
 
 def ucq_mappings(spark: SparkSession, d: str) -> DataFrame:
     """The rewritten two-atom body as a union of 64 conjunctive queries."""
-    body = K[1].body[:1] + K[1].body[2:]
-    return rewrite.evaluate_ucq(body, written(canon.sandbox(few_patterns(spark, d)), "sandbox"), predicate_vars=False).select(F.concat_ws(",", "v_r", "v_p").alias("mapping"))
+    body = MAPPED[0].body
+    return rewrite.evaluate_ucq(body, settled(canon.sandbox(star_patterns(spark, d)), "sandbox"), predicate_vars=False).select(F.concat_ws(",", "v_o", "v_c", "v_g").alias("mapping"))
 
 
-register("ucq_mappings_events", ucq_mappings, f"SELECT '{LAMBDA},' || o_v AS mapping FROM ({FEW}) f WHERE p_v = ':at' AND EXISTS (SELECT 1 FROM events WHERE event_type = 'error')")
+register("ucq_mappings_events", ucq_mappings, f"WITH f AS ({_STAR}) SELECT '{LAMBDA},{LAMBDA},' || o_v AS mapping FROM f WHERE p_v = ':segment' AND EXISTS (SELECT 1 FROM f WHERE p_v = ':placedBy')")
 
 
 def acyclicity(spark: SparkSession, d: str) -> DataFrame:

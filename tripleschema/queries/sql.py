@@ -5,8 +5,8 @@ SELECT 'ev:' || event_id AS s, ':senses' AS p, 'prop:' || event_type AS o, false
 UNION SELECT 'ev:' || event_id, ':at', 'place:' || user_id, false FROM events
 UNION SELECT 'ev:' || event_id, ':reads', CASE event_type WHEN 'purchase' THEN 'tag:' || json_extract_string(props, '$.k')
   WHEN 'error' THEN CASE WHEN value >= 100 THEN '1' ELSE '0' END ELSE CAST(CAST(value AS DECIMAL(18,2)) AS VARCHAR) END, event_type <> 'purchase' FROM events
-UNION SELECT 'tag:' || s_suppkey, 'a', ':BadgeTag', false FROM supplier WHERE s_acctbal > 0 AND s_suppkey < 100
-UNION SELECT 'tag:' || s_suppkey, ':heldBy', 'supp:' || s_suppkey, false FROM supplier WHERE s_acctbal > 0 AND s_suppkey < 100"""
+UNION SELECT 'tag:' || s_suppkey, 'a', ':BadgeTag', false FROM supplier WHERE s_acctbal > 0
+UNION SELECT 'tag:' || s_suppkey, ':heldBy', 'supp:' || s_suppkey, false FROM supplier WHERE s_acctbal > 0"""
 
 STAR = """
 SELECT 'reg:' || r_regionkey AS s, 'a' AS p, ':Region' AS o, false AS o_lit FROM region

@@ -12,7 +12,7 @@ from tripleschema.model import Rule
 from tripleschema.operators import bgp, check, closure, schema
 from tripleschema.plans import consequence
 from tripleschema.plans.tables import shared_dir, written
-from tripleschema.sources.tables import edge, iri, money, triples
+from tripleschema.sources.tables import edge, iri, money
 
 
 def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int = 4) -> DataFrame:
@@ -35,7 +35,7 @@ def readings(stream: DataFrame) -> DataFrame:
     """Triples of event rows, as on the batch side but without a distinct, which a stream cannot hold for ever."""
     ev = iri("ev", "event_id")
     result = F.when(F.col("event_type") == "purchase", iri("tag", F.get_json_object("props", "$.k"))).when(F.col("event_type") == "error", F.when(F.col("value") >= 100, "1").otherwise("0")).otherwise(money("value"))
-    edges = F.array(edge(ev, ":senses", iri("prop", "event_type")), edge(ev, ":at", iri("place", "user_id")), edge(ev, ":reads", result, F.col("event_type") != "purchase"))
+    edges = F.array(*(e.column() for e in (edge(ev, ":senses", iri("prop", "event_type")), edge(ev, ":at", iri("place", "user_id")), edge(ev, ":reads", result, F.col("event_type") != "purchase"))))
     return stream.select("ts", F.explode(edges).alias("t")).select("ts", "t.s", "t.p", "t.o", "t.o_lit").where("s is not null and o is not null")
 
 
