@@ -24,6 +24,8 @@ HOT_ROWS = 500_000
 HOT_KEYS = 2_000
 #: Bits of a membership bitmap at most (32 MB).
 MOST_BITS = 1 << 28
+#: Rows of a few numbers in a file of a table whose size is known.
+FILE_ROWS = 500_000
 #: Files whose rows are numbered by file and place, at most.
 FILES = 200_000
 #: Rows that go, up to which their numbers are broadcast.
@@ -60,11 +62,13 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` written once to the shared folder and read back: cuts the lineage, survives lost executors."""
+def written(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
+    """``df`` written once to the shared folder and read back: cuts the lineage, survives lost executors.
+
+    If it is known to have at most ``rows`` rows of a few numbers, it is written in as few files as they need."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df if rows is None else df.coalesce(rows // FILE_ROWS + 1)).write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out.kept_at = path
     return out

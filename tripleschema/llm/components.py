@@ -12,7 +12,7 @@ def _met(links: DataFrame, least: DataFrame, n_links: int, hot_rows: int, used:
     """``links`` (a, b) with the ``m`` of their ``a`` in ``least`` (a, m, n); n: the links of a."""
     if n_links <= hot_rows:  # no node can have more
         return links.join(least.drop("n"), "a")
-    used.append(written(least, "least"))
+    used.append(written(least, "least", n_links))
     return spread_join(links, used[-1], ["a"], "n", hot_rows)
 
 
@@ -36,11 +36,11 @@ def connected_components(links: DataFrame, max_rounds: int = 100, hot_rows: int
         least = both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n")
         large = _met(both, least, 2 * now[0], hot_rows, used).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a != b").distinct()
         if now[0] > hot_rows:
-            used.append(large := written(large, "links"))
+            used.append(large := written(large, "links", 2 * now[0]))
         small = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n"))
         moved = _met(large, small, 2 * now[0], hot_rows, used).select(F.greatest("b", "m").alias("x"), F.least("b", "m").alias("m")).where("x != m")
         links = moved.unionByName(small.select(F.col("a").alias("x"), "m")).select(F.col("x").alias("a"), F.col("m").alias("b")).distinct()
-        links = written(links, "links")
+        links = written(links, "links", now[0])
         removed(*used)
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
