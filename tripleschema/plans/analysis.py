@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from tripleschema.model import Pattern, Rule
 from tripleschema.operators.schema import PLACES, Schema, uncovered
 from tripleschema.plans import consequence, existential
-from tripleschema.plans.tables import local
+from tripleschema.plans.tables import local, settled
 
 
 def applicable(patterns: DataFrame, rules: Sequence[Rule], approach: str = "sandbox") -> DataFrame:
@@ -68,3 +68,30 @@ def with_policy(schema: Schema, rules: Sequence[Rule], policy: str = "update_sch
     for r in existential.explained(schema, rules).select("rule_id", "e_id").distinct().collect():
         rejected[r.rule_id] = "; ".join(filter(None, [rejected.get(r.rule_id), f"breaks {r.e_id}"]))
     return Policy(schema.patterns, tuple(r for r in rules if r.id not in rejected), dict(sorted(rejected.items())))
+
+
+@dataclass
+class Tightness:
+    """Predicted patterns that are new, those of them without a witness graph, and whether all bodies were looked at."""
+
+    predicted: DataFrame
+    unwitnessed: DataFrame
+    complete: bool
+
+
+def tightness(patterns: DataFrame, rules: Sequence[Rule], approach: str = "sandbox") -> Tightness:
+    """Whether each predicted pattern is needed: some graph within the original patterns must give a triple of it.
+
+    Every rule is unfolded to bodies over the original graph.  A mapping of such a body on the canonical graph, grounded
+    with fresh IRIs, is an instance whose closure holds the head, so what one application of the unfolded rules gives
+    has witnesses; predicted patterns that do not lie below one of those have none."""
+    predicted = settled(uncovered(consequence.simple(patterns, rules, approach).patterns, patterns), "predicted")
+    unfolded, complete = [], True
+    for r in rules:
+        more, whole = existential.unfolded_rules(r, rules)
+        unfolded += more
+        complete &= whole
+    if not unfolded:
+        return Tightness(predicted, predicted, complete)
+    shown = settled(consequence.step(patterns, unfolded).heads.select(*PLACES).distinct(), "witnessed")
+    return Tightness(predicted, uncovered(predicted, shown), complete)

@@ -99,10 +99,30 @@ def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | Non
     That ends by itself without recursion, and with recursion whenever finitely many bodies are minimal.  Where it does
     not, recursive rules are unfolded ``max_depth`` times in a body, to ``limit`` bodies (RECURSIVE_DEPTH and
     RECURSIVE_BODIES unless given), and the result says that it is not complete; other rules are never bounded."""
+    kept = list(dict.fromkeys(v for a in body for v in a.variables())) if kept is None else list(kept)
+    found, complete = _search(body, rules, max_depth, limit, kept)
+    plain = {_normal([a for a in b if not a.p.startswith(_KEPT)]) for b in found}
+    return Rewritings(sorted(plain), complete)
+
+
+def unfolded_rules(r: Rule, rules: Sequence[Rule], max_depth: int | None = None, limit: int | None = None) -> tuple[list[Rule], bool]:
+    """Rules from all minimal bodies of ``r`` to its head, and whether they are complete: what they give on a graph is what
+    ``r`` gives on its closure."""
+    kept = list(dict.fromkeys(v for h in r.head for v in h.variables()))
+    found, complete = _search(r.body, rules, max_depth, limit, kept)
+    out = []
+    for n, b in enumerate(sorted(found)):
+        now = {kept[int(a.p[len(_KEPT) :])]: a.s for a in b if a.p.startswith(_KEPT)}
+        if not any(now[h.s].startswith('"') for h in r.head if is_var(h.s)):
+            out.append(Rule(f"{r.id}/{n}", tuple(a for a in b if not a.p.startswith(_KEPT)), tuple(h.replaced(now) for h in r.head)))
+    return out, complete
+
+
+def _search(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None, limit: int | None, kept: Sequence[str]) -> tuple[list[tuple[Atom, ...]], bool]:
+    """The minimal bodies, each with atoms that carry its terms for ``kept``."""
     inner = [recursive_rule(r, rules) for r in rules]
     depth = max_depth if max_depth is not None else RECURSIVE_DEPTH
     most = limit if limit is not None else (RECURSIVE_BODIES if any(inner) else 1 << 60)
-    kept = list(dict.fromkeys(v for a in body for v in a.variables())) if kept is None else list(kept)
     first = _normal([*body, *(Atom(t, f"{_KEPT}{i}", t) for i, t in enumerate(kept))])
     predicates = lambda b: frozenset(a.p for a in b if not is_var(a.p))
     found: dict[tuple[Atom, ...], frozenset[str]] = {first: predicates(first)}
@@ -134,8 +154,7 @@ def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | Non
                         found[new] = have
                         following.append((new, used + again))
         frontier, step = following, step + 1
-    plain = {_normal([a for a in b if not a.p.startswith(_KEPT)]) for b in found}
-    return Rewritings(sorted(plain), complete)
+    return list(found), complete
 
 
 def recursive_rule(r: Rule, rules: Sequence[Rule]) -> bool:
@@ -262,6 +281,7 @@ class Retained:
     violated: tuple[str, ...]
     undecided: tuple[str, ...]
     witnesses: int
+    bodies: int = 0
 
     @property
     def complete(self) -> bool:
@@ -278,7 +298,7 @@ def retained(schema: Schema, rules: Sequence[Rule], mode: str = "safe", **option
     bad = {k for k, r in verdicts.items() if r.bad}
     undecided = tuple(e.id for e in schema.existentials if e.id not in bad and not t.complete[e.id])
     lost = bad | (set(undecided) if mode == "safe" else set())
-    return Retained(tuple(e for e in schema.existentials if e.id not in lost), tuple(sorted(bad)), undecided, sum(r.n for r in verdicts.values()))
+    return Retained(tuple(e for e in schema.existentials if e.id not in lost), tuple(sorted(bad)), undecided, sum(r.n for r in verdicts.values()), len(t.cases))
 
 
 def explained(schema: Schema, rules: Sequence[Rule], **options) -> DataFrame:

@@ -64,21 +64,28 @@ def chain(rule_id: str, preds: list[str]) -> Rule:
 def generate(c: Config, seed: int | Iterator[int] = 0) -> Generated:
     draw = numbers(seed) if isinstance(seed, int) else seed
     rules = tuple(chain(f"r{j}", [f"m{next(draw) % c.n_preds}" for _ in range(c.n_body + 1)]) for j in range(c.n_rules))
-    patterns: list[Pattern] = []
-    while rules and len(patterns) < c.n_patterns // 2:
-        patterns += [Pattern("I", None, "C", a.p, "A", None) for a in rules[next(draw) % len(rules)].body]
-    patterns = patterns[: c.n_patterns // 2]
-    patterns += [random_pattern(next(draw), c) for _ in range(c.n_patterns - len(patterns))]
+    patterns: dict[Pattern, None] = {}
+    own = len({a.p for r in rules for a in r.body})  # different patterns that antecedents can give
+    while len(patterns) < min(c.n_patterns // 2, own):
+        for a in rules[next(draw) % len(rules)].body:
+            if len(patterns) < c.n_patterns // 2:
+                patterns[Pattern("I", None, "C", a.p, "A", None)] = None
+    for _ in range(1000 * c.n_patterns):
+        if len(patterns) >= c.n_patterns:
+            break
+        patterns[random_pattern(next(draw), c)] = None
     existentials: list[Existential] = []
-    tries = 0
-    while rules and len(existentials) < c.n_exist and tries < 200 * c.n_exist:
-        tries += 1
+    for _ in range(200 * c.n_exist if rules else 0):
+        if len(existentials) >= c.n_exist:
+            break
         head = rules[next(draw) % len(rules)].head[0]
         body = rules[next(draw) % len(rules)].body
         e = Existential(f"e{len(existentials)}", head, body[next(draw) % len(body)])
         if weak_acyclicity([*existentials, e])[0]:
             existentials.append(e)
-    return Generated(tuple(dict.fromkeys(patterns)), rules, tuple(existentials))
+    if len(patterns) < c.n_patterns or len(existentials) < c.n_exist:
+        raise ValueError(f"only {len(patterns)} patterns and {len(existentials)} existential rules are possible: {c}")
+    return Generated(tuple(patterns), rules, tuple(existentials))
 
 
 # -- from table rows

@@ -32,5 +32,14 @@ def stream_closure(spark: SparkSession, d: str) -> DataFrame:
 register("ops_stream_conformance", stream_conformance, f"SELECT * FROM ({sql.EVENTS}) g WHERE (p = ':senses' AND o <> 'prop:view') OR (p = ':reads' AND o_lit)")
 register("ops_stream_tumble", stream_tumble, "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M') AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 register("ops_stream_closure", stream_closure, f"WITH {sql.EVENT_FACTS} {sql.EVENTS} UNION SELECT * FROM derived")
-register("ops_stream_missing", lambda s, d: o.drained(o.missing(o.event_stream(s, d))).select("purchase", "place"))
+register(
+    "ops_stream_missing",
+    lambda s, d: o.missing_whole(s, d),
+    "SELECT DISTINCT event_id AS purchase, user_id AS place FROM events a WHERE event_type = 'purchase' AND NOT EXISTS (SELECT 1 FROM events b WHERE b.event_type = 'view' AND b.user_id = a.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR)",
+)
+register(
+    "ops_stream_together",
+    lambda s, d: o.drained(o.together(o.event_stream(s, d))).select("purchase", "error", "place"),
+    "SELECT a.event_id AS purchase, b.event_id AS error, a.user_id AS place FROM events a JOIN events b ON a.event_type = 'purchase' AND b.event_type = 'error' AND b.user_id = a.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR",
+)
 register("ops_stream_distinct", lambda s, d: o.drained(o.distinct_events(o.event_stream(s, d))).select("event_id"), "SELECT event_id FROM events")
