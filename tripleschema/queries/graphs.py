@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema import fixtures
-from tripleschema.model import Existential, Rule
+from tripleschema.model import Existential, Rule, atoms, existential
 from tripleschema.operators import check, closure, schema
 from tripleschema.plans.tables import settled
 from tripleschema.queries import sql
@@ -107,3 +107,14 @@ register("conform_ok_events", conformance("events", "left_semi"), f"WITH {sql.EV
 _HAND = ("* a :Document", "* :lang lang:en", "* :source *", '* :quality "1"', "* :toxic **")
 register("conform_offenders_docs", lambda s, d: check.conforming(tables.documents(s, d), schema.frame(s, _HAND), "left_anti"), f"SELECT * FROM ({sql.DOCUMENTS}) WHERE p = ':chars' OR (p = ':lang' AND o <> 'lang:en') OR (p = ':quality' AND o <> '1')")
 register("conform_ok_docs", lambda s, d: check.conforming(tables.documents(s, d), schema.frame(s, _HAND)), f"SELECT * FROM ({sql.DOCUMENTS}) WHERE NOT (p = ':chars' OR (p = ':lang' AND o <> 'lang:en') OR (p = ':quality' AND o <> '1'))")
+register("closure_links", closed("pages", fixtures.LINK_RULES, ":cites"), sql.LINKS_ADDED)
+_STAR_HAND = ("* a :Order", "* a :Line", "* :within nat:1", "* :placedBy *", "* :ofOrder *", "* :balance **", "* :total *", "cust:1 :segment *")
+register(
+    "conform_offenders_star",
+    lambda s, d: check.conforming(tables.star(s, d), schema.frame(s, _STAR_HAND), "left_anti"),
+    f"SELECT * FROM ({sql.STAR}) g WHERE NOT ((p = 'a' AND o IN (':Order', ':Line')) OR (p = ':within' AND o = 'nat:1') OR p IN (':placedBy', ':ofOrder', ':balance') OR (p = ':segment' AND s = 'cust:1'))",
+)
+register("conform_offenders_conversations", lambda s, d: check.conforming(tables.conversations(s, d), schema.frame(s, ("* a :Turn", "* :inConv *", "* :role role:user")), "left_anti"), f"SELECT * FROM ({sql.CONVERSATIONS}) g WHERE p = ':next' OR (p = ':role' AND o <> 'role:user')")
+register("conform_offenders_pages", lambda s, d: check.conforming(tables.pages(s, d), schema.frame(s, ("* :host *", "* :linksTo path:/La")), "left_anti"), f"SELECT * FROM ({sql.PAGES}) g WHERE p = ':linksTo' AND o <> 'path:/La'")
+register("exist_violations_turn_next", lambda s, d: check.violations(tables.conversations(s, d, atoms("?x a :Turn, ?x :next ?y")), [existential("turn_next", "?x a :Turn -> ?x :next ?y")]), "SELECT DISTINCT 'turn_next' AS e_id, 'turn:' || conv_id || '_' || turn AS s, 'a' AS p, ':Turn' AS o, false AS o_lit FROM conversations a WHERE NOT EXISTS (SELECT 1 FROM conversations b WHERE b.conv_id = a.conv_id AND b.turn = a.turn + 1)")
+register("exist_violations_page_links", lambda s, d: check.violations(tables.pages(s, d), [existential("page_links", "?x :host ?h -> ?x :linksTo ?y")]), f"WITH g AS ({sql.PAGES}) SELECT 'page_links' AS e_id, s, p, o, o_lit FROM g WHERE p = ':host' AND s NOT IN (SELECT s FROM g WHERE p = ':linksTo')")

@@ -117,7 +117,13 @@ register("ops_interval_overlap", interval_overlap, "WITH o AS (SELECT date_trunc
 # -- aggregates
 
 register("ops_agg_predicate_profile", lambda s, d: tables.star(s, d).groupBy("p").agg(F.count("*").alias("triples"), F.countDistinct("s").alias("subjects"), F.countDistinct("o").alias("objects")), f"WITH {STAR} SELECT p, count(*) AS triples, count(DISTINCT s) AS subjects, count(DISTINCT o) AS objects FROM g GROUP BY p")
-register("ops_agg_approx_profile", lambda s, d: tables.star(s, d).groupBy("p").agg(F.approx_count_distinct("s").alias("subjects")))
+def approx_profile(spark: SparkSession, d: str) -> DataFrame:
+    """Distinct subjects by predicate, and whether the sketch is within a tenth of them."""
+    n = tables.star(spark, d).groupBy("p").agg(F.approx_count_distinct("s", 0.02).alias("about"), F.countDistinct("s").alias("subjects"))
+    return n.select("p", "subjects", (F.abs(F.col("about") - F.col("subjects")) <= 0.1 * F.col("subjects")).alias("close"))
+
+
+register("ops_agg_approx_profile", approx_profile, f"SELECT p, count(DISTINCT s) AS subjects, true AS close FROM ({sql.STAR}) g GROUP BY p")
 
 
 def sensor(spark: SparkSession, d: str) -> DataFrame:

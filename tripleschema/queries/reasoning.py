@@ -11,10 +11,11 @@ from pyspark.sql import functions as F
 
 from tripleschema import fixtures
 from tripleschema.model import LAMBDA, Atom, is_var, pattern, rule
-from tripleschema.operators import check, schema
+from tripleschema.model import existential as existential_rule
+from tripleschema.operators import check, closure, schema
 from tripleschema.operators.bgp import column
 from tripleschema.operators.schema import Schema
-from tripleschema.plans import analysis, batch, canon, consequence, existential, gen, rewrite
+from tripleschema.plans import analysis, batch, canon, consequence, existential, experiments, gen, rewrite
 from tripleschema.plans.tables import local, settled, written
 from tripleschema.queries import sql
 from tripleschema.queries.graphs import SENSES, closed_events, event_patterns
@@ -22,7 +23,10 @@ from tripleschema.registry import register
 from tripleschema.sources import tables
 
 K = fixtures.EVENT_RULES
-PROFILE = sql.profile(sql.EVENTS, "'a', ':senses'")
+SENSED = "'a', ':senses'"
+PROFILE = sql.profile(sql.EVENTS, SENSED)
+#: The data have an instance of everything that the rules can give, so the profile of their closure is the consequence.
+AFTER = sql.profile(sql.EVENTS_CLOSED, SENSED)
 
 STAR_CLASSES = ("a", ":status", ":priority", ":segment")
 _STAR = sql.profile(sql.STAR, "'a', ':status', ':priority', ':segment'")
@@ -177,27 +181,53 @@ def basic(approach: str):
     return query
 
 
-_NEW = {"k1": ["* :foundIn *", "* a :BadgeTag"], "k2": ["* a :ClosedArea"], "k3": []}
-_BASIC = " UNION ".join(f"SELECT '{k}' AS rule_id, pattern FROM ({rendered_sql(PROFILE)}) g" + "".join(f" UNION SELECT '{k}', '{p}'" for p in new) for k, new in _NEW.items())
+_GIVES = {"k1": "p = ':foundIn' OR o = ':BadgeTag'", "k2": "o = ':ClosedArea'", "k3": "false"}  # on the graph itself nothing intrudes yet
+_BASIC = " UNION ALL ".join(f"SELECT '{k}' AS rule_id, pattern FROM ({rendered_sql(sql.profile(f'WITH {sql.EVENT_FACTS} {sql.EVENTS} UNION SELECT * FROM derived WHERE {w}', SENSED))}) b{k}" for k, w in _GIVES.items())
 register("basic_consequence_sandbox_events", basic("sandbox"), _BASIC)
 register("basic_consequence_critical_events", basic("critical"), _BASIC)
 
-_EVENTS_AFTER = f"{rendered_sql(PROFILE)} UNION SELECT unnest(['* :foundIn *', '* a :ClosedArea', '* :intrudes *', '* a :BadgeTag'])"
+_EVENTS_AFTER = rendered_sql(AFTER)
 register("simple_consequence_events", lambda s, d: schema.rendered(consequence.simple(event_patterns(s, d), K).patterns), _EVENTS_AFTER)
 register("simple_consequence_critical_events", lambda s, d: schema.rendered(consequence.simple(event_patterns(s, d), K, "critical").patterns), _EVENTS_AFTER)
 
-register("simple_consequence_star", lambda s, d: schema.rendered(consequence.simple(star_patterns(s, d), fixtures.STAR_RULES).patterns), f"{rendered_sql(_STAR)} UNION SELECT unnest(['* :soldIn *', '* :boughtBy *'])")
-register("simple_consequence_after", lambda s, d: schema.rendered(consequence.simple(settled(schema.profile(tables.conversations(s, d)), "profile"), fixtures.AFTER_RULES).patterns), f"{rendered_sql(sql.profile(sql.CONVERSATIONS, chr(39) + 'a' + chr(39)))} UNION SELECT '* :after *'")
+register("simple_consequence_star", lambda s, d: schema.rendered(consequence.simple(star_patterns(s, d), fixtures.STAR_RULES).patterns), rendered_sql(sql.profile(f"{sql.STAR} UNION ({sql.STAR_ADDED})", "'a', ':status', ':priority', ':segment'")))
+register("simple_consequence_after", lambda s, d: schema.rendered(consequence.simple(settled(schema.profile(tables.conversations(s, d)), "profile"), fixtures.AFTER_RULES).patterns), rendered_sql(sql.profile(f"{sql.CONVERSATIONS} UNION ({sql.AFTER_ADDED})", "'a'")))
 
 
 def equivalence(spark: SparkSession, d: str) -> DataFrame:
+    """The patterns of both approaches, and whether the other one covers each."""
     p = event_patterns(spark, d)
-    same = schema.equivalent(consequence.simple(p, K).patterns, consequence.simple(p, K, "critical").patterns)
-    return local(spark, [(same,)], "equivalent boolean")
+    found = {a: consequence.simple(p, K, a).patterns for a in ("sandbox", "critical")}
+    out = []
+    for a, other in (("sandbox", "critical"), ("critical", "sandbox")):
+        outside = settled(schema.rendered(schema.uncovered(found[a], found[other])), "outside")
+        every = schema.rendered(found[a])
+        out.append(every.select(F.lit(a).alias("approach"), "pattern").join(outside.withColumn("only", F.lit(True)), "pattern", "left").select("approach", "pattern", F.col("only").isNull().alias("covered")))
+    return reduce(DataFrame.unionByName, out)
 
 
-register("equivalence_events", equivalence, "SELECT true AS equivalent")
-register("covered_closure_events", lambda s, d: check.conforming(closed_events(s, d), consequence.simple(event_patterns(s, d), K).patterns, "left_anti").agg(F.count("*").alias("uncovered")), "SELECT CAST(0 AS BIGINT) AS uncovered")
+register("equivalence_events", equivalence, " UNION ALL ".join(f"SELECT '{a}' AS approach, pattern, true AS covered FROM ({_EVENTS_AFTER}) e{a}" for a in ("sandbox", "critical")))
+
+
+def covered_closure(spark: SparkSession, d: str) -> DataFrame:
+    """By predicate, the triples of the closed graph and those that the predicted patterns do not admit."""
+    closed, p = closed_events(spark, d), consequence.simple(event_patterns(spark, d), K).patterns
+    outside = check.conforming(closed, p, "left_anti").groupBy("p").agg(F.count("*").alias("n"))
+    return closed.groupBy("p").agg(F.count("*").alias("triples")).join(outside, "p", "left").select("p", "triples", F.coalesce("n", F.lit(0)).alias("uncovered"))
+
+
+_ADMITS = "f.p_v = c.p AND (f.o_k = 'A' OR (f.o_k = 'I' AND NOT c.o_lit) OR (f.o_k = 'C' AND NOT c.o_lit AND f.o_v = c.o))"
+register("covered_closure_events", covered_closure, f"WITH c AS ({sql.EVENTS_CLOSED}), f AS ({AFTER}) SELECT p, count(*) AS triples, count(*) FILTER (WHERE NOT EXISTS (SELECT 1 FROM f WHERE {_ADMITS})) AS uncovered FROM c GROUP BY p")
+
+
+def tight(spark: SparkSession, d: str) -> DataFrame:
+    """The predicted patterns, and whether a witness graph within the original schema gives a triple of each."""
+    found = analysis.tightness(event_patterns(spark, d), K)
+    without = schema.rendered(found.unwitnessed).withColumn("no", F.lit(True))
+    return schema.rendered(found.predicted).join(without, "pattern", "left").select("pattern", F.col("no").isNull().alias("witnessed"))
+
+
+register("tight_consequence_events", tight, f"SELECT pattern, true AS witnessed FROM ({_EVENTS_AFTER} EXCEPT {rendered_sql(PROFILE)}) t")
 
 
 # -- questions
@@ -205,7 +235,7 @@ register("covered_closure_events", lambda s, d: check.conforming(closed_events(s
 
 _HAS = lambda kind: f"EXISTS (SELECT 1 FROM events WHERE event_type = '{kind}')"
 register("applicable_rules_events", lambda s, d: analysis.applicable(event_patterns(s, d), K), f"SELECT 'k1' AS rule_id WHERE {_HAS('purchase')} UNION SELECT 'k2' WHERE {_HAS('error')} UNION SELECT 'k3' WHERE {_HAS('purchase')} AND {_HAS('error')}")
-register("applicability_diff_events", lambda s, d: analysis.applicability_diff(event_patterns(s, d), event_patterns(s, d).where("o_v IS NULL OR o_v <> 'prop:error'"), K), "SELECT unnest(['k2', 'k3']) AS rule_id, 'lost' AS change")
+register("applicability_diff_events", lambda s, d: analysis.applicability_diff(event_patterns(s, d), event_patterns(s, d).where("o_v IS NULL OR o_v <> 'prop:error'"), K), f"SELECT 'k2' AS rule_id, 'lost' AS change WHERE {_HAS('error')} UNION ALL SELECT 'k3', 'lost' WHERE {_HAS('purchase')} AND {_HAS('error')}")
 
 
 def can_derive(spark: SparkSession, d: str) -> DataFrame:
@@ -214,7 +244,7 @@ def can_derive(spark: SparkSession, d: str) -> DataFrame:
     return reduce(DataFrame.unionByName, (analysis.can_derive(p, K, pattern(w)).select(F.lit(w).alias("wanted"), "rule_id") for w in wanted))
 
 
-register("can_derive_events", can_derive, "SELECT * FROM (VALUES ('* :intrudes *', 'k3'), ('* a :ClosedArea', 'k2'), ('* :foundIn place:1', 'k1')) v(wanted, rule_id)")
+register("can_derive_events", can_derive, f"WITH {sql.EVENT_FACTS} SELECT DISTINCT w.wanted, w.rule_id FROM (VALUES ('* :intrudes *', 'k3', ':intrudes', NULL), ('* a :ClosedArea', 'k2', 'a', ':ClosedArea'), ('* :foundIn place:1', 'k1', ':foundIn', NULL), ('* :heldBy **', 'k1', ':heldBy', NULL)) w(wanted, rule_id, p, o) JOIN derived d ON d.p = w.p AND (w.o IS NULL OR d.o = w.o)")
 
 ALL_RULES = (*K, *fixtures.STAR_RULES, *fixtures.DOC_RULES, *fixtures.DOC_RULES_LOSING)
 
@@ -223,19 +253,38 @@ def trigger_pairs(spark: SparkSession, d: str) -> DataFrame:
     return local(spark, [(e.id, r.id, h) for e in fixtures.ALL_EXISTENTIALS for r in ALL_RULES for h in existential.triggers(e, r)], "e_id string, rule_id string, head int")
 
 
-register("trigger_pairs_events", trigger_pairs, "SELECT e_id, rule_id, CAST(head AS INTEGER) AS head FROM (VALUES ('holder', 'k1', 0), ('sold_region', 'sold', 0), ('sold_region', 'wide', 0), ('doc_label', 'scored', 0), ('doc_label', 'sourced', 0)) v(e_id, rule_id, head)")
-register("rewritings_events", lambda s, d: local(s, [(r.id, " , ".join(map(str, b))) for r in K for b in existential.rewritings(r.body, K).bodies], "rule_id string, body string"))
+_CONST = lambda t: None if is_var(t) else t
+_ANTECEDENTS = sql.atoms_table([(e.id, _CONST(e.a.s), e.a.p, _CONST(e.a.o)) for e in fixtures.ALL_EXISTENTIALS])
+_HEADS = sql.atoms_table([(r.id, i, _CONST(h.s), h.p, _CONST(h.o)) for r in ALL_RULES for i, h in enumerate(r.head)])
+register("trigger_pairs_events", trigger_pairs, f"SELECT e_id, rule_id, CAST(head AS INTEGER) AS head FROM ({_ANTECEDENTS}) a(e_id, s, p, o) JOIN ({_HEADS}) h(rule_id, head, hs, hp, ho) ON a.p = h.hp AND (a.s IS NULL OR h.hs IS NULL OR a.s = h.hs) AND (a.o IS NULL OR h.ho IS NULL OR a.o = h.ho)")
+
+
+def rewritten_answers(spark: SparkSession, d: str) -> DataFrame:
+    """What the rules give on the closure, by evaluating their minimal unfolded bodies on the graph as it is."""
+    rows = []
+    for r in K:
+        for u in existential.unfolded_rules(r, K)[0]:
+            rows.append(closure.apply(u, tables.events(spark, d, u.body)).select(F.lit(r.id).alias("rule_id"), "s", "p", "o"))
+    return reduce(DataFrame.unionByName, rows).distinct()
+
+
+register("rewritings_events", rewritten_answers, f"WITH {sql.EVENT_FACTS} SELECT CASE WHEN p = ':intrudes' THEN 'k3' WHEN o = ':ClosedArea' THEN 'k2' ELSE 'k1' END AS rule_id, s, p, o FROM derived")
 
 
 # -- existential rules
 
 
+#: A tag that the rules type although nobody holds it.
+_UNHELD = f"EXISTS (WITH {sql.EVENT_FACTS} SELECT 1 FROM found WHERE t NOT IN (SELECT 'tag:' || s_suppkey FROM supplier WHERE s_acctbal > 0))"
+_OUTSIDE = f"EXISTS (WITH {sql.EVENT_FACTS}, f AS ({PROFILE}) SELECT 1 FROM derived c WHERE NOT EXISTS (SELECT 1 FROM f WHERE {_ADMITS}))"
+
+
 def event_schema(spark: SparkSession, d: str) -> Schema:
     return Schema(event_patterns(spark, d), fixtures.EVENT_EXISTENTIALS)
 
 
 register("witnesses_events", lambda s, d: existential.tested(event_schema(s, d), K).rows.select("e_id", "witness_id", "violates", "witness"))
-register("violation_report_events", lambda s, d: existential.explained(event_schema(s, d), K).select("e_id", "rule_id", "body"), "SELECT DISTINCT 'holder' AS e_id, 'k1' AS rule_id, '?n0 :at ?n1 , ?n0 :reads ?n2 , ?n0 :senses prop:purchase' AS body")
+register("violation_report_events", lambda s, d: existential.explained(event_schema(s, d), K).select("e_id", "rule_id", "body"), f"SELECT 'holder' AS e_id, 'k1' AS rule_id, '?n0 :at ?n1 , ?n0 :reads ?n2 , ?n0 :senses prop:purchase' AS body WHERE {_UNHELD}")
 
 
 def verdicts(make, rules):
@@ -251,10 +300,11 @@ def doc_schema(spark: SparkSession, d: str) -> Schema:
     return Schema(settled(schema.profile(tables.documents(spark, d), ("a", ":lang")), "profile"), fixtures.DOC_EXISTENTIALS)
 
 
-register("retained_existentials_events", verdicts(event_schema, K), "SELECT 'holder' AS e_id, false AS retained")
-register("retained_existentials_star", verdicts(lambda s, d: Schema(star_patterns(s, d), fixtures.STAR_EXISTENTIALS), fixtures.STAR_RULES), "SELECT * FROM (VALUES ('order_line', true), ('order_customer', true), ('nation_supplier', true), ('sold_region', false)) v(e_id, retained)")
-register("retained_existentials_docs", verdicts(doc_schema, fixtures.DOC_RULES), "SELECT 'doc_label' AS e_id, true AS retained")
-register("lost_existentials_docs", verdicts(doc_schema, fixtures.DOC_RULES_LOSING), "SELECT 'doc_label' AS e_id, false AS retained")
+register("retained_existentials_events", verdicts(event_schema, K), f"SELECT 'holder' AS e_id, NOT {_UNHELD} AS retained")
+register("retained_existentials_star", verdicts(lambda s, d: Schema(star_patterns(s, d), fixtures.STAR_EXISTENTIALS), fixtures.STAR_RULES), f"""WITH added AS ({sql.STAR_ADDED}) SELECT e_id, NOT EXISTS (SELECT 1 FROM added WHERE p = 'a' AND o = class) AS retained FROM (VALUES ('order_line', ':Order'), ('order_customer', ':Order'), ('nation_supplier', ':Nation')) v(e_id, class)
+UNION ALL SELECT 'sold_region', NOT EXISTS (SELECT 1 FROM added WHERE p = ':soldIn' AND o NOT IN (SELECT 'reg:' || r_regionkey FROM region))""")
+register("retained_existentials_docs", verdicts(doc_schema, fixtures.DOC_RULES), "SELECT 'doc_label' AS e_id, NOT EXISTS (SELECT 1 FROM labels l WHERE quality IS NULL AND doc_id IN (SELECT doc_id FROM labels WHERE quality IS NOT NULL)) AS retained")
+register("lost_existentials_docs", verdicts(doc_schema, fixtures.DOC_RULES_LOSING), "SELECT 'doc_label' AS e_id, NOT EXISTS (SELECT 1 FROM documents d WHERE source IS NOT NULL AND NOT EXISTS (SELECT 1 FROM labels l WHERE l.doc_id = d.doc_id AND quality IS NOT NULL)) AS retained")
 
 
 def preserving(spark: SparkSession, d: str) -> DataFrame:
@@ -270,7 +320,7 @@ def rejected(spark: SparkSession, d: str) -> DataFrame:
     return local(spark, list(analysis.with_policy(event_schema(spark, d), K, "reject_rules").rejected.items()), "rule_id string, reason string")
 
 
-register("rejected_rules_events", rejected, "SELECT * FROM (VALUES ('k1', 'adds a pattern; breaks holder'), ('k2', 'adds a pattern'), ('k3', 'adds a pattern')) v(rule_id, reason)")
+register("rejected_rules_events", rejected, f"SELECT * FROM (SELECT rule_id, concat_ws('; ', CASE WHEN EXISTS (SELECT 1 FROM ({_EVENTS_AFTER} EXCEPT {rendered_sql(PROFILE)}) n WHERE list_contains(gives, pattern)) THEN 'adds a pattern' END, CASE WHEN rule_id = 'k1' AND {_UNHELD} THEN 'breaks holder' END) AS reason FROM (VALUES ('k1', ['* :foundIn *', '* a :BadgeTag']), ('k2', ['* a :ClosedArea']), ('k3', ['* :intrudes *'])) v(rule_id, gives)) r WHERE reason <> ''")
 
 
 # -- the generator on table rows
@@ -328,7 +378,7 @@ def instance_test(spark: SparkSession, d: str) -> DataFrame:
     return local(spark, [("before", before), ("after", after)], "graph string, instance boolean")
 
 
-register("instance_test_events", instance_test, "SELECT 'before' AS graph, true AS instance UNION ALL SELECT 'after', false")
+register("instance_test_events", instance_test, f"SELECT 'before' AS graph, NOT EXISTS (SELECT 1 FROM ({sql.EVENTS}) t WHERE p = 'a' AND o = ':BadgeTag' AND s NOT IN (SELECT s FROM ({sql.EVENTS}) h WHERE p = ':heldBy')) AS instance UNION ALL SELECT 'after', NOT {_UNHELD} AND NOT {_OUTSIDE}")
 
 
 def ucq_mappings(spark: SparkSession, d: str) -> DataFrame:
@@ -341,11 +391,44 @@ register("ucq_mappings_events", ucq_mappings, f"WITH f AS ({_STAR}) SELECT '{LAM
 
 
 def acyclicity(spark: SparkSession, d: str) -> DataFrame:
-    from tripleschema.model import existential as parse
     from tripleschema.model import weak_acyclicity
 
-    sets = {"star": fixtures.STAR_EXISTENTIALS, "endless": (parse("e", "?x :p ?y -> ?y :p ?z"),)}
+    sets = {"star": fixtures.STAR_EXISTENTIALS, "endless": (existential_rule("e", "?x :p ?y -> ?y :p ?z"),)}
     return local(spark, [(k, weak_acyclicity(v)[0]) for k, v in sets.items()], "rules string, weakly_acyclic boolean")
 
 
-register("weak_acyclicity", acyclicity, "SELECT 'star' AS rules, true AS weakly_acyclic UNION ALL SELECT 'endless', false")
+def _acyclicity_sql() -> str:
+    """Positions reached from each other by plain edges; a cycle through an edge that invents a value is the fault."""
+    sets = {"star": fixtures.STAR_EXISTENTIALS, "endless": (existential_rule("e", "?x :p ?y -> ?y :p ?z"),)}
+    terms = [(k, f"{k}/{e.id}", side, i, a.p, t) for k, es in sets.items() for e in es for side, a in (("a", e.a), ("c", e.c)) for i, t in enumerate(a) if is_var(t)]
+    return f"""WITH RECURSIVE t(k, e, side, i, p, v) AS ({sql.atoms_table(terms)}),
+front AS (SELECT a.k, a.e, a.p || ' ' || a.i AS f, a.v FROM t a WHERE a.side = 'a' AND EXISTS (SELECT 1 FROM t c WHERE c.e = a.e AND c.side = 'c' AND c.v = a.v)),
+plain AS (SELECT DISTINCT f.k, f.f, c.p || ' ' || c.i AS g FROM front f JOIN t c ON c.e = f.e AND c.side = 'c' WHERE c.v = f.v OR NOT EXISTS (SELECT 1 FROM t x WHERE x.e = f.e AND x.side = 'a' AND x.v = c.v)),
+invents AS (SELECT DISTINCT f.k, f.f, c.p || ' ' || c.i AS g FROM front f JOIN t c ON c.e = f.e AND c.side = 'c' AND NOT EXISTS (SELECT 1 FROM t x WHERE x.e = f.e AND x.side = 'a' AND x.v = c.v)),
+reach(k, f, g) AS (SELECT k, g, g FROM invents UNION SELECT r.k, r.f, p.g FROM reach r JOIN plain p ON p.k = r.k AND p.f = r.g)
+SELECT k AS rules, NOT EXISTS (SELECT 1 FROM invents i JOIN reach r ON r.k = i.k AND r.f = i.g AND r.g = i.f WHERE i.k = s.k) AS weakly_acyclic FROM (VALUES ('star'), ('endless')) s(k)"""
+
+
+register("weak_acyclicity", acyclicity, _acyclicity_sql())
+
+
+# -- the published experiments, and the link and conversation graphs
+
+register("exp_schema_sweep", lambda s, d: experiments.schema_sweep_table(s))
+register("exp_existential_sweep", lambda s, d: experiments.existential_sweep_table(s))
+
+
+def page_patterns(spark: SparkSession, d: str) -> DataFrame:
+    return settled(schema.profile(tables.pages(spark, d)), "profile")
+
+
+register(
+    "simple_consequence_links",
+    lambda s, d: schema.rendered(consequence.simple(page_patterns(s, d), fixtures.LINK_RULES).patterns),
+    rendered_sql(sql.profile(f"{sql.PAGES} UNION ({sql.LINKS_ADDED})", "'a'")),
+)
+register(
+    "retained_existentials_links",
+    verdicts(lambda s, d: Schema(page_patterns(s, d), fixtures.LINK_EXISTENTIALS), fixtures.LINK_RULES),
+    f"WITH c AS ({sql.PAGES} UNION ({sql.LINKS_ADDED})) SELECT 'cited_by' AS e_id, NOT EXISTS (SELECT 1 FROM c a WHERE p = ':cites' AND NOT EXISTS (SELECT 1 FROM c b WHERE b.p = ':linksTo' AND b.o = a.o)) AS retained UNION ALL SELECT 'cites_host', NOT EXISTS (SELECT 1 FROM c a WHERE p = ':cites' AND NOT EXISTS (SELECT 1 FROM c b WHERE b.p = ':host' AND b.s = a.s))",
+)

@@ -1,5 +1,9 @@
 """Pieces of oracle SQL."""
 
+from __future__ import annotations
+
+from collections.abc import Sequence
+
 EVENTS = """
 SELECT 'ev:' || event_id AS s, ':senses' AS p, 'prop:' || event_type AS o, false AS o_lit FROM events
 UNION SELECT 'ev:' || event_id, ':at', 'place:' || user_id, false FROM events
@@ -63,6 +67,25 @@ derived AS (
   UNION SELECT found.t, ':intrudes', found.p, false FROM found JOIN closed USING (p))"""
 
 
+EVENTS_CLOSED = f"WITH {EVENT_FACTS} {EVENTS} UNION SELECT * FROM derived"
+
+#: What the star rules add to lines and orders (the places of the within relation stay as they are in kind).
+STAR_ADDED = """
+SELECT 'ord:' || o_orderkey AS s, ':soldIn' AS p, x.o AS o, false AS o_lit FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON n_nationkey = c_nationkey, LATERAL (SELECT unnest(['nat:' || n_nationkey, 'reg:' || n_regionkey]) AS o) x
+UNION SELECT 'line:' || l_orderkey || '_' || l_linenumber, ':boughtBy', 'cust:' || o_custkey, false FROM lineitem JOIN orders ON l_orderkey = o_orderkey"""
+
+AFTER_ADDED = """SELECT 'turn:' || a.conv_id || '_' || a.turn AS s, ':after' AS p, 'turn:' || b.conv_id || '_' || b.turn AS o, false AS o_lit
+  FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn < b.turn"""
+
+LINKS_ADDED = """SELECT DISTINCT 'host:' || regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS s, ':cites' AS p, 'path:' || path AS o, false AS o_lit
+  FROM (SELECT url, unnest(regexp_extract_all(html, 'href="(/[^"]*)"', 1)) AS path FROM pages)"""
+
+
+def atoms_table(rows: Sequence[tuple]) -> str:
+    """A VALUES list of terms; None is null."""
+    return "VALUES " + ", ".join("(" + ", ".join("NULL" if v is None else str(v) if isinstance(v, int) else "'" + v.replace("'", "''") + "'" for v in r) + ")" for r in rows)
+
+
 def profile(graph: str, classes: str) -> str:
     """Patterns of a graph: per predicate, and per object of the predicates ``classes``."""
     return f"""SELECT 'I' AS s_k, CAST(NULL AS VARCHAR) AS s_v, 'C' AS p_k, p AS p_v, CASE WHEN k IS NOT NULL THEN 'C' WHEN any_lit THEN 'A' ELSE 'I' END AS o_k, k AS o_v
