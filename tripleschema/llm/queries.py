@@ -43,7 +43,8 @@ def _named(spans) -> Column:
 def op8_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").withColumn("repo", F.concat_ws("/", "source", "lang"))
     found = secrets.scan(docs, repo_col="repo")
-    number = [F.size(F.filter("spans", lambda s, k=k: s["kind"] == k)).cast("long").alias(f"n_{name}") for k, name in enumerate(secrets.BASE)]
+    of_kind = lambda k: F.size(F.filter("spans", lambda s: s["kind"] == k)).cast("long")
+    number = [of_kind(k).alias(f"n_{name}") for k, name in enumerate(secrets.BASE)]
     base = F.filter("spans", lambda s: s["kind"] < len(secrets.BASE))
     live = F.size(F.filter("spans", lambda s: s["verdict"] == "live")).cast("long").alias("n_live")
     return found.select("doc_id", *number, F.sha2(_named(base).cast("binary"), 256).alias("base_sha256"), _named(F.col("spans")).alias("spans"), live)
