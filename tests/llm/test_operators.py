@@ -305,6 +305,28 @@ def test_shrinkage_of_sparse_sites(spark):
     assert shift["big"] > shift["tiny"] > shift["mid"]
 
 
+def five_word_shingles(text):
+    w = (text or "").lower().split()
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def nearest_copies_out(ids, texts):
+    """The least id of each component of texts whose five-word shingles have a Jaccard similarity of 0.8 or more."""
+    sets, up = {i: five_word_shingles(texts[i]) for i in ids}, {i: i for i in ids}
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for k, i in enumerate(ids):
+        for j in ids[:k]:
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
+                a, b = root(i), root(j)
+                up[max(a, b)] = min(a, b)
+    return [i for i in ids if root(i) == i]
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
@@ -314,8 +336,7 @@ def test_pipeline(spark):
     texts = dict(docs.select("doc_id", "text").collect())
     scores = {r.doc_id: r.kept for r in quality.scored(docs, spark.read.parquet(f"{sf}/labels.parquet"), ["doc_id"]).collect()}
     left = sorted(i for i in texts if scores[i])
-    label = components([plain_fingerprint(texts[i]) for i in left])
-    left = [i for k, i in enumerate(left) if label[k] == k]
+    left = nearest_copies_out(left, texts)
     bench = decontam.Index([tuple(r) for r in spark.read.parquet(f"{sf}/benchmark.parquet").select("item_id", "text").collect()])
     left = [i for i in left if not decontam.occurrences(bench, [texts[i]])]
     assert sorted(r.doc_id for r in out) == left
