@@ -26,7 +26,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import prepare, slices
+from tripleschema.llm.common import prepare, slices, used
 
 #: The word pattern of byte-level BPE tokenizers.
 WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -278,15 +278,14 @@ class TrieEncoder(WordEncoder):
         return b"".join(map(self.bytes_of.__getitem__, np.frombuffer(ids, "<u4").tolist())).decode("utf-8", "replace")
 
 
-@lru_cache(maxsize=2)
-def encoder(path: str) -> TrieEncoder:
-    """One encoder for each worker process and vocabulary."""
-    return TrieEncoder(path)
+_encoder = lru_cache(maxsize=2)(TrieEncoder)
+library_encoder = lru_cache(maxsize=2)(LibraryEncoder)
 
 
-@lru_cache(maxsize=2)
-def library_encoder(path: str, width: int) -> LibraryEncoder:
-    return LibraryEncoder(path, width)
+def encoder(path: str) -> TrieEncoder:
+    """One encoder for each worker process and vocabulary, while it is in use."""
+    used(_encoder)
+    return _encoder(path)
 
 
 def _encode_batches(path: str, specials: bool, decode: bool) -> Callable:

@@ -8,6 +8,7 @@ import re
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 import numpy as np
@@ -24,6 +25,8 @@ HOT_ROWS = 500_000
 HOT_KEYS = 2_000
 #: Bits of a membership bitmap at most (32 MB).
 MOST_BITS = 1 << 28
+#: Tasks of a worker after which it drops what they have not used.
+IDLE = 2
 #: Rows of a few numbers in a file of a table whose size is known.
 FILE_ROWS = 500_000
 #: Files whose rows are numbered by file and place, at most.
@@ -62,6 +65,19 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
+_made: list[str] = []  # folders of written tables, in order
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Delete at the end what was written meanwhile by ``written``; results must have been written by then."""
+    start = len(_made)
+    yield
+    for path in _made[start:]:
+        delete(spark, path)
+    del _made[start:]
+
+
 def written(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
     """``df`` written once to the shared folder and read back: cuts the lineage, survives lost executors.
 
@@ -69,6 +85,7 @@ def written(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     (df if rows is None else df.coalesce(rows // FILE_ROWS + 1)).write.parquet(path)
+    _made.append(path)
     out = spark.read.schema(df.schema).parquet(path)
     out.kept_at = path
     return out
@@ -85,6 +102,25 @@ def removed(*tables: DataFrame) -> None:
         delete(t.sparkSession, t.kept_at)
 
 
+_turn = 0  # tasks that this worker has begun
+_uses: dict = {}  # cached function -> the task that last used it
+
+
+def used(cached) -> None:
+    """Note that the task uses what a function with a cache holds (an encoder, an index).  Workers live on for stages of
+    other kinds; when IDLE tasks have not used it, it goes."""
+    _uses[cached] = _turn
+
+
+def _begin() -> None:
+    global _turn
+    _turn += 1
+    for cached, last in list(_uses.items()):
+        if _turn - last > IDLE:
+            cached.cache_clear()
+            del _uses[cached]
+
+
 def give_back() -> None:
     """Return memory that Arrow and the C library hold but do not use, as a worker's memory counts against its executor."""
     pa.default_memory_pool().release_unused()
@@ -96,6 +132,7 @@ def slices(batches: Iterator[pa.RecordBatch], text: int = 1, limit: int = SLICE_
     """Cut batches into runs of rows of at most ``limit`` bytes of column ``text`` (one row at least).
 
     After each run the worker gives back what it does not need."""
+    _begin()
     for batch in batches:
         col = batch.column(text)
         size = pc.fill_null(pc.binary_length(col), 0).to_pylist()

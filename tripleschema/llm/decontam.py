@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import prepare, slices
+from tripleschema.llm.common import prepare, slices, used
 
 Q = 8
 RATE = 0.1  # edits for each character of the benchmark text
@@ -190,6 +190,7 @@ def _search(blocks, q: int, rate: float, text_at: int, report: bool):
     """``report``: one row for each find; else the rows without any."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        used(_index)
         index = _index(blocks.value, q, rate)
         for part in slices(batches, text=text_at):
             found = occurrences(index, part.column(text_at).to_pylist())

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema.llm import bpe
-from tripleschema.llm.common import SLICE_BYTES, delete, prepare, shared_dir, slices
+from tripleschema.llm.common import SLICE_BYTES, delete, prepare, shared_dir, slices, used
 
 LONGEST = 16  # bits of a code
 EVERY = 128  # ids between checkpoints
@@ -137,10 +137,15 @@ class Code:
 
 
 @lru_cache(maxsize=2)
-def _code(lengths: tuple[tuple[int, int], ...]) -> Code:
+def _codes(lengths: tuple[tuple[int, int], ...]) -> Code:
     return Code(dict(lengths))
 
 
+def _code(lengths: tuple[tuple[int, int], ...]) -> Code:
+    used(_codes)
+    return _codes(lengths)
+
+
 # -- tokenising with the library
 
 
@@ -236,9 +241,13 @@ class ColumnTokeniser:
         return pa.Array.from_buffers(pa.large_binary(), n, [None, pa.py_buffer(np.r_[0, ends].astype(np.int64)), pa.py_buffer(ids)])
 
 
-@lru_cache(maxsize=2)
+_tokeniser = lru_cache(maxsize=2)(ColumnTokeniser)
+
+
 def column_tokeniser(path: str, width: int) -> ColumnTokeniser:
-    return ColumnTokeniser(path, width)
+    used(_tokeniser)
+    used(bpe.library_encoder)
+    return _tokeniser(path, width)
 
 
 def _tokenise(path: str, end_id: int | None, width: int, specials: bool):
