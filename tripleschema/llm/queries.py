@@ -85,6 +85,56 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
+# -- parts of the operators that SQL can express
+
+
+def rule_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The statistics of op6 before any rule is learned."""
+    rows = rules.with_statistics(table(spark, sf_dir, "documents")).withColumn("base_failed", rules.base_failed())
+    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
+
+
+_WORDS = "SELECT doc_id, coalesce(text, '') AS t, list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\n\\x0B\\f\\r]+'), lambda x: x <> '') AS w FROM documents"
+_RULE_STATISTICS = f"""WITH d AS ({_WORDS}), e AS (SELECT doc_id, unnest(w) AS x, generate_subscripts(w, 1) AS i FROM d),
+g AS (SELECT doc_id, i, x || ' ' || lead(x) OVER o || ' ' || lead(x, 2) OVER o AS k FROM e WINDOW o AS (PARTITION BY doc_id ORDER BY i)),
+again AS (SELECT doc_id, i FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, k) AS c FROM g WHERE k IS NOT NULL) WHERE c > 1),
+covered AS (SELECT doc_id, count(DISTINCT i + j) AS n FROM again, (VALUES (0), (1), (2)) v(j) GROUP BY doc_id),
+l AS (SELECT doc_id, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^ \t\n\x0B\f\r]')) AS lines FROM d),
+s AS (SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(list_sum(list_transform(w, lambda x: length(x))), 0) AS BIGINT) AS word_chars,
+  CAST(length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, CAST(len(lines) - len(list_distinct(lines)) AS BIGINT) AS n_dup_lines, coalesce(n, 0) AS n_repeat_words
+  FROM d JOIN l USING (doc_id) LEFT JOIN covered USING (doc_id))
+SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM s"""
+
+
+def secret_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The numbers of base spans of op8."""
+    return op8_secrets(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex")
+
+
+_LONGER = lambda pattern, group, least: f"CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '{pattern}', {group}), lambda x: length(x) >= {least})) AS BIGINT)"
+_ASSIGN = '(?i:password|passwd|secret|token|api_?key)["\'\']?\\x20*[:=]\\x20*["\'\']?([A-Za-z0-9+/_.=-]+)'
+_SECRET_COUNTS = f"SELECT doc_id, {_LONGER(_ASSIGN, 1, 12)} AS n_assign, {_LONGER('AKIA[A-Z0-9]+', 0, 18)} AS n_access, {_LONGER('[0-9a-f]+', 0, 16)} AS n_hex FROM documents"
+
+
+def near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The documents that the near-dedup stage of the pipeline leaves of the whole table."""
+    from tripleschema.llm import nearcopies
+
+    return nearcopies.representatives(table(spark, sf_dir, "documents")).select("doc_id")
+
+
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+_NEAR_COPIES = f"""WITH RECURSIVE d AS ({_WORDS.replace("coalesce(text, '')", f"translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}')")}),
+e AS (SELECT doc_id, unnest(w) AS x, generate_subscripts(w, 1) AS i FROM d WHERE len(w) >= 5),
+s AS (SELECT DISTINCT doc_id, k FROM (SELECT doc_id, x || ' ' || lead(x) OVER o || ' ' || lead(x, 2) OVER o || ' ' || lead(x, 3) OVER o || ' ' || lead(x, 4) OVER o AS k FROM e WINDOW o AS (PARTITION BY doc_id ORDER BY i)) WHERE k IS NOT NULL
+  UNION ALL SELECT doc_id, list_aggregate(w, 'string_agg', ' ') FROM d WHERE len(w) BETWEEN 1 AND 4 UNION ALL SELECT doc_id, '' FROM d WHERE len(w) = 0),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+pairs AS (SELECT x, y FROM (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM s a JOIN s b ON a.k = b.k AND a.doc_id < b.doc_id GROUP BY 1, 2) JOIN n p ON p.doc_id = x JOIN n q ON q.doc_id = y WHERE 5 * c >= 4 * (p.n + q.n - c)),
+met AS (SELECT x, y FROM pairs UNION SELECT y, x FROM pairs),
+reach(a, b) AS (SELECT x, y FROM met UNION SELECT r.a, m.y FROM reach r JOIN met m ON m.x = r.b)
+SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT a FROM reach WHERE b < a)"""
+
+
 _QUERIES: dict[str, Query] = {
     "op1_html_layout": op1_html_layout,
     "op2_bpe_trie": op2_bpe_trie,
@@ -97,8 +147,11 @@ _QUERIES: dict[str, Query] = {
     "op9_huffman": op9_huffman,
     "op10_token_counts": op10_token_counts,
     "pipeline": pipeline,
+    "rule_statistics": rule_statistics,
+    "secret_counts": secret_counts,
+    "near_copies": near_copies,
 }
-_ORACLES: dict[str, str] = {}
+_ORACLES: dict[str, str] = {"rule_statistics": _RULE_STATISTICS, "secret_counts": _SECRET_COUNTS, "near_copies": _NEAR_COPIES}
 
 
 def queries() -> dict[str, Query]:
