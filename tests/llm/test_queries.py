@@ -359,11 +359,17 @@ def test_member_bits(spark):
     from tripleschema.llm.common import hash_longs, may_be_in, member_bits
 
     keys = [-(1 << 62), -5, 0, 7, 1 << 60, *range(1000, 1300)]
-    bits = member_bits(spark.createDataFrame([(k,) for k in keys], "k long"))
+    from tripleschema.llm.common import only_members
+
+    table = spark.createDataFrame([(k,) for k in keys], "k long")
+    bits = member_bits(table, len(keys))
     assert may_be_in(bits, np.array(keys)).all() and may_be_in(bits, np.arange(10_000, 20_000)).mean() < 0.1
     row = spark.sql("SELECT xxhash64(-5L) AS a, xxhash64(1152921504606846976L) AS b").first()
     assert hash_longs(np.array([-5, 1 << 60])).view(np.int64).tolist() == [row.a, row.b]
-    assert member_bits(spark.createDataFrame([(k,) for k in keys], "k long"), most=64) is None
+    assert member_bits(table, len(keys), most=64) is None
+    every = spark.range(-10, 2000).selectExpr("id", "id * 2 AS twice")
+    assert sorted(r.id for r in only_members(every, table).collect()) == sorted(k for k in keys if -10 <= k < 2000)
+    assert set(keys) & set(range(-10, 2000)) <= {r.id for r in only_members(every, table, most=3).collect()}
 
 
 def test_huffman_of_many_ids():

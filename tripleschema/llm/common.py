@@ -181,11 +181,10 @@ def hash_longs(values: np.ndarray) -> np.ndarray:
         return h ^ (h >> u(32))
 
 
-def member_bits(keys: DataFrame, most: int = MOST_BITS) -> np.ndarray | None:
-    """A bitmap that has a bit set for each long of the only column of ``keys``, sixteen bits for each at least.
+def member_bits(keys: DataFrame, n: int, most: int = MOST_BITS) -> np.ndarray | None:
+    """A bitmap that has a bit set for each of the ``n`` longs in the only column of ``keys``, sixteen bits for each at least.
 
     Built by aggregation and at most ``most`` bits long; None if the keys need more."""
-    n = keys.count()
     if 16 * n > most:
         return None
     bits = max(1 << 15, 1 << (16 * n).bit_length())
@@ -203,10 +202,14 @@ def may_be_in(bits: np.ndarray, values: np.ndarray) -> np.ndarray:
     return (bits[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)
 
 
-def only_members(rows: DataFrame, keys: DataFrame) -> DataFrame:
-    """``rows`` less most of those whose first column, a long, is not in the only column of ``keys``: what a bitmap of
-    checked size can tell where the rows are.  Beyond that size all rows stay; a join has to decide in either case."""
-    bits = member_bits(keys)
+def only_members(rows: DataFrame, keys: DataFrame, most: int = DROPPED) -> DataFrame:
+    """``rows`` less most of those whose first column, a long, is not in the only column of ``keys``, a written table of
+    distinct ones: told where the rows are, by the keys themselves up to ``most``, beyond that by a bitmap of checked
+    size.  Where that would be too large all rows stay; a join has to decide in any case."""
+    n, name = keys.count(), rows.columns[0]
+    if n <= most:
+        return rows.join(F.broadcast(keys.toDF(name)), name, "left_semi").select(*rows.columns)
+    bits = member_bits(keys, n)
     if bits is None:
         return rows
     bits = rows.sparkSession.sparkContext.broadcast(bits)
