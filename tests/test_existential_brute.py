@@ -84,7 +84,7 @@ def by_enumeration(patterns, rules, existentials, most=3):
 def test_verdicts_equal_enumeration():
     rng = random.Random(20)
     seen = {"broken": 0, "kept": 0, "undecided": 0}
-    for _ in range(150):
+    for _ in range(70):
         patterns, rules, existentials = random_case(rng)
         if not weak_acyclicity(existentials)[0]:
             continue
@@ -98,7 +98,7 @@ def test_verdicts_equal_enumeration():
         seen["broken"] += len(broken)
         seen["undecided"] += len(undecided)
         seen["kept"] += len(existentials) - len(broken) - len(undecided)
-    assert seen["broken"] > 10 and seen["kept"] > 10
+    assert seen["broken"] > 5 and seen["kept"] > 5
 
 
 def test_engine_equals_method(spark):

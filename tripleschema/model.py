@@ -91,18 +91,19 @@ def pattern(text: str) -> Pattern:
 
 @dataclass(frozen=True)
 class Rule:
-    """If the body matches, the head holds."""
+    """If the body matches, the head holds; not for mappings with a literal at one of the variables ``no_literal``."""
 
     id: str
     body: tuple[Atom, ...]
     head: tuple[Atom, ...]
+    no_literal: tuple[str, ...] = ()
 
     def variables(self) -> list[str]:
         return list(dict.fromkeys(v for a in self.body for v in a.variables()))
 
     def firm(self) -> set[str]:
         """Variables that stand in a subject or predicate place somewhere, which literals cannot."""
-        return {t for a in (*self.body, *self.head) for t in a[:2] if is_var(t)}
+        return {t for a in (*self.body, *self.head) for t in a[:2] if is_var(t)} | set(self.no_literal)
 
     def __str__(self) -> str:
         return f"{' , '.join(map(str, self.body))} => {' , '.join(map(str, self.head))}"

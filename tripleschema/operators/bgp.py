@@ -77,9 +77,10 @@ def value(t: str) -> Column:
     return F.col(column(t)) if is_var(t) else F.lit(t)
 
 
-def heads(head: Sequence[Atom], mappings: DataFrame) -> DataFrame:
-    """Head triples of mappings.  A mapping that would put a literal in a subject place gives none of its triples."""
-    firm = [value(a.s) for a in head] + [value(a.p) for a in head]
+def heads(head: Sequence[Atom], mappings: DataFrame, no_literal: Sequence[str] = ()) -> DataFrame:
+    """Head triples of mappings.  A mapping that would put a literal in a subject place, or has one at a variable that may
+    not be one, gives none of its triples."""
+    firm = [value(a.s) for a in head] + [value(a.p) for a in head] + [value(v) for v in no_literal]
     valid = reduce(lambda a, b: a & b, (~c.startswith('"') for c in firm))
     triples = F.array(*(F.struct(value(a.s).alias("s"), value(a.p).alias("p"), value(a.o).alias("t")) for a in head))
     rows = mappings.where(valid).select(F.explode(triples).alias("t")).select("t.s", "t.p", "t.t")

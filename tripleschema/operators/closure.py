@@ -17,7 +17,7 @@ TRIPLE = ["s", "p", "o", "o_lit"]
 
 def apply(rule: Rule, triples: DataFrame) -> DataFrame:
     """The distinct head triples of one application of a rule (not the graph it was applied to)."""
-    return bgp.heads(rule.head, bgp.evaluate(rule.body, triples)).distinct()
+    return bgp.heads(rule.head, bgp.evaluate(rule.body, triples), rule.no_literal).distinct()
 
 
 @dataclass
@@ -88,7 +88,7 @@ def close(triples: DataFrame, rules: Sequence[Rule], mode: str = "seminaive", ma
                     if i is not None and not is_var(r.body[i].p) and r.body[i].p not in heads:
                         continue  # the last round gave nothing for this atom
                     sources = [graph] * len(r.body) if i is None else [graph if j < i else delta if j == i else old for j in range(len(r.body))]
-                    more = bgp.heads(r.head, bgp.evaluate(r.body, sources, distinct=False))
+                    more = bgp.heads(r.head, bgp.evaluate(r.body, sources, distinct=False), r.no_literal)
                     found = more if found is None else found.unionByName(more)
             if found is None:
                 break

@@ -26,8 +26,9 @@ MOST_PATTERNS = 100_000
 RECURSIVE_DEPTH = 4
 #: Bodies of recursive rules, unless asked for otherwise; without recursion there is no bound.
 RECURSIVE_BODIES = 2_000
-#: Predicate of the atoms that carry what a body must keep.
-_KEPT = "\0kept"
+#: Predicates of the atoms that carry what a body must keep, and what cannot be a literal in it, because a rule that was
+#: unfolded has it as a subject.
+_KEPT, _FIRM = "\0kept", "\0firm"
 #: Verdicts of a worker's table at most.
 BATCH = 1_000
 
@@ -43,7 +44,7 @@ def specialise(r: Rule, head: int, antecedent: Atom) -> Rule:
     m = unify(r.head[head], renamed([antecedent], "'")[0])
     if m is None:
         raise ValueError(f"{antecedent} cannot come from {r}")
-    return Rule(r.id, tuple(a.replaced(m) for a in r.body), tuple(a.replaced(m) for a in r.head))
+    return Rule(r.id, tuple(a.replaced(m) for a in r.body), tuple(a.replaced(m) for a in r.head), tuple(m.get(v, v) for v in r.no_literal if is_var(m.get(v, v))))
 
 
 def _normal(body: Sequence[Atom]) -> tuple[Atom, ...]:
@@ -70,13 +71,16 @@ def subsumes(general: Sequence[Atom], special: Sequence[Atom]) -> bool:
     by_predicate: dict[str, list[Atom]] = {}
     for a in special:
         by_predicate.setdefault(a.p, []).append(a)
-    todo = sorted(general, key=lambda a: len(by_predicate.get(a.p, special)))
+    plain = [a for a in special if not a.p.startswith((_KEPT, _FIRM))]
+    firm = {t for a in special for t in (a[:2] if not a.p.startswith(_KEPT) else ())}
+    todo = sorted((a for a in general if a.p != _FIRM), key=lambda a: len(by_predicate.get(a.p, special)))
+    asked = [a.s for a in general if a.p == _FIRM]
 
     def fit(i: int, m: dict[str, str]) -> bool:
         if i == len(todo):
-            return True
+            return all(y in firm if is_var(y) else not y.startswith('"') for y in (m.get(t, t) for t in asked))
         a = todo[i]
-        for b in special if is_var(a.p) else by_predicate.get(a.p, ()):
+        for b in plain if is_var(a.p) else by_predicate.get(a.p, ()):
             more = dict(m)
             if all(more.setdefault(x, y) == y if is_var(x) else x == y for x, y in zip(a, b, strict=True)) and fit(i + 1, more):
                 return True
@@ -85,6 +89,14 @@ def subsumes(general: Sequence[Atom], special: Sequence[Atom]) -> bool:
     return fit(0, {})
 
 
+def _marked(atoms_: Sequence[Atom]) -> tuple[Atom, ...] | None:
+    """The body in normal form, with marks only where they say something; None if a literal stands where none can."""
+    firm = {t for a in atoms_ if not a.p.startswith((_KEPT, _FIRM)) for t in a[:2]}
+    if any(t.startswith('"') for t in firm) or any(a.p == _FIRM and a.s.startswith('"') for a in atoms_):
+        return None
+    return _normal([a for a in atoms_ if a.p != _FIRM or (is_var(a.s) and a.s not in firm)])
+
+
 @dataclass
 class Rewritings:
     bodies: list[tuple[Atom, ...]]
@@ -101,7 +113,7 @@ def rewritings(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | Non
     RECURSIVE_BODIES unless given), and the result says that it is not complete; other rules are never bounded."""
     kept = list(dict.fromkeys(v for a in body for v in a.variables())) if kept is None else list(kept)
     found, complete = _search(body, rules, max_depth, limit, kept)
-    plain = {_normal([a for a in b if not a.p.startswith(_KEPT)]) for b in found}
+    plain = {_normal([a for a in b if not a.p.startswith((_KEPT, _FIRM))]) for b in found}
     return Rewritings(sorted(plain), complete)
 
 
@@ -114,7 +126,8 @@ def unfolded_rules(r: Rule, rules: Sequence[Rule], max_depth: int | None = None,
     for n, b in enumerate(sorted(found)):
         now = {kept[int(a.p[len(_KEPT) :])]: a.s for a in b if a.p.startswith(_KEPT)}
         if not any(now[h.s].startswith('"') for h in r.head if is_var(h.s)):
-            out.append(Rule(f"{r.id}/{n}", tuple(a for a in b if not a.p.startswith(_KEPT)), tuple(h.replaced(now) for h in r.head)))
+            firm = tuple(a.s for a in b if a.p == _FIRM)
+            out.append(Rule(f"{r.id}/{n}", tuple(a for a in b if not a.p.startswith((_KEPT, _FIRM))), tuple(h.replaced(now) for h in r.head), firm))
     return out, complete
 
 
@@ -124,7 +137,7 @@ def _search(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None,
     depth = max_depth if max_depth is not None else RECURSIVE_DEPTH
     most = limit if limit is not None else (RECURSIVE_BODIES if any(inner) else 1 << 60)
     first = _normal([*body, *(Atom(t, f"{_KEPT}{i}", t) for i, t in enumerate(kept))])
-    predicates = lambda b: frozenset(a.p for a in b if not is_var(a.p))
+    predicates = lambda b: frozenset(a.p for a in b if not is_var(a.p) and a.p != _FIRM)
     found: dict[tuple[Atom, ...], frozenset[str]] = {first: predicates(first)}
     met, frontier, complete, step = {first}, [(first, 0)], True, 0
     while frontier:
@@ -135,12 +148,14 @@ def _search(body: Sequence[Atom], rules: Sequence[Rule], max_depth: int | None,
             for i, a in enumerate(b):
                 for r, again in zip(rules, inner, strict=True):
                     body_r = renamed(r.body, f"_{step}")
-                    for h in renamed(r.head, f"_{step}"):
-                        m = None if a.p.startswith(_KEPT) else unify(h, a)
+                    heads = renamed(r.head, f"_{step}")
+                    marks = [Atom(v, _FIRM, v) for v in dict.fromkeys([*(h.s for h in heads if is_var(h.s)), *(f"{v}_{step}" for v in r.no_literal)])]
+                    for h in heads:
+                        m = None if a.p.startswith((_KEPT, _FIRM)) else unify(h, a)
                         if m is None:
                             continue
-                        new = _normal([x.replaced(m) for x in (*b[:i], *b[i + 1 :], *body_r)])
-                        if new in met or any(t.startswith('"') for x in new for t in x[:2] if not x.p.startswith(_KEPT)):
+                        new = _marked([x.replaced(m) for x in (*b[:i], *b[i + 1 :], *body_r, *marks)])
+                        if new is None or new in met:
                             continue
                         have = predicates(new)
                         if any(p <= have and subsumes(old, new) for old, p in found.items()):

@@ -46,7 +46,7 @@ def close(graph: Graph, rules: Sequence[Rule]) -> Graph:
         for r in rules:
             for m in match_all(r.body, graph):
                 heads = [h.replaced(m) for h in r.head]
-                if not any(is_literal(h.s) or is_literal(h.p) for h in heads):
+                if not any(is_literal(h.s) or is_literal(h.p) for h in heads) and not any(is_literal(m[v]) for v in r.no_literal):
                     new |= {h for h in heads if h not in graph}
         if not new:
             return graph

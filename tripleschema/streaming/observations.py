@@ -133,7 +133,7 @@ def incremental_closure(stream: DataFrame, rules: Sequence[Rule], start: DataFra
             found = None
             for r in rules:
                 for i in range(len(r.body)):
-                    more = bgp.heads(r.head, bgp.evaluate(r.body, [now if j < i else delta if j == i else old for j in range(len(r.body))], distinct=False))
+                    more = bgp.heads(r.head, bgp.evaluate(r.body, [now if j < i else delta if j == i else old for j in range(len(r.body))], distinct=False), r.no_literal)
                     found = more if found is None else found.unionByName(more)
             old = now
             delta = written(found.distinct().join(old, closure.TRIPLE, "left_anti"), "delta")
