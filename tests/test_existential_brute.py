@@ -50,7 +50,7 @@ def groundings(body, patterns):
             continue
         free = [t for t in dict.fromkeys(v for a in body for v in a.variables()) if t not in value]
         for kinds in product(*(("w",) if t in firm else ("w", '"') for t in free)):
-            fill = value | {t: f"w:{i}" if k == "w" else f'"w{i}"' for i, (t, k) in enumerate(zip(free, kinds, strict=True))}
+            fill = value | {t: f"w:{i}" if k == "w" else f'"w:{i}"' for i, (t, k) in enumerate(zip(free, kinds, strict=True))}
             yield frozenset(a.replaced(fill) for a in body)
 
 
@@ -101,6 +101,17 @@ def test_verdicts_equal_enumeration():
     assert seen["broken"] > 5 and seen["kept"] > 5
 
 
+def test_invented_values_can_be_literals():
+    patterns = [pattern(p) for p in ("* :p *", "* :s **")]
+    rules = [rule("t", "?x :p ?y => ?x :t ?y"), rule("u", "?x :s ?z => ?z :u ?x")]
+    existentials = [existential("e1", "?x :p ?y -> ?x :s ?z"), existential("e2", "?x :t ?y -> ?w :u ?x")]
+    broken, undecided = by_method(patterns, rules, existentials)  # with a literal under :s nothing is under :u
+    assert "e2" in broken and not undecided
+    patterns = [pattern(p) for p in ("* :p **", '* :q "1"')]
+    rules, existentials = [rule("t", "?x :p ?y => ?x :t ?y")], [existential("e1", "?x :p ?y -> ?x :q ?y"), existential("e2", "?x :t ?y -> ?x :z ?y")]
+    assert "e2" in by_method(patterns, rules, existentials)[0]  # the fresh literal has to be "1"
+
+
 def test_engine_equals_method(spark):
     rng = random.Random(3)
     done = 0

@@ -228,7 +228,7 @@ def ground(case_id: str, body: Sequence[Atom], binding: Sequence[str | None], fi
     free = [i for i, (v, b) in enumerate(zip(names, binding, strict=True)) if b is None and i not in firm]
     choices = chain.from_iterable(combinations(free, k) for k in range(len(free) + 1)) if literals else [()]
     for c in choices:
-        fill = {v: b if b is not None else (f'"w{i}"' if i in c else f"w:{i}") for i, (v, b) in enumerate(zip(names, binding, strict=True))}
+        fill = {v: b if b is not None else (f'"w:{i}"' if i in c else f"w:{i}") for i, (v, b) in enumerate(zip(names, binding, strict=True))}
         yield f"{case_id}:{''.join(map(str, c)) or '-'}", frozenset(a.replaced(fill) for a in body)
 
 
@@ -244,9 +244,12 @@ def _test_batches(cases: dict, existentials, rules, patterns, literals: bool, ex
                 e, body = cases[case_id]
                 bound = "|".join(x or "*" for x in b)
                 for name, graph in ground(case_id, body, b, firm, literals):
-                    found = witness.violates(graph, e, existentials, rules, patterns)
+                    try:
+                        found, known = witness.violates(graph, e, existentials, rules, patterns), True
+                    except witness.TooManyChases:
+                        found, known = None, False
                     lines = lambda g: sorted(map(str, g)) if g is not None else []
-                    out.append((e.id, case_id, f"{name}:{bound}", found is not None, lines(graph), lines(found and found[0]) if explain else [], lines(found and found[1]) if explain else []))
+                    out.append((e.id, case_id, f"{name}:{bound}", found is not None if known else None, lines(graph), lines(found and found[0]) if explain else [], lines(found and found[1]) if explain else []))
                     if len(out) == BATCH:
                         yield table(out)
                         out = []
@@ -304,14 +307,15 @@ class Retained:
 
 
 def retained(schema: Schema, rules: Sequence[Rule], mode: str = "safe", **options) -> Retained:
-    """The existential rules that survive.  Where the search for recursive rules had to be bounded, what was not decided is
-    reported and counts as lost, unless ``mode`` is "exact"."""
+    """The existential rules that survive.  Where the search for recursive rules or the chases of a witness had to be
+    bounded, what was not decided is reported and counts as lost, unless ``mode`` is "exact"."""
     from pyspark.sql import functions as F
 
     t = tested(schema, rules, **options)
-    verdicts = {r.e_id: r for r in t.rows.groupBy("e_id").agg(F.bool_or("violates").alias("bad"), F.count("*").alias("n")).collect()}
+    verdicts = {r.e_id: r for r in t.rows.groupBy("e_id").agg(F.bool_or(F.coalesce("violates", F.lit(False))).alias("bad"), F.bool_or(F.col("violates").isNull()).alias("open"), F.count("*").alias("n")).collect()}
     bad = {k for k, r in verdicts.items() if r.bad}
-    undecided = tuple(e.id for e in schema.existentials if e.id not in bad and not t.complete[e.id])
+    open_ = {k for k, r in verdicts.items() if r.open}
+    undecided = tuple(e.id for e in schema.existentials if e.id not in bad and (not t.complete[e.id] or e.id in open_))
     lost = bad | (set(undecided) if mode == "safe" else set())
     return Retained(tuple(e for e in schema.existentials if e.id not in lost), tuple(sorted(bad)), undecided, sum(r.n for r in verdicts.values()), len(t.cases))
 

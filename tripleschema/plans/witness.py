@@ -1,7 +1,8 @@
 """Small graphs that show a violation: chase, closure and test of one witness, in plain Python.
 
 A witness has a handful of triples, so one is cheap; there can be many, so they are rows of a DataFrame and each task
-runs through its share.  Fresh IRIs start with ``w:`` and count as nulls: a null may turn out to be a constant.
+runs through its share.  Fresh IRIs start with ``w:`` and fresh literals with ``"w:``.  They count as nulls: one may turn
+out to be a constant of its kind.
 """
 
 from __future__ import annotations
@@ -11,11 +12,16 @@ from collections.abc import Iterator, Sequence
 from tripleschema.model import Atom, Existential, Pattern, Rule, is_literal, is_var
 
 Graph = frozenset[Atom]
-BRANCHES = 4000
+#: Graphs in the chases of one witness; beyond that it is left undecided.
+BRANCHES = 20_000
+
+
+class TooManyChases(RuntimeError):
+    """A witness has more chases than are looked at."""
 
 
 def is_null(t: str) -> bool:
-    return t.startswith("w:")
+    return t.startswith(("w:", '"w:'))
 
 
 def match(atom: Atom, graph: Graph, binding: dict[str, str]) -> Iterator[dict[str, str]]:
@@ -64,7 +70,7 @@ def broken(e: Existential, graph: Graph) -> list[dict[str, str]]:
 
 
 def _fresh(graph: Graph) -> int:
-    return 1 + max((int(t.rsplit("#", 1)[1]) for triple in graph for t in triple if is_null(t) and "#" in t), default=-1)
+    return 1 + max((int(t.rstrip('"').rsplit("#", 1)[1]) for triple in graph for t in triple if is_null(t) and "#" in t), default=-1)
 
 
 def _merge(triple: Atom, p: Pattern) -> dict[str, str] | None:
@@ -73,7 +79,7 @@ def _merge(triple: Atom, p: Pattern) -> dict[str, str] | None:
     for t, (kind, v) in zip(triple, p.places, strict=True):
         t = out.get(t, t)
         if kind in "CL":
-            if is_null(t):
+            if is_null(t) and is_literal(t) == (kind == "L"):
                 out[t] = v
             elif t != v:
                 return None
@@ -82,15 +88,22 @@ def _merge(triple: Atom, p: Pattern) -> dict[str, str] | None:
     return out
 
 
+def literal_matters(rules: Sequence[Rule]) -> set[str | None]:
+    """Predicates whose objects some rule needs as IRIs (None for all): it fires for an IRI there and not for a literal."""
+    return {None if is_var(a.p) else a.p for r in rules for a in r.body if a.o in r.firm()}
+
+
 def _valid(graph: Graph, patterns: Sequence[Pattern]) -> bool:
     return all(not is_literal(t.s) and not is_literal(t.p) and any(p.admits(t) for p in patterns) for t in graph)
 
 
-def chases(graph: Graph, rules: Sequence[Existential], patterns: Sequence[Pattern] | None) -> Iterator[Graph]:
+def chases(graph: Graph, rules: Sequence[Existential], patterns: Sequence[Pattern] | None, sensitive: set[str | None] = frozenset()) -> Iterator[Graph]:
     """Instances that the existential rules make of a graph.
 
     Without patterns there is one: each missing consequent is added with fresh IRIs.  With patterns an added triple must
-    be admitted; it branches over the patterns, and a null that has to be a constant becomes it everywhere."""
+    be admitted, and a null that has to be a constant becomes it everywhere.  Only the least ways of that are followed:
+    what a more special one breaks, the more general one breaks too.  An invented object is a fresh literal as well where
+    a predicate is ``sensitive`` to that."""
     stack, seen = [graph], {graph}
     while stack:
         now = stack.pop()
@@ -109,27 +122,33 @@ def chases(graph: Graph, rules: Sequence[Existential], patterns: Sequence[Patter
             if patterns is None:
                 yield now  # nothing can be added; the graph is no instance, which the caller sees
             continue
+        options = []
         if patterns is None:
-            options = [now | {triple}]
+            options.append(now | {triple})
         else:
-            options = []
-            for p in patterns:
-                m = _merge(triple, p)
-                if m is not None:
-                    merged = frozenset(t.replaced(m) for t in now | {triple})
-                    if _valid(merged, patterns):
-                        options.append(merged)
+            forms = [triple]
+            if e.c.o not in front and is_var(e.c.o) and e.c.o not in e.c[:2] and sensitive & {None, triple.p}:
+                forms.append(Atom(triple.s, triple.p, f'"{triple.o}"'))
+            for form in forms:
+                ways: list[tuple[set, Graph]] = []
+                for p in patterns:
+                    m = _merge(form, p)
+                    if m is not None:
+                        merged = frozenset(t.replaced(m) for t in now | {form})
+                        if _valid(merged, patterns):
+                            ways.append((set(m.items()), merged))
+                options += [g for m, g in ways if not any(other < m for other, _ in ways)]
         for g in options:
             if g not in seen:
                 if len(seen) > BRANCHES:
-                    raise RuntimeError(f"a witness has over {BRANCHES} chases")
+                    raise TooManyChases(f"a witness has over {BRANCHES} chases")
                 seen.add(g)
                 stack.append(g)
 
 
 def violates(graph: Graph, e: Existential, existentials: Sequence[Existential], rules: Sequence[Rule], patterns: Sequence[Pattern] | None) -> tuple[Graph, Graph] | None:
-    """A chased instance and its closure that breaks ``e``; None if all of them keep it."""
-    for instance in chases(graph, existentials, patterns):
+    """A chased instance and its closure that breaks ``e``; None if all of them keep it.  TooManyChases if that is open."""
+    for instance in chases(graph, existentials, patterns, literal_matters(rules)):
         closed = close(instance, rules)
         if broken(e, closed):
             return instance, closed
