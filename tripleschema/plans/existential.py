@@ -23,7 +23,7 @@ from tripleschema.plans.tables import local, prepare, written
 #: Pattern tables up to this size travel with the witnesses.
 MOST_PATTERNS = 100_000
 #: Unfoldings of recursive rules in one body, where minimality alone does not end them, unless asked for otherwise.
-RECURSIVE_DEPTH = 4
+RECURSIVE_DEPTH = 2
 #: Bodies of recursive rules, unless asked for otherwise; without recursion there is no bound.
 RECURSIVE_BODIES = 2_000
 #: Predicates of the atoms that carry what a body must keep, and what cannot be a literal in it, because a rule that was

@@ -13,7 +13,7 @@ from tripleschema.model import Atom, Existential, Pattern, Rule, is_literal, is_
 
 Graph = frozenset[Atom]
 #: Graphs in the chases of one witness; beyond that it is left undecided.
-BRANCHES = 20_000
+BRANCHES = 4_000
 
 
 class TooManyChases(RuntimeError):
@@ -102,15 +102,27 @@ def chases(graph: Graph, rules: Sequence[Existential], patterns: Sequence[Patter
 
     Without patterns there is one: each missing consequent is added with fresh IRIs.  With patterns an added triple must
     be admitted, and a null that has to be a constant becomes it everywhere.  Only the least ways of that are followed:
-    what a more special one breaks, the more general one breaks too.  An invented object is a fresh literal as well where
-    a predicate is ``sensitive`` to that."""
-    stack, seen = [graph], {graph}
-    while stack:
-        now = stack.pop()
+    what a more special one breaks, the more general one breaks too.  Where a predicate is ``sensitive``, an invented object
+    is a fresh literal if that leads to an instance, as fewer facts follow from it, and else a fresh IRI."""
+    seen = {graph}
+
+    def ways_of(now: Graph, form: Atom) -> list[Graph]:
+        if patterns is None:
+            return [now | {form}]
+        ways: list[tuple[set, Graph]] = []
+        for p in patterns:
+            m = _merge(form, p)
+            if m is not None:
+                merged = frozenset(t.replaced(m) for t in now | {form})
+                if _valid(merged, patterns):
+                    ways.append((set(m.items()), merged))
+        return [g for m, g in ways if not any(other < m for other, _ in ways)]
+
+    def run(now: Graph) -> Iterator[Graph]:
         gap = next(((e, b) for e in rules for b in broken(e, now)), None)
         if gap is None:
             yield now
-            continue
+            return
         e, front = gap
         n, fill = _fresh(now), dict(front)
         for v in e.c.variables():
@@ -121,29 +133,25 @@ def chases(graph: Graph, rules: Sequence[Existential], patterns: Sequence[Patter
         if is_literal(triple.s) or is_literal(triple.p):
             if patterns is None:
                 yield now  # nothing can be added; the graph is no instance, which the caller sees
-            continue
-        options = []
-        if patterns is None:
-            options.append(now | {triple})
-        else:
-            forms = [triple]
-            if e.c.o not in front and is_var(e.c.o) and e.c.o not in e.c[:2] and sensitive & {None, triple.p}:
-                forms.append(Atom(triple.s, triple.p, f'"{triple.o}"'))
-            for form in forms:
-                ways: list[tuple[set, Graph]] = []
-                for p in patterns:
-                    m = _merge(form, p)
-                    if m is not None:
-                        merged = frozenset(t.replaced(m) for t in now | {form})
-                        if _valid(merged, patterns):
-                            ways.append((set(m.items()), merged))
-                options += [g for m, g in ways if not any(other < m for other, _ in ways)]
-        for g in options:
-            if g not in seen:
+            return
+        forms = [triple]
+        if patterns is not None and is_var(e.c.o) and e.c.o not in front and e.c.o not in e.c[:2] and sensitive & {None, triple.p}:
+            forms.insert(0, Atom(triple.s, triple.p, f'"{triple.o}"'))
+        for form in forms:
+            found = False
+            for g in ways_of(now, form):
+                if g in seen:
+                    continue
                 if len(seen) > BRANCHES:
                     raise TooManyChases(f"a witness has over {BRANCHES} chases")
                 seen.add(g)
-                stack.append(g)
+                for instance in run(g):
+                    found = True
+                    yield instance
+            if found:
+                return
+
+    yield from run(graph)
 
 
 def violates(graph: Graph, e: Existential, existentials: Sequence[Existential], rules: Sequence[Rule], patterns: Sequence[Pattern] | None) -> tuple[Graph, Graph] | None:
