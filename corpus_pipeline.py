@@ -1,6 +1,6 @@
 """A corpus from raw documents in five stages, each over all that the stage before kept.
 
-quality classifier -> near-duplicates by exact shingle similarity -> benchmark decontamination -> secret scan -> BPE encoding.
+quality classifier -> near-duplicates by SimHash and exact shingle similarity -> benchmark decontamination -> secret scan -> BPE encoding.
 Every stage is written as Parquet and read again as the next one's documents.
 
 Odd rows have defined results in every stage.  A null text counts as empty: it has no evidence against it, is a near copy
@@ -17,7 +17,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tripleschema.llm import bpe, decontam, nearcopies, quality, secrets
+from tripleschema.llm import bpe, decontam, nearcopies, quality, secrets, simhash
 from tripleschema.llm.common import delete, scratch, shared_dir, table
 from tripleschema.llm.queries import tokenizer_file
 
@@ -31,9 +31,11 @@ def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (five-word shingles, Jaccard similarity of 0.8 or more, told by bit-sliced
-    SimHash comparison and exact sets) stays: the one with the least id (one of them, if ids repeat)."""
-    return nearcopies.representatives(docs)
+    """One document of each group of near copies stays: the one with the least id (one of them, if ids repeat).
+
+    Links are those of op7 (SimHash fingerprints at three bits or fewer, compared in bit slices), and those that an exact
+    comparison finds beyond (five-word shingles, Jaccard similarity of 0.8 or more)."""
+    return nearcopies.representatives(docs, radius=simhash.RADIUS)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

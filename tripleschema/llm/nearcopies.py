@@ -7,6 +7,9 @@ order, which keeps buckets small; the sample decides only how long it takes.  Bu
 clusters, and a cluster is compared as a whole: the bit planes of wide SimHash fingerprints tell in one pass which of a
 block's sets can be near a set, and those in other trees of the block are compared exactly.  In clusters beyond a block,
 small buckets give their pairs, and what large buckets tie together is compared block by block in tasks of their own.
+
+On request the links of SimHash fingerprints at a few bits count as well, found as op7 finds them; the exact comparison
+then adds the near copies that lie further apart in bits.
 """
 
 from __future__ import annotations
@@ -20,9 +23,9 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import give_back, numbered, only_members, prepare, removed, slices, without, written
+from tripleschema.llm.common import give_back, numbered, only_members, prepare, removed, slices, spread_join, without, written
 from tripleschema.llm.components import connected_components
-from tripleschema.llm.simhash import near_wide, wide_fingerprint, wide_planes
+from tripleschema.llm.simhash import fingerprint, linked, near_wide, wide_fingerprint, wide_planes
 
 SHINGLE = 5  # words
 SHARE = (4, 5)  # the least Jaccard similarity, as a fraction
@@ -62,11 +65,17 @@ def leading(h: np.ndarray, frequent: np.ndarray, rank: np.ndarray) -> np.ndarray
     return h[:n]
 
 
-def _signs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """``rid, none, id, sign``: the sign is a 128-bit hash of the set of shingles."""
-    for part in slices(batches):
-        signs = [xxhash.xxh3_128_digest(shingles(t).tobytes()) for t in part.column(1).to_pylist()]
-        yield pa.RecordBatch.from_arrays([part.column(0), part.column(2).is_null(), part.column(2), pa.array(signs, pa.binary())], ["rid", "none", "id", "sign"])
+def _signs(prints: bool):
+    """``rid, none, id, sign, fp``: the sign is a 128-bit hash of the set of shingles, ``fp`` op7's fingerprint if asked."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in slices(batches):
+            texts = part.column(1).to_pylist()
+            signs = [xxhash.xxh3_128_digest(shingles(t).tobytes()) for t in texts]
+            fps = np.array([fingerprint(t) if prints else 0 for t in texts], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(2).is_null(), part.column(2), pa.array(signs, pa.binary()), pa.array(fps)], ["rid", "none", "id", "sign", "fp"])
+
+    return run
 
 
 def _elements(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -316,9 +325,23 @@ def _compared(texts: DataFrame, clusters: DataFrame, chunk: int) -> DataFrame:
 # -- the operator
 
 
-def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", small: int = SMALL, chunk: int = CHUNK) -> DataFrame:
+def print_links(signs: DataFrame, classes: DataFrame, radius: int) -> DataFrame:
+    """Links ``(a, b)`` that connect the classes whose texts have fingerprints in one component of op7: each to the first.
+
+    A class may have several fingerprints, and a fingerprint several classes."""
+    marks = written(signs.select("fp", "sign").distinct().join(classes.select("sign", "rid"), "sign").select("fp", "rid"), "marks")
+    firsts = written(marks.groupBy("fp").agg(F.min("rid").alias("first"), F.count("*").alias("n")), "prints")
+    labels = connected_components(linked(firsts, radius))
+    of = firsts.join(labels, F.col("fp") == F.col("node"), "left").select("fp", "first", "n", F.coalesce("label", "fp").alias("label"))
+    named = written(of.join(of.groupBy("label").agg(F.min("first").alias("a")), "label").select("fp", "a", "n"), "print-components")
+    return spread_join(marks, named, ["fp"], "n").where("a != rid").select("a", F.col("rid").alias("b"))
+
+
+def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", small: int = SMALL, chunk: int = CHUNK, radius: int | None = None) -> DataFrame:
     """One row of each component of near copies in ``docs``, with its columns: the one with the least id.
 
+    With a ``radius`` SimHash fingerprints (those of op7) that differ in so many bits or fewer link their texts too.
+
     Null and empty texts are copies of each other.  Rows are told apart by a number, so null and repeated ids do no
     harm: that of their file and place where ``docs`` are read from Parquet, else one given when they are written once."""
     spark = docs.sparkSession
@@ -327,11 +350,14 @@ def representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     marked = numbered(docs.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(columns))), docs, "marked")
     texts = marked.select("rid", F.col(f"c{columns.index(text_col)}").cast("string").alias("text"))
     of_id = F.col(f"c{columns.index(id_col)}").cast("long").alias("id")
-    signs = marked.select("rid", F.col(f"c{columns.index(text_col)}").cast("string").alias("text"), of_id).mapInArrow(_signs, "rid long, none boolean, id long, sign binary")
+    signs = marked.select("rid", F.col(f"c{columns.index(text_col)}").cast("string").alias("text"), of_id).mapInArrow(_signs(radius is not None), "rid long, none boolean, id long, sign binary, fp long")
     signs = written(signs, "signs")
     first = F.min(F.struct("none", "id", "rid"))
     classes = signs.groupBy("sign").agg(first.alias("first"), F.min("rid").alias("rid"))
-    labels = connected_components(links(texts, small, chunk))
+    near = links(texts, small, chunk)
+    if radius is not None:
+        near = near.unionByName(print_links(signs, classes, radius))
+    labels = connected_components(near)
     stay = classes.join(labels, F.col("rid") == F.col("node"), "left").groupBy(F.coalesce("label", "rid").alias("of")).agg(F.min("first").alias("first")).select(F.col("first.rid").alias("rid"))
     gone = written(signs.select("rid").join(stay, "rid", "left_anti"), "gone")
     removed(signs)
