@@ -26,6 +26,7 @@ RATE = 0.1  # edits for each character of the benchmark text
 BLOCK_CHARS = 8_000_000  # benchmark characters in the memory of a task; a larger benchmark is searched in blocks
 FILTER_BITS = 22
 EXPANDED = 4_000_000  # places of shared q-grams that are counted at a time
+SLICE = 1 << 20  # bytes of text that are searched at a time: their letters, places and q-grams take some thirty times as much
 _TURN = np.uint64(0x9E3779B97F4A7C15)
 _GAP = 0x10FFFF  # stands between documents and in no text
 _FAR = np.int32(1 << 20)
@@ -192,7 +193,7 @@ def _search(blocks, q: int, rate: float, text_at: int, report: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         used(_index)
         index = _index(blocks.value, q, rate)
-        for part in slices(batches, text=text_at):
+        for part in slices(batches, text=text_at, limit=SLICE):
             found = occurrences(index, part.column(text_at).to_pylist())
             if report:
                 ids = part.column(0).to_pylist()
