@@ -149,11 +149,13 @@ def fitted(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, sampl
 
 
 def _score_batches(model, text_at: int):
+    """The columns before the text, and the evidence; the text does not come back."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = model.value
         for part in slices(batches, text=text_at):
             odds = np.array([m.evidence(t or "") for t in part.column(text_at).to_pylist()])
-            yield pa.RecordBatch.from_arrays([*part.columns, pa.array(odds[:, 0]), pa.array(odds[:, 1])], [*part.schema.names, "__low", "__toxic"])
+            yield pa.RecordBatch.from_arrays([*part.columns[:text_at], pa.array(odds[:, 0]), pa.array(odds[:, 1])], [*part.schema.names[:text_at], "__low", "__toxic"])
 
     return run
 
@@ -210,9 +212,9 @@ def scored(docs: DataFrame, labels: DataFrame, keep: list[str], id_col: str = "d
     model = docs.sparkSession.sparkContext.broadcast(fitted(docs, marks, id_col, text_col, sample))
     carried = list(dict.fromkeys([*keep, id_col]))
     rows = docs.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(carried)), F.coalesce(F.col(host_col).cast("string"), F.lit("\0")).alias("host"), F.coalesce(F.col(path_col).cast("string"), F.lit("\0")).alias("path"), F.col(text_col).cast("string").alias("text"))
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.schema) + ", __low double, __toxic double"
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in rows.schema[:-1]) + ", __low double, __toxic double"
     done = rows.mapInArrow(_score_batches(model, len(rows.columns) - 1), schema)
-    done = written(done.drop("text"), "scores")
+    done = written(done, "scores")
     of_id = f"c{carried.index(id_col)}"
     known = done.select(F.col(of_id).alias("label_id"), "host", "path", "__low", "__toxic")
     none = [F.lit(None).cast("int").alias(k) for k in HEADS]
