@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tripleschema.llm import bpe, decontam, nearcopies, quality, secrets, simhash
-from tripleschema.llm.common import delete, scratch, shared_dir, table
+from tripleschema.llm.common import delete, relieve, scratch, shared_dir, table
 from tripleschema.llm.queries import tokenizer_file
 
 #: SQL cannot express a learned classifier or byte-pair merges; tests/llm compares the stages with brute force.
@@ -73,6 +73,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
             out.write.parquet(f"{at}/{k}")
         if before:
             delete(spark, before)
+        relieve(spark, collect=True)
         before = f"{at}/{k}"
         docs = spark.read.schema(out.schema).parquet(before)
     return docs

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import HOT_ROWS, removed, spread_join, written
+from tripleschema.llm.common import HOT_ROWS, relieve, removed, spread_join, written
 
 
 def _met(links: DataFrame, least: DataFrame, n_links: int, hot_rows: int, used: list[DataFrame]) -> DataFrame:
@@ -31,6 +31,7 @@ def connected_components(links: DataFrame, max_rounds: int = 100, hot_rows: int
         now = links.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == seen or not now[0]:
             break
+        relieve(links.sparkSession, collect=True)  # the plans of the rounds before are garbage that else lets the driver's heap grow
         seen, used = now, [links]
         both = links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n")

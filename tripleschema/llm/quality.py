@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tripleschema.llm.common import numbered, prepare, slices, spread_join, without, written
+from tripleschema.llm.common import numbered, prepare, relieve, slices, spread_join, without, written
 
 SAMPLE = 4000  # labelled rows that the model is fitted on, at most
 HASH_BITS = 18
@@ -142,7 +142,9 @@ def fitted(docs: DataFrame, labels: DataFrame, id_col: str, text_col: str, sampl
     prepare(docs.sparkSession)
     some = labels.where("label_id is not null").orderBy(F.xxhash64("label_id"), "label_id", "low", "toxic").limit(sample)
     rows = docs.select(F.col(id_col).alias("label_id"), F.col(text_col).alias("text")).join(F.broadcast(some), "label_id").groupBy("label_id", "low", "toxic").agg(F.min("text").alias("text")).select("text", "low", "toxic")
-    return fit([tuple(r) for r in rows.mapInArrow(_sample_batches, "low int, toxic int, grams binary, stats array<double>").collect()])
+    model = fit([tuple(r) for r in rows.mapInArrow(_sample_batches, "low int, toxic int, grams binary, stats array<double>").collect()])
+    relieve(docs.sparkSession)  # the sample's rows and the matrices of the fit
+    return model
 
 
 # -- scoring
